@@ -2,11 +2,15 @@
 
 from __future__ import annotations
 
-from . import linededup
+from . import chat, linededup, rules
 
 QUERIES = {
+    "op4_chat_formatting": chat.op4_chat_formatting,
+    "op6_quality_rules": rules.op6_quality_rules,
     "op9_line_dedup": linededup.op9_line_dedup,
 }
 ORACLES = {
+    "op4_chat_formatting": chat.OP4_SQL,
+    "op6_quality_rules": rules.OP6_SQL,
     "op9_line_dedup": linededup.OP9_SQL,
 }
