@@ -2,15 +2,18 @@
 
 from __future__ import annotations
 
-from . import chat, linededup, rules
+from . import chat, linededup, rules, sharding, warc
 
 QUERIES = {
     "op4_chat_formatting": chat.op4_chat_formatting,
+    "op5_warc": warc.op5_warc,
     "op6_quality_rules": rules.op6_quality_rules,
+    "op7_sharding": sharding.op7_sharding,
     "op9_line_dedup": linededup.op9_line_dedup,
 }
 ORACLES = {
     "op4_chat_formatting": chat.OP4_SQL,
+    "op5_warc": warc.OP5_SQL,
     "op6_quality_rules": rules.OP6_SQL,
     "op9_line_dedup": linededup.OP9_SQL,
 }
