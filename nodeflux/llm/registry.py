@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from . import chat, linededup, rules, sharding, warc
+from . import chat, jaccard, linededup, rules, sharding, warc
 
 QUERIES = {
     "op4_chat_formatting": chat.op4_chat_formatting,
     "op5_warc": warc.op5_warc,
     "op6_quality_rules": rules.op6_quality_rules,
     "op7_sharding": sharding.op7_sharding,
+    "op8_jaccard_join": jaccard.op8_jaccard_join,
     "op9_line_dedup": linededup.op9_line_dedup,
 }
 ORACLES = {
