@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from . import chat, jaccard, linededup, rules, sharding, warc
+from . import chat, decontaminate, jaccard, linededup, rules, sharding, warc
 
 QUERIES = {
+    "op2_decontamination": decontaminate.op2_decontamination,
     "op4_chat_formatting": chat.op4_chat_formatting,
     "op5_warc": warc.op5_warc,
     "op6_quality_rules": rules.op6_quality_rules,
@@ -13,6 +14,7 @@ QUERIES = {
     "op9_line_dedup": linededup.op9_line_dedup,
 }
 ORACLES = {
+    "op2_decontamination": decontaminate.OP2_SQL,
     "op4_chat_formatting": chat.OP4_SQL,
     "op5_warc": warc.OP5_SQL,
     "op6_quality_rules": rules.OP6_SQL,
