@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
-from . import chat, decontaminate, jaccard, linededup, rules, sharding, warc
+from . import chat, classifier, decontaminate, jaccard, linededup, packing, rules, sharding, warc
 
 QUERIES = {
+    "op1_quality_classifier": classifier.op1_quality_classifier,
     "op2_decontamination": decontaminate.op2_decontamination,
+    "op3_best_fit_packing": packing.op3_best_fit_packing,
     "op4_chat_formatting": chat.op4_chat_formatting,
     "op5_warc": warc.op5_warc,
     "op6_quality_rules": rules.op6_quality_rules,

@@ -90,13 +90,13 @@ class Words(NamedTuple):
     hashes: np.ndarray
 
 
-def words(buf: np.ndarray, bounds: np.ndarray, kind: np.ndarray) -> Words:
-    """Words of texts: maximal runs of bytes of a kind, with A-Z folded for kind and hash."""
+def words(buf: np.ndarray, bounds: np.ndarray, kind: np.ndarray, fold: np.ndarray = FOLD) -> Words:
+    """Words of texts: maximal runs of bytes of a kind, with A-Z folded for kind and hash unless `fold` says otherwise."""
     n = len(buf)
     if not n:
         none = np.zeros(0, np.int64)
         return Words(none, none, np.zeros(len(bounds), np.int64), np.zeros(0, U))
-    folded = FOLD[buf]
+    folded = fold[buf]
     inside = kind[folded]
     cutoff = np.zeros(n + 1, dtype=bool)
     cutoff[bounds] = True
