@@ -25,6 +25,7 @@ from . import textkit as tk
 from .common import ship
 
 IDENTITY = np.arange(256, dtype=np.uint8)
+SAME_WORD = 0x5A3D_19C6_77E4_02BF
 
 
 @dataclass(frozen=True)
@@ -33,8 +34,8 @@ class Settings:
     bits: int = 18
     size: int = 16
     grams: tuple[int, ...] = (3, 4)
-    epochs: int = 6
-    rate: float = 1.0
+    epochs: int = 10
+    rate: float = 2.0
     #: labelled documents of each class in the training sample, the first by a hash of doc_id
     per_class: int = 1000
     #: longer texts are not trained on (they are scored whole)
@@ -48,6 +49,8 @@ def features(buf: np.ndarray, bounds: np.ndarray, s: Settings) -> Iterator[tuple
     w = tk.words(buf, bounds, tk.NOT_WHITE, IDENTITY)
     yield (w.hashes >> drop).astype(np.int32), w.first
     pairs = tk.windows(w.hashes, 2)
+    # a word that follows itself is one feature, whatever the word
+    pairs[w.hashes[1:] == w.hashes[:-1]] = tk.U(SAME_WORD)
     inside = np.ones(len(pairs), dtype=bool)
     last = w.first[1:-1]
     inside[last[(last > 0) & (last <= len(pairs))] - 1] = False

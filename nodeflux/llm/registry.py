@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import chat, classifier, decontaminate, jaccard, linededup, packing, rules, sharding, warc
+from . import chat, classifier, decontaminate, jaccard, linededup, packing, rules, sharding, substrings, warc
 
 QUERIES = {
     "op1_quality_classifier": classifier.op1_quality_classifier,
@@ -14,6 +14,7 @@ QUERIES = {
     "op7_sharding": sharding.op7_sharding,
     "op8_jaccard_join": jaccard.op8_jaccard_join,
     "op9_line_dedup": linededup.op9_line_dedup,
+    "op10_suffix_dedup": substrings.op10_suffix_dedup,
 }
 ORACLES = {
     "op2_decontamination": decontaminate.OP2_SQL,
