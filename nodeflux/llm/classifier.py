@@ -20,11 +20,13 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from . import textkit as tk
 from .common import ship
 
 IDENTITY = np.arange(256, dtype=np.uint8)
+SCORE = "__score"
 SAME_WORD = 0x5A3D_19C6_77E4_02BF
 
 
@@ -163,8 +165,7 @@ def scorer(shared):
                     total += sums[cuts[1:]] - sums[cuts[:-1]]
                     n += np.diff(cuts)
                 out[a:b] = 1 / (1 + np.exp(-np.clip(total / np.maximum(n, 1) + shift, -500, 500)))
-            rest = [c for c in batch.schema.names if c != "text"]
-            yield pa.RecordBatch.from_arrays([batch.column(c) for c in rest] + [pa.array(out)], [*rest, "score"])
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(out)], [*batch.schema.names, SCORE])
 
     return score
 
@@ -179,12 +180,11 @@ def fit(docs: DataFrame, labels: DataFrame, column: str = "quality", s: Settings
     return model
 
 
-def score_documents(docs: DataFrame, model: Model) -> DataFrame:
-    """doc_id and score of every document."""
+def with_score(docs: DataFrame, model: Model) -> DataFrame:
+    """docs and a column SCORE; nothing is shuffled."""
     ship("nodeflux.llm.textkit", "nodeflux.llm.classifier")
     shared = docs.sparkSession.sparkContext.broadcast((model.weight(), model.shift(), model.settings))
-    kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.select("doc_id", "text").mapInArrow(scorer(shared), f"doc_id {kind}, score double")
+    return docs.mapInArrow(scorer(shared), T.StructType([*docs.schema.fields, T.StructField(SCORE, T.DoubleType())]))
 
 
 def held_out(doc_id="doc_id"):
@@ -194,5 +194,5 @@ def held_out(doc_id="doc_id"):
 def op1_quality_classifier(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet").select("doc_id", "quality").filter(~held_out())
-    scored = score_documents(docs, fit(docs, labels))
-    return scored.select("doc_id", held_out().alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+    scored = with_score(docs, fit(docs, labels))
+    return scored.select("doc_id", held_out().alias("held_out"), F.col(SCORE).alias("score"), (F.col(SCORE) >= 0.5).cast("int").alias("predicted"))

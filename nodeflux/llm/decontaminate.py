@@ -29,9 +29,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import textkit as tk
-from .common import cut, lower_ascii, ship
+from .common import ship
 
-WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 WIDTH = 10
 #: Bytes of item texts in a block; a larger benchmark takes several passes.
 BLOCK_BYTES = 32 << 20
@@ -248,11 +247,30 @@ def leak_report(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH) -> Da
     )
 
 
-def remove_leaks(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH) -> DataFrame:
-    """docs without the documents that hold a window of an item."""
-    leaky = cut(find_leaks(docs, benchmark, width).filter(F.size("spans") > 0).select("doc_id").distinct(), "leaky")
-    kept = docs.join(leaky, docs["doc_id"].eqNullSafe(leaky["doc_id"]), "left_anti")
-    return kept
+def clean_filter(block):
+    """mapInArrow: the rows whose text holds no window of the block."""
+
+    def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        search = Searcher(block.value)
+        for batch in batches:
+            buf, bounds = tk.raw(batch.column("text"))
+            clean = np.ones(batch.num_rows, dtype=bool)
+            for a, b in tk.runs(bounds):
+                part = buf[bounds[a] : bounds[b]]
+                w = tk.words(part, bounds[a : b + 1] - bounds[a], tk.ALNUM)
+                for _, p, _, _ in search.search(w, tk.FOLD[part].tobytes()) if len(w.starts) else ():
+                    clean[a + int(np.searchsorted(w.first, p, side="right")) - 1] = False
+            yield batch.filter(pa.array(clean))
+
+    return keep
+
+
+def remove_leaks(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    """docs without the documents that hold a window of an item; nothing is shuffled."""
+    ship("nodeflux.llm.textkit", "nodeflux.llm.decontaminate")
+    for block in item_blocks(benchmark, width, block_bytes):
+        docs = docs.mapInArrow(clean_filter(docs.sparkSession.sparkContext.broadcast(block)), docs.schema)
+    return docs
 
 
 def op2_decontamination(spark, sf_dir: str) -> DataFrame:
