@@ -7,11 +7,13 @@ own equal anchors, so consecutive starts with one anchor form a stretch, and
 1. a stretch whose anchor's hash is unique in the corpus holds no repeated string;
 2. a stretch whose whole bytes (hash of 128 bits with the anchor's) occur twice is repeated;
 3. only for the rest, mostly the ends of copied passages, suffixes are compared: stretches
-   are dealt by anchor, shards of them get their suffixes sorted and their transforms are
-   merged by interleave refinement. Each round stably redistributes the interleave by the
-   symbols that precede the suffixes, which orders the merged suffixes by two bytes more; the
-   round in which neighbours part gives their common prefix, without sorting again.
-   Intervals with a common prefix of `span` bytes and two members are the repeats.
+   are dealt by anchor and narrowed to the starts whose middle bytes stand in another stretch;
+   shards of them get their suffixes sorted and their transforms are merged by interleave
+   refinement. A transform's symbols are the STEP bytes in front of each suffix. Each round
+   stably redistributes the interleave by these symbols, which orders the merged suffixes by
+   STEP bytes more; the round in which neighbours part gives their common prefix, without
+   sorting again. Intervals with a common prefix of `span` bytes and two members are the
+   repeats.
 
 Counts of (1) and (2) are sums with partial aggregation; an anchor that has more stretches
 than a task should hold is resolved by hashes of the single strings instead of (3), which
@@ -37,8 +39,12 @@ from .common import cut, id_or_least, partitions, ship
 K = 96
 #: Stretches of one anchor that a task resolves by suffixes; beyond, by hashes.
 ANCHOR_STRETCHES = 2000
-#: Bytes of a shard whose suffixes are sorted at once, and of a merged set.
-SHARD_BYTES, MERGED_BYTES = 1 << 19, 1 << 22
+#: Bytes of a symbol of the transforms; `span` is a multiple.
+STEP = 40
+#: Starts that are narrowed down together.
+NARROW = 26
+#: Bytes of a shard whose suffixes are sorted at once, and of stretches that are gathered for a merge.
+SHARD_BYTES, MERGED_BYTES = 1 << 20, 1 << 21
 
 
 def stretches(buf: np.ndarray, bounds: np.ndarray, span: int) -> tuple[np.ndarray, ...]:
@@ -104,124 +110,164 @@ def anchor_reader(span: int):
 # -- suffixes of shards and their merge ---------------------------------------------------
 
 
+def window_hashes(data: np.ndarray, width: int) -> np.ndarray:
+    """Hash of the `width` symbols from each place of a cyclic text."""
+    n = len(data)
+    reps = -(-width // n)
+    twice = np.concatenate((data, *[data] * reps))[: n + width]
+    sums = np.zeros(n + width + 1, dtype=tk.U)
+    np.cumsum(SYMBOL_HASH[twice] * tk.powers(tk.BASE, n + width), out=sums[1:])
+    return tk.mix((sums[width : width + n] - sums[:n]) * tk.powers(tk.BASE_INVERSE, n), 21)
+
+
+def ranks(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(order, rank): places by key, and the dense rank of each place's key."""
+    order = np.argsort(keys)
+    ordered = keys[order]
+    rank = np.empty(len(keys), dtype=np.int64)
+    rank[order] = np.cumsum(np.concatenate(([0], (ordered[1:] != ordered[:-1]).astype(np.int64))))
+    return order, rank
+
+
+SYMBOL_HASH = tk.mix(np.arange(257, dtype=tk.U), 23)
+
+
 class Shard:
-    """Stretches laid end to end, each closed by zeros, with their suffixes in order.
+    """Stretches laid end to end, each closed by a zero and all by STEP zeros, with their suffixes in order.
 
-    Symbols are bytes plus one, so the closing zeros sort first. `before` holds, in suffix
-    order, the two symbols in front of each suffix, which is the transform that is merged.
+    Bytes are kept plus one. `before` holds, in suffix order, the symbol in front of each
+    suffix: the transform that is merged. Symbols are ordered by their hashes.
     """
 
-    def __init__(self, data: np.ndarray, order: np.ndarray) -> None:
-        self.data, self.order = data, order
-        n = len(data)
-        p = order
-        self.before = data[(p - 2) % n].astype(np.uint32) * 257 + data[(p - 1) % n]
+    def __init__(self, data: np.ndarray, order: np.ndarray, symbol: np.ndarray) -> None:
+        self.data, self.order, self.symbol = data, order, symbol
+        self.before = symbol[order - STEP]
 
     @staticmethod
-    def of(parts: list[np.ndarray]) -> Shard:
-        gap = np.zeros(2, np.uint16)
-        data = np.concatenate([x for part in parts for x in (part.astype(np.uint16) + 1, gap)])
-        return Shard(data, sorted_suffixes(data))
-
-
-def sorted_suffixes(data: np.ndarray, depth: int = 256) -> np.ndarray:
-    """Suffix order by (at least) `depth` symbols of the cyclic text, by doubling of ranks."""
-    n = len(data)
-    rank = data.astype(np.int64)
-    have = 1
-    order = np.argsort(rank, kind="stable")
-    while have < depth:
-        key = rank * (int(rank.max()) + 1) + np.roll(rank, -have)
-        order = np.argsort(key, kind="stable")
-        ordered = key[order]
-        rank = np.empty(n, np.int64)
-        rank[order] = np.cumsum(np.concatenate(([0], (ordered[1:] != ordered[:-1]).astype(np.int64))))
-        have *= 2
-        if rank.max() == n - 1:
-            break
-    return order
+    def of(parts: list[np.ndarray], span: int) -> Shard:
+        one, end = np.zeros(1, np.uint16), np.zeros(STEP, np.uint16)
+        data = np.concatenate([x for part in parts for x in (part.astype(np.uint16) + 1, one)] + [end])
+        symbol = window_hashes(data, STEP)
+        order, first = ranks(symbol)
+        rank, have, top = first, STEP, len(data) + 1
+        while have < span:  # order by twice as much, at last by what is left
+            more = min(have, span - have)
+            order, rank = ranks(rank * top + np.roll(rank if more == have else first, -have if more == have else -(span - STEP)))
+            have += more if more == have else STEP
+        return Shard(data, order, symbol)
 
 
 def merge(a: Shard, b: Shard, span: int) -> tuple[Shard, np.ndarray]:
-    """The merged shard and, for neighbours in its order, their common prefix (up to span, in steps of two).
+    """The merged shard and, for neighbours in its order, their common prefix in whole symbols, up to span.
 
     The interleave says for each place whether a suffix of a or of b stands there. Sorting
-    the places stably by the symbols before their suffixes gives the order by two symbols
+    the places stably by the symbols before their suffixes gives the order by one symbol
     more, as both shards' own orders stay as they are.
     """
     na, nb = len(a.order), len(b.order)
     n = na + nb
     _, symbols = np.unique(np.concatenate((a.before, b.before)), return_inverse=True)
-    symbols = symbols.astype(np.uint16) if symbols.max() < 1 << 16 else symbols.astype(np.uint32)
-    sym_a, sym_b = symbols[:na], symbols[na:]
+    low, high = (symbols & 0xFFFF).astype(np.uint16), (symbols >> 16).astype(np.uint16)
     side = np.concatenate((np.zeros(na, bool), np.ones(nb, bool)))
-    group = np.zeros(n, dtype=np.int64)  # places of one group share the prefix so far
-    prefix = np.full(n, -1, dtype=np.int64)
-    prefix[0] = 0
-    for done in range(0, span + 2, 2):
-        sym = np.empty(n, dtype=symbols.dtype)
-        sym[~side] = sym_a
-        sym[side] = sym_b
-        order = np.argsort(sym, kind="stable")
-        moved, s, g = side[order], sym[order], group[order]
+    group = np.zeros(n, dtype=np.int32)  # places of one group share the prefix so far
+    prefix = np.full(n, span, dtype=np.int32)
+    for done in range(0, span, STEP):
+        at = np.empty(n, dtype=np.int32)
+        at[~side] = np.arange(na, dtype=np.int32)
+        at[side] = np.arange(na, n, dtype=np.int32)
+        order = np.argsort(low[at], kind="stable")
+        order = order[np.argsort(high[at[order]], kind="stable")]
+        s, g = at[order], group[order]
+        s = symbols[s]
+        side = side[order]
         new = np.concatenate(([True], (s[1:] != s[:-1]) | (g[1:] != g[:-1])))
-        parted = new & (prefix < 0)
-        prefix[parted] = done
-        fresh = np.cumsum(new) - 1
-        if np.array_equal(moved, side) and fresh[-1] == group[-1] and done:
-            side, group = moved, fresh
-            break
-        side, group = moved, fresh
-    prefix[prefix < 0] = span
-    prefix = np.minimum(prefix, span)
+        prefix[new & (prefix == span)] = done
+        group = np.cumsum(new, dtype=np.int32) - 1
     data = np.concatenate((a.data, b.data))
     order = np.empty(n, dtype=np.int64)
     order[~side] = a.order
-    order[side] = b.order + len(a.data)
-    return Shard(data, order), prefix
+    order[side] = b.order + na
+    return Shard(data, order, np.concatenate((a.symbol, b.symbol))), prefix
+
+
+def neighbour_prefixes(s: Shard, span: int) -> np.ndarray:
+    """For a single shard: its neighbours' common symbols."""
+    prefix = np.full(len(s.order), span, dtype=np.int32)
+    for done in range(span - STEP, -1, -STEP):
+        x = s.symbol[(s.order + done) % len(s.order)]
+        prefix[1:][x[1:] != x[:-1]] = done
+    prefix[0] = 0
+    return prefix
 
 
 def repeated_starts(parts: list[np.ndarray], counts: list[int], span: int, shard_bytes: int = SHARD_BYTES) -> list[np.ndarray]:
     """For each part, which of its first counts[i] starts have a span-byte string that stands elsewhere too."""
     if not parts:
         return []
-    where = np.cumsum([0] + [len(p) + 2 for p in parts])
-    shards, held, size = [], [], 0
-    for p in parts:
+    shards, where, held, size, base = [], [], [], 0, 0
+    for i, p in enumerate(parts):
+        where.append(base + size)
         held.append(p)
-        size += len(p)
-        if size >= shard_bytes:
-            shards.append(Shard.of(held))
+        size += len(p) + 1
+        if size >= shard_bytes or i + 1 == len(parts):
+            shards.append(Shard.of(held, span))
+            base += size + STEP
             held, size = [], 0
-    if held:
-        shards.append(Shard.of(held))
     prefix = None
     while len(shards) > 1:
         paired = [merge(shards[i], shards[i + 1], span) if i + 1 < len(shards) else (shards[i], None) for i in range(0, len(shards), 2)]
         shards, prefix = [s for s, _ in paired], paired[0][1]
     whole = shards[0]
-    if prefix is None:  # a single shard: compare neighbours of its own order
-        prefix = neighbour_prefixes(whole, span)
-    same = prefix >= span
+    same = (neighbour_prefixes(whole, span) if prefix is None else prefix) >= span
     hit = np.zeros(len(whole.data), dtype=bool)
     hit[whole.order[1:][same[1:]]] = True
     hit[whole.order[:-1][same[1:]]] = True
-    return [hit[where[i] : where[i] + counts[i]] for i in range(len(parts))]
+    return [hit[w : w + c] for w, c in zip(where, counts, strict=True)]
 
 
-def neighbour_prefixes(s: Shard, span: int) -> np.ndarray:
-    """Whether neighbours share span symbols: their hashes tell, as all were sorted to that depth."""
-    n = len(s.data)
-    twice = np.concatenate((s.data, s.data[:span])).astype(tk.U)
-    sums = np.zeros(n + span + 1, dtype=tk.U)
-    np.cumsum(tk.mix(twice, 21) * tk.powers(tk.BASE, n + span), out=sums[1:])
-    h = ((sums[span : span + n] - sums[:n]) * tk.powers(tk.BASE_INVERSE, n))[s.order]
-    return np.concatenate(([0], np.where(h[1:] == h[:-1], span, 0)))
+def narrowed(data: list[np.ndarray], counts: np.ndarray, at: np.ndarray, span: int) -> list[tuple[int, int, int]]:
+    """(row, first start, starts) that may be repeated.
+
+    Starts whose distance to the anchor falls in one range of NARROW share span - NARROW + 1
+    bytes around the anchor; if these stand in no other stretch, no such start is repeated.
+    """
+    flat = np.concatenate(data)
+    begin = np.concatenate(([0], np.cumsum([len(d) for d in data])))[:-1]
+    sums = np.zeros(len(flat) + 1, dtype=tk.U)
+    np.cumsum(tk.BYTE_HASH[flat] * tk.powers(tk.BASE, len(flat)), out=sums[1:])
+    back = tk.powers(tk.BASE_INVERSE, len(flat) + 1)
+    rows, lows, highs, keys = [], [], [], []
+    for q in range((span - K) // NARROW + 1):
+        low, high = np.maximum(0, at - NARROW * q - NARROW + 1), np.minimum(counts - 1, at - NARROW * q)
+        use = np.flatnonzero(low <= high)
+        s = begin[use] + at[use] - NARROW * q
+        rows.append(use)
+        lows.append(low[use])
+        highs.append(high[use])
+        keys.append(tk.mix((sums[s + span - NARROW + 1] - sums[s]) * back[s], q))
+    row, low, high, key = (np.concatenate(x) for x in (rows, lows, highs, keys))
+    _, inverse, held = np.unique(key, return_inverse=True, return_counts=True)
+    alive = held[inverse] > 1
+    out: list[tuple[int, int, int]] = []
+    for r, a, b in sorted(zip(row[alive].tolist(), low[alive].tolist(), high[alive].tolist(), strict=True)):
+        if out and out[-1][0] == r and out[-1][1] + out[-1][2] == a:
+            out[-1] = (r, out[-1][1], b + 1 - out[-1][1])
+        else:
+            out.append((r, a, b + 1 - a))
+    return out
 
 
 SPANS = "id long, th long, s int, e int"
 
 
+def anchor_place(data: np.ndarray, anchor: np.uint64) -> int:
+    """Where the anchor's K-gram begins in a stretch: the owner of its first start is the leftmost."""
+    sums = np.zeros(len(data) + 1, dtype=tk.U)
+    np.cumsum(tk.BYTE_HASH[data] * tk.powers(tk.BASE, len(data)), out=sums[1:])
+    grams = tk.mix((sums[K:] - sums[:-K]) * tk.powers(tk.BASE_INVERSE, len(data))[: len(data) - K + 1], 9)
+    return int((grams == anchor).argmax())
+
+
 def stretch_bytes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """mapInArrow: texts with their stretches to one row a stretch with its bytes."""
     for batch in batches:
@@ -232,11 +278,13 @@ def stretch_bytes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
         row = np.repeat(np.arange(batch.num_rows), np.diff(at))
         use = slice(at[0], at[-1])
         begin = bounds[row] + first[use]
-        data = [buf[s : s + n].tobytes() for s, n in zip(begin.tolist(), length[use].tolist(), strict=True)]
+        data = [buf[s : s + n] for s, n in zip(begin.tolist(), length[use].tolist(), strict=True)]
+        place = [anchor_place(d, a) for d, a in zip(data, anchor[use].view(tk.U), strict=True)]
         yield pa.RecordBatch.from_arrays(
             [pa.array(anchor[use]), batch.column("id").take(pa.array(row)), batch.column("th").take(pa.array(row)),
-             pa.array(first[use].astype(np.int32)), pa.array(count[use].astype(np.int32)), pa.array(data, pa.binary())],
-            ["anchor", "id", "th", "first", "count", "data"],
+             pa.array(first[use].astype(np.int32)), pa.array(count[use].astype(np.int32)), pa.array(place, pa.int32()),
+             pa.array([d.tobytes() for d in data], pa.binary())],
+            ["anchor", "id", "th", "first", "count", "place", "data"],
         )
 
 
@@ -251,23 +299,26 @@ def resolver(span: int):
         size, last = 0, None
 
         def flush() -> pa.RecordBatch:
-            found = repeated_starts([np.frombuffer(r[4], np.uint8) for r in rows], [r[3] for r in rows], span)
+            data = [np.frombuffer(r[5], np.uint8) for r in rows]
+            open_ = narrowed(data, np.array([r[3] for r in rows]), np.array([r[4] for r in rows]), span)
+            found = repeated_starts([data[i][a : a + n + span - 1] for i, a, n in open_], [n for _, _, n in open_], span)
             out: list[tuple[int, int, int, int]] = []
-            for (doc, th, first, _, _), hit in zip(rows, found, strict=True):
+            for (i, a, _), hit in zip(open_, found, strict=True):
+                doc, th, first = rows[i][:3]
                 edge = np.flatnonzero(np.diff(np.concatenate(([0], hit.view(np.int8), [0]))))
                 for s, e in zip(edge[::2].tolist(), edge[1::2].tolist(), strict=True):
-                    out.append((doc, th, first + s, first + e - 1 + span))
+                    out.append((doc, th, first + a + s, first + a + e - 1 + span))
             cols = list(zip(*out, strict=True)) or [[]] * 4
             kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int32())
             return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], ["id", "th", "s", "e"])
 
         for batch in batches:
-            cols = [batch.column(c).to_pylist() for c in ("anchor", "id", "th", "first", "count", "data")]
-            for anchor, doc, th, first, count, data in zip(*cols, strict=True):
+            cols = [batch.column(c).to_pylist() for c in ("anchor", "id", "th", "first", "count", "place", "data")]
+            for anchor, doc, th, first, count, place, data in zip(*cols, strict=True):
                 if anchor != last and size >= MERGED_BYTES:
                     yield flush()
                     rows, size = [], 0
-                rows.append((doc, th, first, count, data))
+                rows.append((doc, th, first, count, place, data))
                 size += len(data)
                 last = anchor
         if rows:
@@ -330,7 +381,7 @@ def repeated_spans(docs: DataFrame, span: int = 200) -> DataFrame:
         F.struct("x.first", "x.count", "anchor", (F.col("x.count") + span - 1).alias("length"), "kinds").alias("pick"),
     ).groupBy("id", "th").agg(F.collect_list("pick").alias("picks"))
     once = texts.join(picks, ["id", "th"]).dropDuplicates(["id", "th"])
-    rows = cut(once.mapInArrow(stretch_bytes, "anchor long, id long, th long, first int, count int, data binary"), "bwt-open")
+    rows = cut(once.mapInArrow(stretch_bytes, "anchor long, id long, th long, first int, count int, place int, data binary"), "bwt-open")
     many = open_.filter(F.col("kinds") > ANCHOR_STRETCHES).select("anchor").distinct()
     many = cut(many, "bwt-hot")
     hot = many.count() > 0
