@@ -18,7 +18,8 @@ from nodeflux.sources.tables import load
 def read_events(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The events table as a stream of files with a fixed schema."""
     schema = load(spark, sf_dir, "events").schema
-    return spark.readStream.schema(schema).option("pathGlobFilter", "events*.parquet").parquet(sf_dir)
+    rows = spark.readStream.schema(schema).option("pathGlobFilter", "events*.parquet").parquet(sf_dir)
+    return rows.withColumn("ts", F.col("ts").cast("timestamp"))  # watermarks need a time with a zone
 
 
 def with_edges(events: DataFrame, delay: str = "10 minutes") -> DataFrame:
