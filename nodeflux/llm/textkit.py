@@ -17,7 +17,7 @@ MASK = (1 << 64) - 1
 BASE = 0x9E3779B97F4A7C15 | 1
 BASE_INVERSE = pow(BASE, -1, 1 << 64)
 #: Texts are handled in runs of about so many bytes; a longer text makes a run of its own.
-RUN_BYTES = 1 << 21
+RUN_BYTES = 1 << 19
 
 
 def mix(x: np.ndarray, salt: int = 0) -> np.ndarray:
@@ -40,7 +40,15 @@ NOT_WHITE[[9, 10, 11, 12, 13, 32]] = False
 ALNUM = np.zeros(256, dtype=bool)
 ALNUM[48:58] = ALNUM[97:123] = ALNUM[128:] = True
 
-_powers: dict[int, np.ndarray] = {}
+
+class Kept(dict):
+    """A cache that stays in its process: sent to a task, it arrives empty."""
+
+    def __reduce__(self):
+        return (Kept, ())
+
+
+_powers: dict[int, np.ndarray] = Kept()
 
 
 def powers(base: int, n: int) -> np.ndarray:
