@@ -3,11 +3,17 @@
 Sets of a size band differ from a partner by at most H elements. The hash range is cut into
 segments; segment i gets a value v (0: the subset itself is a signature; 1: also every
 subset with one element left out). If the v + 1 sum to H + 1, two similar sets share a
-signature in some segment. How many segments get which value is decided by cost: rows
-emitted, against the chance collisions expected for the table's size.
+signature in some segment; if they sum to that and e times the largest v + 1 more, in e + 1
+segments. So signatures that many documents share (empty subsets, and those that occur twice
+in a sample, as parts of common passages do) are needed only from sets with such ones in more
+than e segments: two sets of which one has fewer also share another signature. How many
+segments get which value, and e, are decided by cost: rows emitted, against the chance
+collisions expected for the table's size. The sample changes costs and never results.
 
 Documents that share a signature are linked to the least of them (a star, never all pairs).
-Components of that graph hold every true link. Inside a component distinct sets are dealt
+Components of that graph hold every true link. Where chance links have made a large one, its
+sets get signatures of another universe partition, for themselves: true links stay, chance
+links mostly do not come twice. Inside a component distinct sets are dealt
 into blocks by size band, pairs of blocks are compared exactly (shared shingles counted by
 matrix products), and each pair of blocks returns a spanning forest of the links it found.
 
@@ -37,6 +43,14 @@ BLOCK = 256
 BROADCAST_IDS = 200_000
 #: Set hashes that a task remembers, to send the signatures of equal sets once.
 SEEN = 200_000
+#: Documents of the sample that shows which signatures are common.
+SAMPLE = 10_000
+#: Segments with common signatures that a document may have by chance, and rows that a chance link is worth.
+COMMON_MEAN, LINK_COST = 1.0, 1000
+#: Components of more sets are partitioned anew, at most so many times.
+LARGE, ROUNDS = 512, 4
+#: Signatures that are packed or sorted at once, and parts of a partition.
+PACKED, PARTS = 750_000, 8
 
 
 def size_bands(longest: int, percent: int) -> np.ndarray:
@@ -52,34 +66,62 @@ def most_different(high: int, percent: int) -> int:
     return (100 - percent) * (high + high * 100 // percent) // (100 + percent)
 
 
-def allocate(size: int, h: int, n_docs: int) -> tuple[int, int]:
-    """(segments with v = 0, segments with v = 1) of least cost for sets of about `size` elements.
+def more_than(e: int, mean: float) -> float:
+    """Chance that a Poisson number exceeds e."""
+    term = total = math.exp(-mean)
+    for k in range(1, e + 1):
+        term *= mean / k
+        total += term
+    return max(0.0, 1.0 - total)
+
+
+_allocated: dict[tuple[int, int, int], tuple[int, int, int]] = tk.Kept()
+
+
+def allocate(size: int, h: int, n_docs: int) -> tuple[int, int, int]:
+    """(segments with v = 0, segments with v = 1, e) of least cost for sets of about `size` elements.
 
     A document emits plain + one_out * (1 + elements of a segment) rows; by chance it meets
-    the documents in whose segment the same few elements lie, foremost none at all.
+    the documents that also emit signatures of empty subsets.
     """
-    best, found = math.inf, (h + 1, 0)
-    for one_out in sorted({0, *(int((h + 1) * f / 2) for f in (0.25, 0.5, 0.75)), (h + 1) // 2, (h + 2) // 2}):
-        plain = max(h + 1 - 2 * one_out, 0)
-        m = plain + one_out
-        each = size / m
-        rows = plain + one_out * (1 + each)
-        bare = math.exp(-each)
-        chance = n_docs * (plain * bare**2 + one_out * (bare * (1 + each)) ** 2)
-        if rows + chance < best:
-            best, found = rows + chance, (plain, one_out)
+    if (size, h, n_docs) in _allocated:
+        return _allocated[size, h, n_docs]
+    best, found = math.inf, (h + 1, 0, 0)
+    for spare in (0, 1, 2, 3, 4, 6, 8, 10, 12, 16):
+        for share in (0.0, 0.25, 0.5, 0.75, 1.0):
+            need = h + 1 + spare * (2 if share else 1)
+            one_out = math.ceil(need * share / 2)
+            plain = max(need - 2 * one_out, 0)
+            each = size / (plain + one_out)
+            bare = math.exp(-each)
+            rows = plain + one_out * (1 + each)
+            chance = n_docs * more_than(spare, COMMON_MEAN + plain * bare + one_out * bare * (1 + each)) ** 2
+            if rows + LINK_COST * chance < best:
+                best, found = rows + LINK_COST * chance, (plain, one_out, spare)
+    _allocated[size, h, n_docs] = found
     return found
 
 
-def signatures(sets: np.ndarray, bounds: np.ndarray, low: np.ndarray, percent: int, n_docs: int) -> tuple[np.ndarray, np.ndarray]:
-    """Signatures of each set, for its own band and for the band below."""
+def signatures(
+    sets: np.ndarray, bounds: np.ndarray, low: np.ndarray, percent: int, n_docs: int, common: np.ndarray | None = None, group: np.ndarray | None = None
+) -> tuple[np.ndarray, np.ndarray]:
+    """Signatures of each set, for its own band and for the band below; all of them if `common` (sorted) is None.
+
+    Sets of different groups share none.
+    """
+
+    def known(x: np.ndarray) -> np.ndarray:
+        if common is None or not len(common):
+            return np.zeros(len(x), dtype=bool)
+        return common[np.minimum(np.searchsorted(common, x), len(common) - 1)] == x
+
     n = np.diff(bounds)
     band = np.searchsorted(low, n, side="right") - 1
-    plain, one_out = np.zeros(len(low), np.int64), np.zeros(len(low), np.int64)
+    plain, one_out, spare = (np.zeros(len(low), np.int64) for _ in range(3))
     for b in np.unique(np.concatenate((band, band - 1))):
         if b >= 0:
             high = int(low[b + 1] - 1) if b + 1 < len(low) else int(low[b] * 100 // percent)
-            plain[b], one_out[b] = allocate(high, most_different(high, percent), n_docs)
+            plain[b], one_out[b], spare[b] = allocate(high, most_different(high, percent), n_docs)
     owner, found = [], []
     mixed = tk.mix(sets.copy(), 3)
     of = np.repeat(np.arange(len(n)), n)
@@ -91,75 +133,198 @@ def signatures(sets: np.ndarray, bounds: np.ndarray, low: np.ndarray, percent: i
         mine = use[of]
         o, x = of[mine], mixed[mine]
         # sets are sorted, so a segment (a range of hashes) is a run of elements
-        seg = ((sets[mine] >> tk.U(32)) * m[o].astype(tk.U)) >> tk.U(32)
-        slot = base[o] + seg.astype(np.int64)
-        total = np.zeros(base[-1], dtype=tk.U)
+        seg = (((sets[mine] >> tk.U(32)) * m[o].astype(tk.U)) >> tk.U(32)).astype(np.int64)
+        slot = base[o] + seg
+        total, count = np.zeros(base[-1], dtype=tk.U), np.bincount(slot, minlength=base[-1])
         if len(slot):
             heads = np.flatnonzero(np.concatenate(([True], slot[1:] != slot[:-1])))
             total[slot[heads]] = np.add.reduceat(x, heads)
         doc = np.repeat(np.arange(len(n)), m)
         index = np.arange(base[-1]) - base[doc]
+        dropped = one_out[np.maximum(b, 0)]  # segments with v = 1 come first
         tag = (b[doc] * (1 << 32) + index).astype(tk.U) * tk.U(0xA24BAED4963EE407)
-        owner.append(doc)
-        found.append(tk.mix(total + tag, 5))
-        # one-out segments come first
-        some = seg.astype(np.int64) < one_out[np.maximum(b, 0)][o]
-        if some.any():
-            owner.append(o[some])
-            found.append(tk.mix(total[slot[some]] - x[some] + tag[slot[some]], 5))
+        if group is not None:
+            tag += tk.mix(group.astype(tk.U), 7)[doc]
+        own = tk.mix(total + tag, 5)
+        shared = known(own)
+        scarce = shared | (count <= (index < dropped[doc]))
+        some = np.flatnonzero(seg < dropped[o])
+        out = tk.mix(total[slot[some]] - x[some] + tag[slot[some]], 5)
+        out_shared = known(out)
+        scarce[slot[some[out_shared]]] = True
+        every = np.bincount(doc[scarce], minlength=len(n)) > spare[np.maximum(b, 0)]
+        if common is None:
+            every[:] = True
+        send = ((count > 0) & ~shared) | every[doc]
+        owner.append(doc[send])
+        found.append(own[send])
+        send = ((count[slot[some]] > 1) & ~out_shared) | every[o[some]]
+        owner.append(o[some][send])
+        found.append(out[send])
     owner, found = np.concatenate(owner), np.concatenate(found)
     order = np.argsort(owner, kind="stable")
     counts = np.bincount(owner, minlength=len(n))
     return found[order], np.concatenate(([0], np.cumsum(counts)))
 
 
-SETS = "id long, n_shingles long, s1 long, s2 long, sigs array<long>"
+def partitioned(sets: np.ndarray, cuts: np.ndarray, salt: int) -> np.ndarray:
+    """The elements under the universe partition of a salt, sorted within each set."""
+    if not salt:
+        return sets
+    other = tk.mix(sets.copy(), 1000 + salt)
+    for i in range(len(cuts) - 1):
+        other[cuts[i] : cuts[i + 1]].sort()
+    return other
+
 
+def shingle_runs(batch: pa.RecordBatch, width: int) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+    """(first row, end row, shingles, bounds) of runs of a batch's texts."""
+    buf, bounds = tk.raw(batch.column("text"))
+    for a, b in tk.runs(bounds):
+        at = bounds[a : b + 1] - bounds[a]
+        yield a, b, *tk.shingles(tk.words(buf[bounds[a] : bounds[b]], at, tk.NOT_WHITE), width)
 
-def set_reader(width: int, percent: int, n_docs: int):
-    """mapInArrow: (id, text) to size, hash and signatures of each set."""
+
+def set_hashes(sets: np.ndarray, cuts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    out = []
+    for salt in (1, 2):
+        sums = np.concatenate((np.zeros(1, tk.U), np.cumsum(tk.mix(sets.copy(), salt))))
+        out.append(sums[cuts[1:]] - sums[cuts[:-1]])
+    return out[0], out[1]
+
+
+def set_reader(width: int):
+    """mapInArrow: (id, text) to size and hash of each set."""
+
+    def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for a, b, sets, cuts in shingle_runs(batch, width):
+                s1, s2 = set_hashes(sets, cuts)
+                yield pa.RecordBatch.from_arrays(
+                    [batch.column("id").slice(a, b - a), tk.longs(np.diff(cuts)), tk.longs(s1), tk.longs(s2)], ["id", "n_shingles", "s1", "s2"]
+                )
+
+    return read
+
+
+def signature_sampler(width: int, percent: int, n_docs: int, salt: int):
+    """mapInArrow: (id, grp, text) to all signatures (sig) of the distinct sets of a task's sample."""
+
+    def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            group = batch.column("grp").to_numpy(zero_copy_only=False)
+            for a, b, sets, cuts in shingle_runs(batch, width):
+                n = np.diff(cuts)
+                sets = partitioned(sets, cuts, salt)
+                sigs, _ = signatures(sets, cuts, size_bands(int(n.max(initial=1)), percent), percent, n_docs, None, group[a:b])
+                yield pa.RecordBatch.from_arrays([tk.longs(sigs)], ["sig"])
+
+    return read
+
+
+def common_signatures(texts: DataFrame, width: int, percent: int, n_docs: int, salt: int) -> np.ndarray:
+    """Signatures that occur twice among SAMPLE documents or so; at most half of all that these have."""
+    sample = texts.sample(min(1.0, SAMPLE / max(n_docs, 1)), seed=5)
+    twice = sample.mapInArrow(signature_sampler(width, percent, n_docs, salt), "sig long").groupBy("sig").count().filter("count > 1").select("sig")
+    return np.sort(twice.toPandas()["sig"].to_numpy(dtype=np.int64).view(tk.U))
+
+
+def signature_packer(width: int, percent: int, n_docs: int, parts: int, common, salt: int):
+    """mapInArrow: (id, grp, text) to packs (part, sigs, ids) of the signatures of sets this task has not met before.
+
+    A pack holds the signatures of many sets that go to one part, so that a signature costs
+    its hash and little more.
+    """
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[tuple[int, int]] = set()
+        held: list[tuple[np.ndarray, np.ndarray]] = []
+        size = 0
+
+        def packs() -> pa.RecordBatch:
+            sig, ids = (np.concatenate(x) for x in zip(*held, strict=True))
+            part = (sig % tk.U(parts)).astype(np.int32)
+            order = np.argsort(part, kind="stable")
+            found, at = np.unique(part[order], return_index=True)
+            cuts = np.append(at, len(order))
+            return pa.RecordBatch.from_arrays(
+                [pa.array(found), tk.lists(sig[order], cuts), tk.lists(ids[order], cuts)], ["part", "sigs", "ids"]
+            )
+
         for batch in batches:
-            buf, bounds = tk.raw(batch.column("text"))
             ids = batch.column("id").to_numpy(zero_copy_only=False)
-            for a, b in tk.runs(bounds):
-                at = bounds[a : b + 1] - bounds[a]
-                sets, cuts = tk.shingles(tk.words(buf[bounds[a] : bounds[b]], at, tk.NOT_WHITE), width)
-                n = np.diff(cuts)
-                one = np.concatenate((np.zeros(1, tk.U), np.cumsum(tk.mix(sets.copy(), 1))))
-                two = np.concatenate((np.zeros(1, tk.U), np.cumsum(tk.mix(sets.copy(), 2))))
-                s1, s2 = one[cuts[1:]] - one[cuts[:-1]], two[cuts[1:]] - two[cuts[:-1]]
-                low = size_bands(int(n.max(initial=1)), percent)
-                sigs, edges = signatures(sets, cuts, low, percent, n_docs)
-                if len(seen) > SEEN:
-                    seen.clear()
+            group = batch.column("grp").to_numpy(zero_copy_only=False)
+            for a, b, sets, cuts in shingle_runs(batch, width):
+                s1, s2 = set_hashes(sets, cuts)
+                sets = partitioned(sets, cuts, salt)
                 fresh = np.zeros(b - a, dtype=bool)
                 for i, key in enumerate(zip(s1.tolist(), s2.tolist(), strict=True)):
                     if key not in seen:
                         seen.add(key)
                         fresh[i] = True
-                sent = np.where(fresh, np.diff(edges), 0)
-                kept = sigs[np.repeat(fresh, np.diff(edges))]
-                yield pa.RecordBatch.from_arrays(
-                    [tk.longs(ids[a:b]), tk.longs(n), tk.longs(s1), tk.longs(s2), tk.lists(kept, np.concatenate(([0], np.cumsum(sent))))],
-                    ["id", "n_shingles", "s1", "s2", "sigs"],
-                )
+                if len(seen) > SEEN:
+                    seen.clear()
+                n = np.diff(cuts)
+                kept = sets[np.repeat(fresh, n)]
+                bounds = np.concatenate(([0], np.cumsum(n[fresh])))
+                low = size_bands(int(n.max(initial=1)), percent)
+                sigs, edges = signatures(kept, bounds, low, percent, n_docs, common.value, group[a:b][fresh])
+                held.append((sigs, np.repeat(ids[a:b][fresh], np.diff(edges))))
+                size += len(sigs)
+                if size >= PACKED:
+                    yield packs()
+                    held, size = [], 0
+        if size:
+            yield packs()
 
     return read
 
 
+def star_reader(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """mapInArrow over packs sorted by part: (a, b) links of each id to the least one with its signature.
+
+    Packs are taken in chunks; between chunks one id is kept for each signature of the part.
+    """
+    part, sigs, ids, size = None, [], [], 0
+
+    def stars() -> pa.RecordBatch:
+        sig, doc = np.concatenate(sigs), np.concatenate(ids)
+        order = np.lexsort((doc, sig))
+        sig, doc = sig[order], doc[order]
+        new = np.concatenate(([True], sig[1:] != sig[:-1]))
+        heads = np.flatnonzero(new)
+        hub = np.repeat(doc[heads], np.diff(np.append(heads, len(sig))))
+        differ = hub != doc
+        links = np.unique(np.stack((hub[differ], doc[differ])), axis=1)
+        sigs[:], ids[:] = [sig[heads]], [doc[heads]]
+        return pa.RecordBatch.from_arrays([pa.array(links[0]), pa.array(links[1])], ["a", "b"])
+
+    for batch in batches:
+        where = batch.column("part").to_numpy(zero_copy_only=False)
+        bounds = [batch.column(c).offsets.to_numpy() for c in ("sigs", "ids")]
+        flat = [batch.column(c).values.to_numpy(zero_copy_only=False) for c in ("sigs", "ids")]
+        for i in range(batch.num_rows):
+            if where[i] != part and size:
+                yield stars()
+                sigs, ids, size = [], [], 0
+            part = where[i]
+            sigs.append(flat[0][bounds[0][i] : bounds[0][i + 1]].copy())
+            ids.append(flat[1][bounds[1][i] : bounds[1][i + 1]].copy())
+            size += len(sigs[-1])
+            if size >= PACKED:
+                yield stars()
+                size = len(sigs[0])
+    if size:
+        yield stars()
+
+
 def shingle_reader(width: int):
     """mapInArrow: appends the shingle hashes of `text`, which is dropped."""
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            buf, bounds = tk.raw(batch.column("text"))
             rest = [c for c in batch.schema.names if c != "text"]
-            for a, b in tk.runs(bounds):
-                at = bounds[a : b + 1] - bounds[a]
-                sets, cuts = tk.shingles(tk.words(buf[bounds[a] : bounds[b]], at, tk.NOT_WHITE), width)
+            for a, b, sets, cuts in shingle_runs(batch, width):
                 part = batch.slice(a, b - a)
                 yield pa.RecordBatch.from_arrays([part.column(c) for c in rest] + [tk.lists(sets, cuts)], [*rest, "shingles"])
 
@@ -245,34 +410,41 @@ def pair_checker(percent: int):
     return check
 
 
-def candidate_links(sets: DataFrame) -> DataFrame:
-    """(a, b): each document that shares a signature, with the least one that has it.
+def candidate_links(texts: DataFrame, width: int, percent: int, n_docs: int, salt: int = 0) -> DataFrame:
+    """(a, b): each row of (id, grp, text) that shares a signature, with the least id that has it."""
+    n = partitions(texts)
+    common = texts.sparkSession.sparkContext.broadcast(common_signatures(texts, width, percent, n_docs, salt))
+    packs = texts.mapInArrow(signature_packer(width, percent, n_docs, PARTS * n, common, salt), "part int, sigs array<long>, ids array<long>")
+    return packs.repartition(n, "part").sortWithinPartitions("part").mapInArrow(star_reader, "a long, b long").distinct()
 
-    Rows of one signature are sorted and streamed; a task keeps one id, not the group.
-    """
-    rows = sets.select("id", F.explode("sigs").alias("sig"))
-    dealt = rows.repartition(partitions(sets), "sig").sortWithinPartitions("sig", "id")
 
-    def stars(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last_sig, last_hub = None, None
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            ids = batch.column("id").to_numpy(zero_copy_only=False)
-            sig = batch.column("sig").to_numpy(zero_copy_only=False)
-            new = np.concatenate(([last_sig is None or sig[0] != last_sig], sig[1:] != sig[:-1]))
-            heads = np.maximum.accumulate(np.where(new, np.arange(len(sig)), -1))
-            hub = np.where(heads >= 0, ids[np.maximum(heads, 0)], last_hub if last_hub is not None else 0)
-            last_sig, last_hub = int(sig[-1]), int(hub[-1])
-            links = np.unique(np.stack((hub, ids))[:, hub != ids], axis=1)
-            yield pa.RecordBatch.from_arrays([pa.array(links[0]), pa.array(links[1])], ["a", "b"])
+def hinted(rows: DataFrame) -> DataFrame:
+    return F.broadcast(rows) if rows.count() <= BROADCAST_IDS else rows
+
 
-    return dealt.mapInArrow(stars, "a long, b long").distinct()
+def refined(texts: DataFrame, placed: DataFrame, width: int, percent: int) -> DataFrame:
+    """placed(comp, id, ...) with large components replaced by those of another universe partition."""
+    for salt in range(1, ROUNDS + 1):
+        sizes = placed.groupBy("comp").agg(F.count("*").alias("members")).filter(F.col("members") > LARGE)
+        large = cut(placed.join(sizes.select("comp"), "comp").withColumnRenamed("comp", "grp"), "join-large")
+        n = large.count()
+        if not n:
+            break
+        rows = texts.join(hinted(large.select("id", "grp")), "id").select("id", "grp", "text")
+        comps = components(cut(candidate_links(rows, width, percent, n, salt), "join-near"))
+        split = large.join(comps, "id").drop("grp").select(*placed.columns)
+        rest = placed.join(large.select("id"), "id", "left_anti").select(*placed.columns)
+        placed = cut(rest.unionByName(split), "join-placed")
+        if split.groupBy("comp").count().filter(F.col("count") > n // 2).count():
+            break  # a true group of near copies, most likely
+    return placed
 
 
 def verified_links(docs: DataFrame, sets: DataFrame, comps: DataFrame, width: int, percent: int) -> DataFrame:
     """(a, b): a spanning forest of all links between different sets of a component."""
-    placed = sets.join(comps, "id").groupBy("comp", "s1", "s2").agg(F.min("id").alias("id"), F.first("n_shingles").alias("n"))
+    placed = cut(sets.join(comps, "id").groupBy("comp", "s1", "s2").agg(F.min("id").alias("id"), F.first("n_shingles").alias("n")), "join-placed")
+    texts = docs.select(id_or_least(F.col("doc_id")).alias("id"), "text")
+    placed = refined(texts, placed, width, percent)
     longest = int(sets.agg(F.max("n_shingles")).first()[0] or 1)
     low = [int(x) for x in size_bands(longest, percent)]
     band = F.aggregate(F.array(*[F.lit(x) for x in low]), F.lit(-1), lambda acc, x: acc + (x <= F.col("n")).cast("int"))
@@ -303,8 +475,7 @@ def verified_links(docs: DataFrame, sets: DataFrame, comps: DataFrame, width: in
             code(F.col("band") - 1, j).alias("lft"), me.alias("rgt"), F.lit(1).alias("side"))), none),
     )
     tasks = cut(here.select("id", "comp", "n", pairs.alias("pairs")), "join-tasks")
-    wanted = F.broadcast(tasks) if tasks.count() <= BROADCAST_IDS else tasks
-    texts = docs.select(id_or_least(F.col("doc_id")).alias("id"), "text").join(wanted, "id").select("id", "comp", "n", "pairs", "text")
+    texts = texts.join(hinted(tasks), "id").select("id", "comp", "n", "pairs", "text")
     hashed = texts.mapInArrow(
         shingle_reader(width), "id long, comp long, n long, pairs array<struct<lft:bigint,rgt:bigint,side:int>>, shingles array<long>"
     ).filter(F.size("shingles") == F.col("n"))
@@ -318,15 +489,13 @@ def verified_links(docs: DataFrame, sets: DataFrame, comps: DataFrame, width: in
 def jaccard_components(docs: DataFrame, width: int = 3, percent: int = 90) -> DataFrame:
     """(doc_id, n_shingles, component_id): documents of whose shingles `percent` in 100 are shared are linked."""
     ship("nodeflux.llm.textkit", "nodeflux.llm.jaccard")
-    spark = docs.sparkSession
     n_docs = docs.count()
-    read = docs.select(id_or_least(F.col("doc_id")).alias("id"), "text").mapInArrow(set_reader(width, percent, n_docs), SETS)
-    sets = cut(read, "join-sets")
-    slim = sets.select("id", "n_shingles", "s1", "s2")
+    texts = docs.select(id_or_least(F.col("doc_id")).alias("id"), "text")
+    slim = cut(texts.mapInArrow(set_reader(width), "id long, n_shingles long, s1 long, s2 long"), "join-sets")
     named = slim.filter((F.col("n_shingles") > 0) & (F.col("id") > -(2**63)))
     reps = named.groupBy("s1", "s2").agg(F.min("id").alias("rep"), F.count("*").alias("copies")).filter("copies > 1")
     equal = cut(named.join(reps, ["s1", "s2"]).filter("id <> rep").select(F.col("rep").alias("a"), F.col("id").alias("b")), "join-equal")
-    near = cut(candidate_links(sets.filter(F.col("id") > -(2**63))), "join-near")
+    near = cut(candidate_links(texts.filter(F.col("id") > -(2**63)).select("id", F.lit(0).cast("long").alias("grp"), "text"), width, percent, n_docs), "join-near")
     comps = components(near.union(equal))
     links = cut(verified_links(docs, named, comps, width, percent), "join-links")
     final = components(links.union(equal))
