@@ -169,6 +169,8 @@ def read_warc(spark: SparkSession, path: str) -> DataFrame:
         .withColumn("length", field("Content-Length", "long"))
         # a line end that closes the payload was read as part of the terminator
         .withColumn("block", F.when(F.octet_length("block") + 2 == F.col("length"), F.concat("block", F.lit("\r\n"))).otherwise(F.col("block")))
+        # what was left of the last terminator of a file is no part of the record
+        .withColumn("block", F.when(F.octet_length("block") > F.col("length"), F.expr("cast(substr(cast(block AS binary), 1, cast(length AS int)) AS string)")).otherwise(F.col("block")))
     )
     body = F.expr("substr(block, locate('\r\n\r\n', block) + 4)")
     kind = field("WARC-Type")
