@@ -198,8 +198,9 @@ def test_randomized_reverse_push_matches_resident_and_contrast(spark):
     far = reverse.randomized_reverse_push(g, t, P, 5e-3, "edge", 4, seed=3).first()
     near = resident.randomized_query(resident.csr(g), 0, 5e-3, 4, P, "edge", 3, 0, 0)
     assert math.isclose(far.pagerank, near[0], rel_tol=1e-9) and far.increments == near[1]
-    c = resident.csr(make(spark, star(300) + [(i, 300 + i) for i in range(1, 301)]))
-    runs = {d: np.array([resident.randomized_query(c, 1, 0.05, 12, P, d, 1, 0, rep)[0] for rep in range(300)]) for d in ("shared", "edge")}
+    # what each child would get lies below theta, so one shared draw pays all children or none
+    c = resident.csr(make(spark, star(60) + [(i, 100 * i + j) for i in range(1, 61) for j in range(20)]))
+    runs = {d: np.array([resident.randomized_query(c, 0, 0.05, 6, P, d, 1, 0, rep)[0] for rep in range(200)]) for d in ("shared", "edge")}
     assert runs["shared"].var() > 3 * runs["edge"].var()
 
 
