@@ -16,6 +16,7 @@ from nodeflux.operators import graph as gr
 from nodeflux.operators import reverse as rv
 from nodeflux.operators import walks as wk
 from nodeflux.operators import workloads as wl
+from nodeflux.operators.estimate import single_node_pagerank
 from nodeflux.operators.push import adaptive_push, amplified
 from nodeflux.operators.targets import degree_targets, stratified_targets, uniform_targets
 from nodeflux.plans import oracles as o
@@ -530,10 +531,18 @@ def parameter_sweep(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def flagship(spark: SparkSession, sf: str) -> DataFrame:
-    """The main method for ten uniform targets beside 100 power iterations."""
+    """The main method at c = 0.1 for ten uniform targets, beside 100 power iterations."""
     g = gr.graph(spark, sf, "purchase")
-    est = adaptive_push(g, uniform_targets(g, 10), P.but(c=0.5)).df
-    return acc.relative_error(est, wl.truth(g, P)).select("qid", "t", "pagerank", "truth", "rel", "theta", "hops", "increments", "draws")
+    est = single_node_pagerank(g, uniform_targets(g, 10), P)
+    return acc.relative_error(est, wl.truth(g, P)).select("qid", "t", "pagerank", "truth", "rel", "theta", "increments", "draws", "engine")
 
 
 QUERIES["flagship"] = flagship
+
+
+for _engine in ("distributed", "exact"):
+
+    @register(f"engine_{_engine}")
+    def _by_engine(spark: SparkSession, sf: str, engine: str = _engine) -> DataFrame:
+        g = gr.graph(spark, sf, "links")
+        return single_node_pagerank(g, uniform_targets(g, 5), P.but(c=0.5), engine)

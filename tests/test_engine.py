@@ -92,6 +92,18 @@ def test_isolated_nodes_keep_their_share(spark):
     assert math.isclose(adaptive_push(g, targets(spark, 2), P, hops=3).df.first().pagerank, 1 / 3)
 
 
+def test_engine_choice(spark, tree, monkeypatch):
+    from nodeflux.operators.estimate import choose_engine, single_node_pagerank
+
+    t = uniform_targets(tree, 3)
+    assert choose_engine(tree, t, P) == "resident"
+    near = {r.t: r.pagerank for r in single_node_pagerank(tree, t, P).collect()}
+    truth = {r.node: r.pi for r in workloads.truth(tree, P).collect()}
+    assert all(abs(v - truth[k]) <= P.c * truth[k] for k, v in near.items())
+    monkeypatch.setattr(resident, "RESIDENT_EDGES", 10)
+    assert choose_engine(tree, t, P) == "exact" and choose_engine(tree, t.limit(0), P) == "distributed"
+
+
 def test_bad_targets(spark, tree):
     assert adaptive_push(tree, targets(spark, 10**9), P, hops=2).df.count() == 0
     assert adaptive_push(tree, targets(spark).limit(0) if False else spark.createDataFrame([], "qid int, t long"), P, hops=2).df.count() == 0
