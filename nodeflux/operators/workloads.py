@@ -14,7 +14,7 @@ from .accuracy import relative_error
 from .graph import Graph, graph
 from .targets import degree_targets, stratified_targets, uniform_targets
 
-METHODS = ("adaptive_push", "power_iteration", "reverse_push", "reverse_push_priority", "randomized_reverse_push_shared", "residue_bidirectional", "blanket_bidirectional")
+METHODS = ("adaptive_push", "power_iteration", "walk_sample", "reverse_push", "reverse_push_priority", "blanket_bidirectional", "residue_bidirectional", "randomized_reverse_push_shared", "subgraph_walks")
 
 
 def jobs(targets: DataFrame, methods: tuple[str, ...], reps: int = 1) -> DataFrame:

@@ -483,18 +483,16 @@ def watch_list(spark: SparkSession, sf: str) -> DataFrame:
     return wl.watch_list(g, 10, P, ex.power_iteration(g, P, 10)).withColumn("qid", F.col("qid").cast("long"))
 
 
-_FAST = ("adaptive_push", "power_iteration", "reverse_push", "randomized_reverse_push_shared", "residue_bidirectional")
-
 for _label, _kind, _c in (("uniform_tight", "uniform", 0.1), ("uniform_loose", "uniform", 0.5), ("degree_tight", "degree", 0.1), ("degree_loose", "degree", 0.5)):
 
     @register(f"workload_{_label}")
     def _workload(spark: SparkSession, sf: str, kind: str = _kind, c: float = _c) -> DataFrame:
-        return wl.summary(wl.run_query_set(spark, sf, ["supply", "links"], _FAST, kind, P.but(c=c)))
+        return wl.summary(wl.run_query_set(spark, sf, ["supply", "links"], wl.METHODS, kind, P.but(c=c)))
 
 
 @register("workload_strata")
 def workload_strata(spark: SparkSession, sf: str) -> DataFrame:
-    return wl.summary(wl.run_query_set(spark, sf, ["chat"], ("adaptive_push", "power_iteration", "residue_bidirectional"), "strata", P.but(c=0.5), k=5))
+    return wl.summary(wl.run_query_set(spark, sf, ["supply", "links", "chat"], wl.METHODS, "strata", P, k=5))
 
 
 @register("workload_error")
@@ -504,7 +502,7 @@ def workload_error(spark: SparkSession, sf: str) -> DataFrame:
 
 @register("workload_growth")
 def workload_growth(spark: SparkSession, sf: str) -> DataFrame:
-    return wl.cost_vs_degree(wl.run_query_set(spark, sf, ["chat"], ("adaptive_push", "residue_bidirectional"), "strata", P.but(c=0.5), k=5))
+    return wl.cost_vs_degree(wl.run_query_set(spark, sf, ["supply", "links", "chat"], wl.METHODS, "strata", P, k=5))
 
 
 @register("workload_methods_by_graph")

@@ -290,3 +290,13 @@ def test_sweep_cut_finds_the_component(spark):
 def test_components(spark):
     g = make(spark, [(0, 1), (1, 2), (5, 6), (6, 7), (7, 8), (8, 9), (9, 5)])
     assert Counter(r.comp for r in graph.components(g).collect()) == Counter({0: 3, 3: 5})
+
+
+def test_query_sets_run_every_method(spark):
+    """Also the subgraph method, which had no resident form, and without bias."""
+    rows = workloads.run_query_set(spark, "/root/testdata/sf0.001", ["links"], workloads.METHODS, "uniform", P.but(c=0.5), k=3).collect()
+    assert {r.method for r in rows} == set(workloads.METHODS) and len(workloads.METHODS) == 9
+    c = resident.csr(graph.graph(spark, "/root/testdata/sf0.001", "supply"))
+    truth = resident.power(c, P, 100)[3]
+    runs = np.array([resident.subgraph_query(c, 3, P, seed, 0)[0] for seed in range(60)])
+    assert abs(runs.mean() - truth) < 4 * runs.std(ddof=1) / math.sqrt(60)
