@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+from itertools import count
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from nodeflux.functions.params import Params, blanket_r_max, residue_r_max, subgraph_params
+from nodeflux.functions.params import Params, blanket_r_max, blanket_walks, residue_r_max, residue_walks, subgraph_params
 from nodeflux.functions.rng import u01_fast
 from nodeflux.plans.storage import cut, discard
 
@@ -23,16 +25,31 @@ def blanket(g: Graph, state: DataFrame, threshold: Column) -> DataFrame:
     return cover.join(state.select("qid", "node", "p"), ["qid", "node"], "left").select("qid", "node", F.coalesce("p", F.lit(0.0)).alias("score"))
 
 
-def blanket_bidirectional(g: Graph, targets: DataFrame, p: Params = Params(), r_max: float | None = None, n_walks: int = 10_000, cap: int = 64, seed: int = 0, coin: str = "fast", rounds: int | None = None) -> DataFrame:
-    """(qid, t, pagerank, method): mean reserve of the first blanket node that a walk meets, its start included."""
+def most_walks(g: Graph, targets: DataFrame, walks: Column) -> int:
+    """The largest number of walks that any target asks for; one population serves all."""
+    asked = g.nodes.filter("deg > 0").select(F.col("node").alias("t"), "deg").join(F.broadcast(targets.select("t")), "t")
+    return int(asked.agg(F.max(walks)).first()[0] or 1)
+
+
+def pushes(state: DataFrame, n_walks: int) -> DataFrame:
+    """(qid, increments): pushed neighbours and walks."""
+    return state.groupBy("qid").agg((F.sum("touched") + n_walks).alias("increments"))
+
+
+def blanket_bidirectional(g: Graph, targets: DataFrame, p: Params = Params(), r_max: float | None = None, n_walks: int | None = None, cap: int | None = None, seed: int = 0, coin: str = "fast", rounds: int | None = None) -> DataFrame:
+    """(qid, t, pagerank, method, increments): mean reserve of the first blanket node that a walk meets, its start included.
+
+    Without n_walks the method's own number is taken, the largest over the targets; without cap every walk is followed to its end.
+    """
     limit = F.lit(float(r_max)) if r_max is not None else blanket_r_max(F.col("deg"), g.stats.n, p)
+    n_walks = most_walks(g, targets, blanket_walks(F.col("deg"), g.stats.n, p)) if n_walks is None else n_walks
     state = reverse_push(g, targets, p, limit, rounds=rounds)
     per = F.broadcast(g.nodes.select(F.col("node").alias("t"), "deg").join(F.broadcast(targets), "t").select("qid", limit.alias("limit")))
     cover = cut(blanket(g, state.join(per, "qid"), F.col("limit")), "blanket")
     cover = sized(cover)
     alive = cut(start_walks(g, n_walks, seed, coin).crossJoin(F.broadcast(targets.select("qid"))), "cover-walks")
     scores = None
-    for step in range(cap + 1):
+    for step in count() if cap is None else range(cap + 1):
         met = alive.join(cover, ["qid", "node"], "left")
         hit = cut(met.filter("score is not null").groupBy("qid").agg(F.sum("score").alias("score")), "cover-hits")
         scores = hit if scores is None else scores.union(hit)
@@ -44,32 +61,35 @@ def blanket_bidirectional(g: Graph, targets: DataFrame, p: Params = Params(), r_
         if alive.isEmpty():
             break
     sums = scores.groupBy("qid").agg((F.sum("score") / n_walks).alias("pagerank"))
-    return targets.select("qid", "t").join(sums, "qid", "left").select("qid", "t", F.coalesce("pagerank", F.lit(0.0)).alias("pagerank"), F.lit("blanket_bidirectional").alias("method"))
+    return targets.select("qid", "t").join(pushes(state, n_walks), "qid", "left").join(sums, "qid", "left").select(
+        "qid", "t", F.coalesce("pagerank", F.lit(0.0)).alias("pagerank"), F.lit("blanket_bidirectional").alias("method"), "increments"
+    )
 
 
-def residue_bidirectional(g: Graph, targets: DataFrame, p: Params = Params(), r_max: float | None = None, n_walks: int = 10_000, cap: int = 64, seed: int = 0, coin: str = "fast", rounds: int | None = None) -> DataFrame:
-    """(qid, t, pagerank, method): mean reserve and the mean residue where walks stop."""
+def residue_bidirectional(g: Graph, targets: DataFrame, p: Params = Params(), r_max: float | None = None, n_walks: int | None = None, cap: int | None = None, seed: int = 0, coin: str = "fast", rounds: int | None = None) -> DataFrame:
+    """(qid, t, pagerank, method, increments): mean reserve and the mean residue where walks stop; defaults as above."""
     limit = F.lit(float(r_max)) if r_max is not None else residue_r_max(F.col("deg"), g.stats.n, p)
+    n_walks = most_walks(g, targets, residue_walks(limit, g.stats.n, p)) if n_walks is None else n_walks
     state = reverse_push(g, targets, p, limit, rounds=rounds)
     ends = walk_ends(g, n_walks, p, cap, seed, coin).groupBy("node").agg(F.count("*").alias("held"))
     reserve = state.groupBy("qid").agg((F.sum("p") / g.stats.n).alias("reserve"))
     rest = state.filter("r > 0").join(ends, "node").groupBy("qid").agg((F.sum(F.col("r") * F.col("held")) / n_walks).alias("rest"))
-    return targets.select("qid", "t").join(reserve, "qid").join(rest, "qid", "left").select(
-        "qid", "t", (F.col("reserve") + F.coalesce("rest", F.lit(0.0))).alias("pagerank"), F.lit("residue_bidirectional").alias("method")
+    return targets.select("qid", "t").join(reserve, "qid").join(pushes(state, n_walks), "qid").join(rest, "qid", "left").select(
+        "qid", "t", (F.col("reserve") + F.coalesce("rest", F.lit(0.0))).alias("pagerank"), F.lit("residue_bidirectional").alias("method"), "increments"
     )
 
 
 def subgraph_walks(g: Graph, targets: DataFrame, p: Params = Params(), n_walks: int | None = None, k: int | None = None, blacklist_deg: int | None = None, rounds: int = 3, cap: int | None = None, seed: int = 0) -> DataFrame:
-    """(qid, t, pagerank, method): a reconstruction, as the method's mechanism is not described to us.
+    """(qid, t, pagerank, method, increments): a reconstruction, as the method's mechanism is not described to us.
 
     k random partial explorations from t expand each frontier node below a degree bound with
     probability 1/2; each is finished by its own walks through the residue identity, which
-    holds for any set of pushes; the mean over explorations is the answer. Walks stop at the
-    hop cap, which biases the answer by at most c / n times the largest residue.
+    holds for any set of pushes; the mean over explorations is the answer. Walks are
+    followed to their ends unless a cap is given.
     """
     n = g.stats.n
-    walks, explorations, hop_end = subgraph_params(n, g.stats.max_deg, g.stats.avg_deg, p)
-    walks, k, cap = n_walks or walks, k or explorations, cap or hop_end
+    walks, explorations, _ = subgraph_params(n, g.stats.max_deg, g.stats.avg_deg, p)
+    walks, k = n_walks or walks, k or explorations
     each = max(1, walks // k)
     bound = blacklist_deg or max(2, round(10 * g.stats.avg_deg))
     deg = g.nodes.select("node", "deg")
@@ -81,7 +101,7 @@ def subgraph_walks(g: Graph, targets: DataFrame, p: Params = Params(), n_walks:
         state = cut(push_round(g, state.join(deg, "node"), chosen, p, ["qid", "rep"]), "explore")
     alive, ended = start_walks(g, each * k, seed), None
     alive = cut(alive, "walks")
-    for step in range(cap + 1):
+    for step in count() if cap is None else range(cap + 1):
         stopped, moved = step_walks(g, alive, step, p, seed, "fast", ["wid"])
         stopped = cut(stopped.groupBy((F.col("wid") % k).cast("int").alias("rep"), "node").agg(F.count("*").alias("held")), "walk-ends")
         ended = stopped if ended is None else ended.union(stopped)
@@ -90,8 +110,8 @@ def subgraph_walks(g: Graph, targets: DataFrame, p: Params = Params(), n_walks:
             break
     reserve = state.groupBy("qid").agg((F.sum("p") / (n * k)).alias("reserve"))
     rest = state.filter("r > 0").join(ended, ["rep", "node"]).groupBy("qid").agg((F.sum(F.col("r") * F.col("held")) / (each * k)).alias("rest"))
-    return targets.select("qid", "t").join(reserve, "qid").join(rest, "qid", "left").select(
-        "qid", "t", (F.col("reserve") + F.coalesce("rest", F.lit(0.0))).alias("pagerank"), F.lit("subgraph_walks_reconstruction").alias("method")
+    return targets.select("qid", "t").join(reserve, "qid").join(pushes(state, each * k), "qid").join(rest, "qid", "left").select(
+        "qid", "t", (F.col("reserve") + F.coalesce("rest", F.lit(0.0))).alias("pagerank"), F.lit("subgraph_walks_reconstruction").alias("method"), "increments"
     )
 
 

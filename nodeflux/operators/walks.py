@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from itertools import count
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -29,14 +31,14 @@ def step_walks(g: Graph, alive: DataFrame, step: int, p: Params, seed: int, coin
     return marked.filter("stop").select(*keys, "node"), moved.select(*keys, F.col("dst").alias("node"))
 
 
-def walk_ends(g: Graph, n_walks: int, p: Params, cap: int, seed: int, coin: str = "fast") -> DataFrame:
-    """(step, wid, node): where each walk stopped; walks alive after `cap` moves are left out."""
+def walk_ends(g: Graph, n_walks: int, p: Params, cap: int | None, seed: int, coin: str = "fast") -> DataFrame:
+    """(step, wid, node): where each walk stopped; walks alive after `cap` moves are left out, without a cap none is."""
     alive, ended = cut(start_walks(g, n_walks, seed, coin), "walks"), None
-    for step in range(cap + 1):
+    for step in count() if cap is None else range(cap + 1):
         stopped, moved = step_walks(g, alive, step, p, seed, coin, ["wid"])
         stopped = cut(stopped.select(F.lit(step).alias("step"), "wid", "node"), "walk-ends")
         ended = stopped if ended is None else ended.union(stopped)
-        if step < cap:
+        if cap is None or step < cap:
             after = cut(moved, "walks")
             discard(alive)
             alive = after
@@ -45,7 +47,7 @@ def walk_ends(g: Graph, n_walks: int, p: Params, cap: int, seed: int, coin: str
     return ended
 
 
-def walk_sample(g: Graph, targets: DataFrame, p: Params = Params(), n_walks: int | None = None, pi_hint: float | None = None, cap: int = 64, seed: int = 0, coin: str = "fast") -> DataFrame:
+def walk_sample(g: Graph, targets: DataFrame, p: Params = Params(), n_walks: int | None = None, pi_hint: float | None = None, cap: int | None = None, seed: int = 0, coin: str = "fast") -> DataFrame:
     """(qid, t, pagerank, walks, method): share of walks that stop at t; one population serves all targets."""
     n_walks = walk_count(p, pi_hint or p.alpha / g.stats.n) if n_walks is None else n_walks
     ends = walk_ends(g, n_walks, p, cap, seed, coin).groupBy("node").agg(F.count("*").alias("held"))

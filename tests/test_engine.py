@@ -300,3 +300,25 @@ def test_query_sets_run_every_method(spark):
     truth = resident.power(c, P, 100)[3]
     runs = np.array([resident.subgraph_query(c, 3, P, seed, 0)[0] for seed in range(60)])
     assert abs(runs.mean() - truth) < 4 * runs.std(ddof=1) / math.sqrt(60)
+
+
+def test_two_phase_methods_take_their_own_number_of_walks(spark, sf):
+    g, p = graph.graph(spark, sf, "tree"), Params(alpha=0.8, c=0.2)  # short walks, few steps
+    t = uniform_targets(g, 3)
+    truth = resident.power(resident.csr(g), p, 100)
+    degs = {r.t: r.deg for r in t.join(g.nodes, F.col("t") == F.col("node")).collect()}
+    n, most = g.stats.n, max(degs.values())
+    rows = bidirectional.residue_bidirectional(g, t, p).collect()
+    limit = p.c * math.sqrt(p.alpha * most / (n * math.log(1 / p.pf)))
+    assert all(r.increments >= math.ceil((2 * p.c / 3 + 2) * limit * n / (p.c**2 * p.alpha) * math.log(2 / p.pf)) for r in rows)
+    assert all(abs(r.pagerank - truth[r.t]) <= p.c * truth[r.t] for r in rows)
+    want = g.nodes.agg(F.max(pm.blanket_walks(F.lit(most), n, p))).first()[0]
+    assert bidirectional.most_walks(g, t, pm.blanket_walks(F.col("deg"), n, p)) == want > 10_000
+    ends = walks.walk_ends(g, 3000, p, None, 1)
+    assert ends.count() == 3000
+
+
+def test_resident_blanket_walks_are_not_clipped(spark):
+    c = resident.csr(make(spark, star(600)))
+    want = 45 * pm.hop_cap(c.n, P) / P.c * math.sqrt(c.n * 600 * math.log(1.25) * math.log(20) / (P.alpha * math.log(c.n / P.alpha)))
+    assert want > 2_000_000 and resident.two_phase(c, 0, P, "blanket_bidirectional", 0)[1] >= want
