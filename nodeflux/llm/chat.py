@@ -5,6 +5,12 @@ the assistant and all others as named users; the mask holds the (start, length)
 code points, of what the assistant says. A conversation is rendered in blocks of
 consecutive turns, so that one very long conversation never meets in one task.
 
+The blocks are parts of one whole: in order of block, the `rendered` of a perspective follow each
+other without a gap, and `dialogues` gives the place of each part in the whole (`offset`) and the
+mask in the whole's code points. Every turn, also a narrator's, stands in the whole once. A block
+that is to be read by itself gets the narrators' turns of all earlier blocks at its head by
+`with_scene`; that repeats text, so it is not part of the whole.
+
 Defined results: a null text is empty, a null role is the speaker "unknown", a null turn
 comes first (block -1); turns with equal numbers are ordered by role and text and repeated
 rows stay; null conv_ids form one conversation; a conversation of narrators alone gives no
@@ -15,7 +21,7 @@ from __future__ import annotations
 
 from collections.abc import Sequence
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 #: Turns in a block; a longer conversation gives several rows for each perspective.
@@ -102,6 +108,47 @@ def rotate(
     )
 
 
+def dialogues(conversations: DataFrame, block_turns: int = BLOCK_TURNS, narrators: Sequence[str] = NARRATORS) -> DataFrame:
+    """rotate's rows with `offset`, the code points of the whole dialogue before the block, and `mask` counted from the whole's start.
+
+    Only lengths are added up over a dialogue; its texts never meet in one task.
+    """
+    rows = rotate(conversations, block_turns, narrators)
+    length = F.char_length("rendered").cast("long")
+    before = Window.partitionBy("__conv", "__who").orderBy("__block").rowsBetween(Window.unboundedPreceding, -1)
+    places = rows.select(
+        F.col("conv_id").alias("__conv"), F.col("perspective").alias("__who"), F.col("block").alias("__block"), length.alias("__n")
+    ).withColumn("offset", F.coalesce(F.sum("__n").over(before), F.lit(0)).cast("long"))
+    same = F.col("conv_id").eqNullSafe(F.col("__conv")) & (F.col("perspective") == F.col("__who")) & (F.col("block") == F.col("__block"))
+    shifted = F.transform("mask", lambda s: F.struct((s["start"] + F.col("offset")).alias("start"), s["length"].alias("length")))
+    return rows.join(places, same).withColumn("mask", shifted).select(*rows.columns, "offset")
+
+
+def with_scene(rows: DataFrame, conversations: DataFrame, block_turns: int = BLOCK_TURNS, narrators: Sequence[str] = NARRATORS) -> DataFrame:
+    """rotate's rows with the narrators' turns of all earlier blocks at the head of `rendered`, `mask` shifted by them (`scene_length`)."""
+    told = messages(conversations, block_turns).filter(F.col("speaker").isin(list(narrators)))
+    text = F.concat(F.lit("<|"), F.col("speaker"), F.lit("|>\n"), F.col("said"), F.lit(END))
+    scenes = told.select(F.col("conv_id").alias("__conv"), F.struct("block", "t", "speaker", "said", text.alias("text")).alias("turn"))
+    keys = rows.select("conv_id", "block").distinct()
+    heads = keys.join(scenes, F.col("conv_id").eqNullSafe(F.col("__conv")) & (F.col("turn.block") < F.col("block"))).groupBy("conv_id", "block").agg(
+        F.array_join(F.transform(F.sort_array(F.collect_list("turn")), lambda t: t["text"]), "").alias("scene")
+    ).select(F.col("conv_id").alias("__conv"), F.col("block").alias("__block"), "scene")
+    headed = rows.join(heads, F.col("conv_id").eqNullSafe(F.col("__conv")) & (F.col("block") == F.col("__block")), "left")
+    headed = headed.withColumn("scene", F.coalesce("scene", F.lit(""))).withColumn("scene_length", F.char_length("scene").cast("long"))
+    shifted = F.transform("mask", lambda s: F.struct((s["start"] + F.col("scene_length")).alias("start"), s["length"].alias("length")))
+    return headed.withColumn("rendered", F.concat("scene", "rendered")).withColumn("mask", shifted).select(*rows.columns, "scene_length")
+
+
+def op4_chat_dialogues(spark, sf_dir: str) -> DataFrame:
+    """The parts of whole dialogues: op4_chat_formatting's rows with their offsets and the mask of the whole."""
+    turns = spark.read.parquet(f"{sf_dir}/conversations.parquet").select("conv_id", "turn", "role", "text")
+    return dialogues(turns).select(
+        "conv_id", "block", "perspective", "n_turns", "n_target_chars", "offset",
+        F.array_join(F.transform("mask", lambda s: F.concat_ws("+", s["start"].cast("string"), s["length"].cast("string"))), ",").alias("mask_spans"),
+        F.sha2("rendered", 256).alias("rendered_sha256"),
+    )
+
+
 def op4_chat_formatting(spark, sf_dir: str) -> DataFrame:
     turns = spark.read.parquet(f"{sf_dir}/conversations.parquet").select("conv_id", "turn", "role", "text")
     return rotate(turns).select(

@@ -9,6 +9,7 @@ QUERIES = {
     "op2_decontamination": decontaminate.op2_decontamination,
     "op3_best_fit_packing": packing.op3_best_fit_packing,
     "op4_chat_formatting": chat.op4_chat_formatting,
+    "op4_chat_dialogues": chat.op4_chat_dialogues,
     "op5_warc": warc.op5_warc,
     "op6_quality_rules": rules.op6_quality_rules,
     "op7_sharding": sharding.op7_sharding,

@@ -140,6 +140,25 @@ def test_chat_long_conversation_comes_in_blocks(spark):
     assert len(got) == 4 * 3 and sum(r.n_turns for r in got) == 3 * 200
 
 
+def test_chat_blocks_make_the_whole_dialogue(spark):
+    said = [(i, "system" if i in (0, 70) else f"p{i % 3}", f"é{i}") for i in range(200)]
+    turns = spark.createDataFrame([(c, *m) for c in (1, None) for m in said], "conv_id long, turn long, role string, text string")
+    parts = defaultdict(list)
+    for r in sorted(chat.dialogues(turns).collect(), key=lambda r: r.block):
+        parts[r.conv_id, r.perspective].append(r)
+    assert len(parts) == 6
+    for (_, me), rows in parts.items():
+        text, mask = render(said, me)
+        assert len(rows) == 4 and "".join(r.rendered for r in rows) == text
+        assert [tuple(s) for r in rows for s in r.mask] == mask
+        assert all(text[r.offset :].startswith(r.rendered) for r in rows)
+    scene = ["", "<|system|>\né0<|end|>\n"] + 2 * ["<|system|>\né0<|end|>\n<|system|>\né70<|end|>\n"]
+    for r in chat.with_scene(chat.rotate(turns), turns).collect():
+        text, mask = render([m for m in said if m[0] // 64 == r.block], r.perspective)
+        assert r.rendered == scene[r.block] + text
+        assert [(s.start - len(scene[r.block]), s.length) for s in r.mask] == mask
+
+
 def test_chat_empty(spark):
     assert chat.rotate(spark.createDataFrame([], "conv_id long, turn long, role string, text string")).count() == 0
 
