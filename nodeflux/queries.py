@@ -269,7 +269,7 @@ def reverse_push_sync(spark: SparkSession, sf: str) -> DataFrame:
 def reverse_push_priority(spark: SparkSession, sf: str) -> DataFrame:
     g = gr.graph(spark, sf, "tree")
     t = uniform_targets(g, 5)
-    return rv.mean_reserve(g, t, rv.reverse_push(g, t, P, 0.021, order="priority", batch=16), "reverse_push_priority").select("qid", "t", npi(g), "increments")
+    return rv.mean_reserve(g, t, rv.reverse_push(g, t, P, order="priority", batch=1024), "reverse_push_priority").select("qid", "t", npi(g), "increments")
 
 
 for _draw in ("shared", "edge"):
@@ -314,7 +314,22 @@ def blanket_bidirectional(spark: SparkSession, sf: str) -> DataFrame:
 @register("subgraph_walks")
 def subgraph_walks(spark: SparkSession, sf: str) -> DataFrame:
     g = gr.graph(spark, sf, "tree")
-    return bi.subgraph_walks(g, uniform_targets(g, 5), P, n_walks=4000, k=4, cap=12).select("qid", "t", npi(g), "method")
+    return bi.subgraph_walks(g, uniform_targets(g, 5), P).select("qid", "t", npi(g), "method")
+
+
+for _method in wl.METHODS[1:]:
+
+    @register(f"baseline_{_method}")
+    def _baseline(spark: SparkSession, sf: str, method: str = _method) -> DataFrame:
+        """By the method's own formulas, with whole walks and all rounds, beside the truth; no SQL, as it would be too slow."""
+        rows = wl.run_query_set(spark, sf, ["supply", "tree"], (method,), "uniform", P, k=5)
+        return rows.select("graph", "qid", "t", "pagerank", "truth", "error_over_c", "increments", "seconds")
+
+
+@register("walk_length_whole")
+def walk_length_whole(spark: SparkSession, sf: str) -> DataFrame:
+    """Moves of walks that are all followed to their end, so that the mean is not biased by a cap."""
+    return wk.walk_length_stats(wk.walk_ends(gr.graph(spark, sf, "tree"), 20_000, P, None, 0), P)
 
 
 # -- parameters, measures ------------------------------------------------------------------------------

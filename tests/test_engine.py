@@ -322,3 +322,13 @@ def test_resident_blanket_walks_are_not_clipped(spark):
     c = resident.csr(make(spark, star(600)))
     want = 45 * pm.hop_cap(c.n, P) / P.c * math.sqrt(c.n * 600 * math.log(1.25) * math.log(20) / (P.alpha * math.log(c.n / P.alpha)))
     assert want > 2_000_000 and resident.two_phase(c, 0, P, "blanket_bidirectional", 0)[1] >= want
+
+
+def test_baselines_run_by_their_own_formulas(spark, sf):
+    from nodeflux.queries import QUERIES
+
+    n = graph.graph(spark, sf, "supply").stats.n
+    for r in QUERIES["baseline_walk_sample"](spark, sf).filter("graph = 'supply'").collect():
+        assert r.increments == pm.walk_count(P, P.alpha / n) and r.error_over_c <= 1
+    for name in ("baseline_reverse_push", "baseline_residue_bidirectional"):
+        assert all(r.error_over_c <= 1 for r in QUERIES[name](spark, sf).collect())
