@@ -153,6 +153,7 @@ for _name in ("purchase", "tree", "links"):
         return ex.power_iteration(g, P, 10).select("node", npi(g, "pi"))
 
 
+#: Hops of the results that SQL repeats: they are vectors limited to so many hops. The queries named _whole take the hop cap.
 H = 6
 _TRUNC = [0.2] * (H + 1)
 
@@ -225,6 +226,40 @@ def adaptive_push_degree_targets(spark: SparkSession, sf: str) -> DataFrame:
     return _est(g, adaptive_push(g, degree_targets(g, 4), P.but(c=0.5), hops=3, sampler="edge", coin="md5").df)
 
 
+for _label, _graph, _theta in (("exact", "purchase", 0.0), ("edge", "purchase", 1e-3), ("edge_terms", "terms", 1e-2), ("quantised", "tree", 1.0)):
+
+    @register(f"adaptive_push_{_label}_whole")
+    def _push_whole(spark: SparkSession, sf: str, name: str = _graph, theta: float = _theta) -> DataFrame:
+        g = gr.graph(spark, sf, name)
+        return _est(g, adaptive_push(g, uniform_targets(g, 5), P, theta=theta, sampler="edge").df)
+
+
+@register("adaptive_push_degree_targets_whole")
+def adaptive_push_degree_targets_whole(spark: SparkSession, sf: str) -> DataFrame:
+    g = gr.graph(spark, sf, "supply")
+    return _est(g, adaptive_push(g, degree_targets(g, 4), P.but(c=0.5), sampler="edge").df)
+
+
+@register("truncated_pagerank_whole")
+def truncated_pagerank_whole(spark: SparkSession, sf: str) -> DataFrame:
+    g = gr.graph(spark, sf, "supply")
+    return ex.truncated_pagerank(g, P).select("node", npi(g, "pi"))
+
+
+@register("ppr_from_whole")
+def ppr_from_whole(spark: SparkSession, sf: str) -> DataFrame:
+    g = gr.graph(spark, sf, "tree")
+    return ex.ppr_from(g, uniform_targets(g, 5), P, pm.hop_cap(g.stats.n, P)).select("qid", "node", F.round("value", 8).alias("value"))
+
+
+@register("relative_error_report_whole")
+def relative_error_report_whole(spark: SparkSession, sf: str) -> DataFrame:
+    """The method's own schedule and hop cap against 100 power iterations."""
+    g = gr.graph(spark, sf, "tree")
+    est = adaptive_push(g, uniform_targets(g, 10), P).df
+    return acc.error_report(acc.relative_error(est, wl.truth(g, P)), P, ["method"])
+
+
 @register("adaptive_push_vector", o.query("tree", o.push("0.01", H), targets=o.uniform(5), final="SELECT qid, node, round(sum(0.2 * r), 8) AS value FROM ph GROUP BY qid, node"))
 def adaptive_push_vector(spark: SparkSession, sf: str) -> DataFrame:
     g = gr.graph(spark, sf, "tree")
@@ -243,7 +278,7 @@ for _sampler in ("skip", "binomial"):
     @register(f"adaptive_push_{_sampler}")
     def _sampled(spark: SparkSession, sf: str, sampler: str = _sampler) -> DataFrame:
         g = gr.graph(spark, sf, "supply")
-        return _est(g, adaptive_push(g, uniform_targets(g, 5), P, theta=5e-3, hops=H, sampler=sampler).df)
+        return _est(g, adaptive_push(g, uniform_targets(g, 5), P, theta=5e-3, sampler=sampler).df)
 
 
 @register("adaptive_push_resident")

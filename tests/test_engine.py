@@ -332,3 +332,13 @@ def test_baselines_run_by_their_own_formulas(spark, sf):
         assert r.increments == pm.walk_count(P, P.alpha / n) and r.error_over_c <= 1
     for name in ("baseline_reverse_push", "baseline_residue_bidirectional"):
         assert all(r.error_over_c <= 1 for r in QUERIES[name](spark, sf).collect())
+
+
+def test_error_report_measures_the_method_and_not_a_cut(spark, sf):
+    from nodeflux.queries import QUERIES
+
+    for r in QUERIES["relative_error_report_whole"](spark, sf).collect():
+        assert r.max_error_over_c <= 1 and r.failure_rate == 0 and r.queries == 10
+    n = graph.graph(spark, sf, "supply").stats.n
+    mass = QUERIES["truncated_pagerank_whole"](spark, sf).agg(F.sum("n_pi")).first()[0]
+    assert 1 - P.c * P.alpha / 2 - 1e-4 <= mass / n <= 1 + 1e-4
