@@ -2,17 +2,23 @@
 
 from __future__ import annotations
 
+import time
 from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from nodeflux.functions.params import Params
+from nodeflux.plans.storage import cut
 
-from . import resident
+from . import bidirectional, resident
 from .accuracy import relative_error
+from .exact import power_iteration
 from .graph import Graph, graph
+from .push import adaptive_push
+from .reverse import mean_reserve, randomized_reverse_push, reverse_push
 from .targets import degree_targets, stratified_targets, uniform_targets
+from .walks import walk_sample
 
 METHODS = ("adaptive_push", "power_iteration", "walk_sample", "reverse_push", "reverse_push_priority", "blanket_bidirectional", "residue_bidirectional", "randomized_reverse_push_shared", "subgraph_walks")
 
@@ -25,8 +31,6 @@ def jobs(targets: DataFrame, methods: tuple[str, ...], reps: int = 1) -> DataFra
 def truth(g: Graph, p: Params, iterations: int = 100) -> DataFrame:
     """(node, pi) by power iteration, in one task where the graph fits one."""
     if not resident.fits(g):
-        from .exact import power_iteration
-
         return power_iteration(g, p, iterations)
     pi = resident.power(resident.csr(g), p, iterations)
     return g.spark.createDataFrame(list(enumerate(map(float, pi))), "node long, pi double")
@@ -39,7 +43,7 @@ def run_query_set(spark: SparkSession, sf_dir: str, names: list[str], methods: t
     for name in names:
         g = graph(spark, sf_dir, name)
         targets = draw(g, k, seed)
-        rows = resident.resident(g, jobs(targets.select("qid", "t"), methods, reps), p, seed=seed, **options)
+        rows = answers(g, targets.select("qid", "t"), methods, p, reps, seed, **options)
         extra = targets.select("qid", "stratum") if kind == "strata" else targets.select("qid", F.lit(None).cast("string").alias("stratum"))
         deg = g.nodes.select(F.col("node").alias("t"), "deg")
         parts.append(relative_error(rows, truth(g, p)).join(extra, "qid").join(deg, "t").withColumn("graph", F.lit(name)))
@@ -66,6 +70,45 @@ def cost_vs_degree(rows: DataFrame) -> DataFrame:
     )
 
 
+def _distributed(g: Graph, targets: DataFrame, method: str, p: Params, rep: int, seed: int, options: dict) -> DataFrame:
+    """(qid, t, pagerank, increments, perhaps theta, exact_increments, draws) of one replica by the distributed plans."""
+    theta, hops = options.get("theta"), options.get("hops")
+    if method == "adaptive_push":
+        return adaptive_push(g, targets, p, theta=theta, hops=hops, sampler=options.get("sampler", "skip"), seed=seed + rep).df
+    if method == "power_iteration":
+        steps = options.get("iterations", 100)
+        pi = power_iteration(g, p, steps).select(F.col("node").alias("t"), F.col("pi").alias("pagerank"))
+        return targets.join(pi, "t").withColumn("increments", F.lit(2 * g.stats.m * steps))
+    if method.startswith("reverse_push"):
+        order, batch = ("priority", 1024) if method.endswith("priority") else ("sync", 1)
+        return mean_reserve(g, targets, reverse_push(g, targets, p, options.get("eps"), order=order, batch=batch), method)
+    if method.startswith("randomized_reverse_push"):
+        return randomized_reverse_push(g, targets, p, theta, method.rsplit("_", 1)[-1], hops, seed=seed + rep)
+    if method == "walk_sample":
+        return walk_sample(g, targets, p, options.get("n_walks"), seed=seed + rep).withColumnRenamed("walks", "increments")
+    return getattr(bidirectional, method)(g, targets, p, seed=seed + rep)
+
+
+def answers(g: Graph, targets: DataFrame, methods: tuple[str, ...], p: Params, reps: int = 1, seed: int = 0, **options) -> DataFrame:
+    """resident.OUT rows: by the resident engine where the graph fits it, else by the distributed plans.
+
+    There a method answers all targets at once: seconds are its time over the number of targets, and
+    increments of shared walks count for each target. Replicas of sampled methods differ by their seed.
+    """
+    if resident.fits(g):
+        return resident.resident(g, jobs(targets, methods, reps), p, seed=seed, **options)
+    parts, asked = [], max(1, targets.count())
+    for method in methods:
+        for rep in range(reps):
+            began = time.perf_counter()
+            rows = _distributed(g, targets.select("qid", "t"), method, p, rep, seed, options)
+            for name, kind in (("theta", "double"), ("exact_increments", "long"), ("draws", "long")):
+                rows = rows if name in rows.columns else rows.withColumn(name, F.lit(0).cast(kind))
+            held = cut(rows.select("qid", F.lit(rep).alias("rep"), "t", "pagerank", "theta", "increments", "exact_increments", "draws"), "answers")
+            parts.append(held.withColumn("seconds", F.lit((time.perf_counter() - began) / asked)).withColumn("method", F.lit(method)))
+    return reduce(DataFrame.unionByName, parts)
+
+
 def watch_list(g: Graph, k: int, p: Params, pi: DataFrame | None = None) -> DataFrame:
     """(qid, t): the k nodes of largest PageRank, to be asked for again and again."""
     pi = truth(g, p) if pi is None else pi
@@ -78,7 +121,7 @@ def watch_list(g: Graph, k: int, p: Params, pi: DataFrame | None = None) -> Data
 def draw_contrast(g: Graph, targets: DataFrame, p: Params, theta: float, reps: int, hops: int, seed: int = 0) -> DataFrame:
     """(qid, t, shared, apart): variance over replicas when a push shares one draw and when each neighbour has its own."""
     names = ("randomized_reverse_push_shared", "randomized_reverse_push_edge")
-    rows = resident.resident(g, jobs(targets, names, reps), p, theta=theta, hops=hops, seed=seed)
+    rows = answers(g, targets, names, p, reps, seed, theta=theta, hops=hops)
     return rows.groupBy("qid", "t").pivot("method", list(names)).agg(F.var_samp("pagerank")).toDF("qid", "t", "shared", "apart")
 
 
@@ -87,7 +130,7 @@ def sweep(g: Graph, targets: DataFrame, thetas: list[float], p: Params, reps: in
     parts = []
     known = truth(g, p)
     for theta in thetas:
-        rows = resident.resident(g, jobs(targets, ("adaptive_push",), reps), p, theta=theta, seed=seed)
+        rows = answers(g, targets, ("adaptive_push",), p, reps, seed, theta=theta)
         parts.append(relative_error(rows, known).agg(F.lit(theta).alias("theta"), F.avg("increments").alias("mean_increments"), F.avg("rel").alias("mean_error")))
     return reduce(DataFrame.unionByName, parts)
 
@@ -96,6 +139,6 @@ def parameter_sweep(g: Graph, targets: DataFrame, grid: list[Params], seed: int
     """(alpha, c, pf, mean_increments, mean_error_over_c)."""
     parts = []
     for p in grid:
-        rows = relative_error(resident.resident(g, jobs(targets, ("adaptive_push",)), p, seed=seed), truth(g, p))
+        rows = relative_error(answers(g, targets, ("adaptive_push",), p, seed=seed), truth(g, p))
         parts.append(rows.agg(F.lit(p.alpha).alias("alpha"), F.lit(p.c).alias("c"), F.lit(p.pf).alias("pf"), F.avg("increments").alias("mean_increments"), F.avg(F.col("rel") / p.c).alias("mean_error_over_c")))
     return reduce(DataFrame.unionByName, parts)

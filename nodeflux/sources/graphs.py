@@ -2,11 +2,15 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from nodeflux.plans.storage import cut
+
 from .tables import load
 
 
@@ -79,18 +83,24 @@ def source(spark: SparkSession, sf: str) -> DataFrame:
     return load(spark, sf, "documents").select(_key("d", "doc_id").alias("a"), _key("s", "source", "lang").alias("b"))
 
 
-#: The exact nearest-neighbour graph compares all pairs and is refused beyond so many vectors.
+#: The exact nearest-neighbour graph compares all pairs; beyond so many vectors it does so in blocks of queries, each with as many pairs.
 KNN_VECTORS = 20_000
 
 
 def knn(spark: SparkSession, sf: str, k: int = 5) -> DataFrame:
-    """k nearest vectors by cosine, exactly; only for tables of a checked size."""
+    """k nearest vectors by cosine, exactly: blocks of queries against all vectors, each block's answer written before the next."""
     vectors = load(spark, sf, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
-    if vectors.count() > KNN_VECTORS:
-        raise ValueError(f"exact neighbours are for at most {KNN_VECTORS} vectors")
+    blocks = math.ceil((vectors.count() / KNN_VECTORS) ** 2)
     norm = F.sqrt(F.aggregate("v", F.lit(0.0), lambda s, x: s + x * x))
     unit = vectors.select("vec_id", F.transform("v", lambda x: x / norm).alias("v"))
-    ours = unit.alias("q").join(unit.alias("o"), F.col("q.vec_id") != F.col("o.vec_id"))
+    if blocks <= 1:
+        return _nearest(unit, unit, k)
+    unit, block = cut(unit, "knn-vectors"), F.pmod(F.xxhash64("vec_id"), F.lit(blocks))
+    return reduce(DataFrame.union, [cut(_nearest(unit.filter(block == i), unit, k), "knn") for i in range(blocks)])
+
+
+def _nearest(queries: DataFrame, vectors: DataFrame, k: int) -> DataFrame:
+    ours = queries.alias("q").join(vectors.alias("o"), F.col("q.vec_id") != F.col("o.vec_id"))
     dot = F.round(F.aggregate(F.zip_with("q.v", "o.v", lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x), 9)
     scored = ours.select(F.col("q.vec_id").alias("a"), F.col("o.vec_id").alias("b"), dot.alias("cos"))
     nearest = scored.groupBy("a").agg(F.slice(F.sort_array(F.collect_list(F.struct((-F.col("cos")).alias("d"), "b"))), 1, k).alias("best"))

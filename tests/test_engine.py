@@ -342,3 +342,24 @@ def test_error_report_measures_the_method_and_not_a_cut(spark, sf):
     n = graph.graph(spark, sf, "supply").stats.n
     mass = QUERIES["truncated_pagerank_whole"](spark, sf).agg(F.sum("n_pi")).first()[0]
     assert 1 - P.c * P.alpha / 2 - 1e-4 <= mass / n <= 1 + 1e-4
+
+
+def test_large_graphs_take_the_distributed_plans(spark, sf, monkeypatch):
+    g, p = graph.graph(spark, sf, "links"), Params(alpha=0.8, c=0.5)
+    t = uniform_targets(g, 2)
+    near = {(r.method, r.t): r for r in workloads.answers(g, t, workloads.METHODS, p).collect()}
+    monkeypatch.setattr(resident, "RESIDENT_EDGES", 10)
+    far = {(r.method, r.t): r for r in workloads.answers(g, t, workloads.METHODS, p).collect()}
+    assert set(near) == set(far) and len(far) == 18
+    for method in ("adaptive_push", "power_iteration", "reverse_push"):
+        for r in t.collect():
+            assert math.isclose(far[method, r.t].pagerank, near[method, r.t].pagerank, rel_tol=1e-6)
+    assert all(r.mean_error < 1 for r in workloads.sweep(g, t, [1e-3], p, 1).collect())
+
+
+def test_neighbours_in_blocks_equal_all_pairs(spark, sf, monkeypatch):
+    from nodeflux.sources import graphs
+
+    whole = Counter(map(tuple, graphs.knn(spark, sf).collect()))
+    monkeypatch.setattr(graphs, "KNN_VECTORS", 300)
+    assert Counter(map(tuple, graphs.knn(spark, sf).collect())) == whole
