@@ -13,7 +13,8 @@ compared as text: 64-bit word hashes lead to a match, and the words' bytes confi
 
 Defined results: null and empty texts have no words and hit nothing; an item without words
 has no window; equal windows count for every item that has them; repeated ids give a row
-each; a null doc_id stays null; an empty benchmark leaves all documents clean; other columns
+each; items with a null item_id hit as others do, count as one item together and have no name
+in items_sha256; a null doc_id stays null; an empty benchmark leaves all documents clean; other columns
 of either table play no part.
 """
 
@@ -44,7 +45,7 @@ SLOTS = 20
 class Items:
     """One block of items as words: what the tasks get."""
 
-    ids: list[int]
+    ids: list[int | None]
     #: hashes and bytes of the words of item i: first[i] .. first[i + 1]
     first: np.ndarray
     hashes: np.ndarray
@@ -61,7 +62,7 @@ class Items:
         return out
 
 
-def item_block(ids: list[int], texts: list[str | None], width: int) -> Items:
+def item_block(ids: list[int | None], texts: list[str | None], width: int) -> Items:
     buf, bounds = tk.raw(pa.array(texts, pa.large_string()))
     w = tk.words(buf, bounds, tk.ALNUM)
     folded = tk.FOLD[buf].tobytes()
@@ -158,7 +159,7 @@ def matcher(block, last: bool):
                 part = buf[bounds[a] : bounds[b]]
                 w = tk.words(part, bounds[a : b + 1] - bounds[a], tk.ALNUM)
                 spans: list[list[dict]] = [[] for _ in range(a, b)]
-                items: list[set[int]] = [set() for _ in range(a, b)]
+                items: list[set[int | None]] = [set() for _ in range(a, b)]
                 longest = [0] * (b - a)
                 if "spans" in batch.schema.names:
                     before = batch.slice(a, b - a)
@@ -181,7 +182,7 @@ def matcher(block, last: bool):
                         batch.column("doc_id").slice(a, b - a).cast(pa.int64()),
                         tk.longs(np.diff(w.first)),
                         pa.array(spans, pa.list_(span)),
-                        pa.array([sorted(x) for x in items], pa.list_(pa.int64())),
+                        pa.array([sorted(x, key=lambda i: (i is None, i or 0)) for x in items], pa.list_(pa.int64())),
                         pa.array(longest, pa.int64()),
                         pa.nulls(b - a, pa.string()) if last else batch.column("text").slice(a, b - a),
                     ],
@@ -193,7 +194,7 @@ def matcher(block, last: bool):
 
 def item_blocks(benchmark: DataFrame, width: int, block_bytes: int) -> Iterator[Items]:
     """Blocks of items of at most about block_bytes; the driver holds one at a time."""
-    items = benchmark.filter("item_id is not null and text is not null").select(F.col("item_id").cast("long").alias("item_id"), "text")
+    items = benchmark.filter("text is not null").select(F.col("item_id").cast("long").alias("item_id"), "text")
     held, size = [], 0
     for row in items.toLocalIterator():
         held.append(row)

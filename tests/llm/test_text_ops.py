@@ -259,3 +259,24 @@ def test_warc_empty(spark, tmp_path):
     path = f"{shared_dir(spark)}/test-warc-{hashlib.md5(str(tmp_path).encode()).hexdigest()}-e"
     warc.write_warc(pages, path)
     assert warc.read_pages(spark, path).count() == 0
+
+
+def test_leaks_of_items_without_id(spark):
+    words = [" ".join(f"w{i}x{j}" for j in range(12)) for i in range(3)]
+    docs = spark.createDataFrame([(0, f"a {words[0]} b {words[1]}"), (1, words[2]), (2, "nothing here")], "doc_id long, text string")
+    items = spark.createDataFrame([(7, words[0]), (None, words[1]), (None, words[2])], "item_id long, text string")
+    got = {r.doc_id: r for r in decontaminate.leak_report(docs, items).collect()}
+    assert [got[d].contaminated for d in range(3)] == [True, True, False]
+    assert [(got[d].n_hit, got[d].n_items) for d in range(3)] == [(24, 2), (12, 1), (0, 0)]
+    assert got[1].items_sha256 == got[2].items_sha256 != got[0].items_sha256
+    assert [r.doc_id for r in decontaminate.remove_leaks(docs, items, block_bytes=1).collect()] == [2]
+    two = decontaminate.find_leaks(docs, items, block_bytes=1).filter("doc_id = 0").first()
+    assert two["items"] == [7, None]
+    import duckdb
+
+    con = duckdb.connect()
+    con.register("documents", docs.toPandas())
+    con.register("benchmark", items.toPandas().astype({"item_id": "Int64"}))
+    want = {r[0]: r[1:] for r in con.execute(decontaminate.OP2_SQL).fetchall()}
+    for d, r in got.items():
+        assert want[d] == (r.n_words, r.n_hit, r.n_items, r.items_sha256, r.contaminated)
