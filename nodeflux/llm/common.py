@@ -39,3 +39,14 @@ def partitions(df: DataFrame) -> int:
 def id_or_least(c: Column) -> Column:
     """A null id counts as the least one."""
     return F.coalesce(c.cast("long"), F.lit(-(2**63)).cast("long"))
+
+
+def fresh_names(df: DataFrame, *names: str) -> list[str]:
+    """The names, lengthened until no column of df (in any case of letters) has them."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for name in names:
+        while name in taken:
+            name += "_"
+        taken.add(name)
+        out.append(name)
+    return out

@@ -76,6 +76,59 @@ def test_jaccard_blocks(spark, monkeypatch):
     assert {r.doc_id: r.component_id for r in got if r.doc_id is not None} == brute_components(rows, 3, 90)
 
 
+def test_jaccard_chunked_parts(spark, monkeypatch):
+    """Parts that come in several goes, and seen sets that are forgotten."""
+    monkeypatch.setattr(jaccard, "PACKED", 50)
+    monkeypatch.setattr(jaccard, "SEEN", 3)
+    monkeypatch.setattr(jaccard, "CHECKS", 2)
+    rows = noisy_corpus(7)
+    got = jaccard.jaccard_components(frame(spark, rows), 3, 80).collect()
+    assert {r.doc_id: r.component_id for r in got if r.doc_id is not None} == brute_components(rows, 3, 80)
+
+
+def test_jaccard_frequent_elements(spark, monkeypatch):
+    """Texts that are mostly a shared passage are poor and meet in the second partition."""
+    rng = random.Random(11)
+    passage = [f"p{i}" for i in range(40)]
+    rows = []
+    for i in range(90):
+        own = [f"o{i}x{j}" for j in range(rng.randrange(0, 30))]
+        words = passage[rng.randrange(0, 4) :] + own if i % 2 else own[:8] + passage
+        rows.append((i, " ".join(words)))
+    for limit in (100_000, 0):
+        monkeypatch.setattr(jaccard, "FREQUENT_ELEMENTS", limit)
+        got = jaccard.jaccard_components(frame(spark, rows), 3, 80).collect()
+        assert {r.doc_id: r.component_id for r in got} == brute_components(rows, 3, 80)
+
+
+def test_parity_fields_bound_the_difference():
+    rng = np.random.default_rng(2)
+    for _ in range(200):
+        n = int(rng.integers(1, 900))
+        base = rng.integers(0, 1 << 60, n).astype(np.uint64)
+        other = np.concatenate((base[int(rng.integers(0, n)) :], rng.integers(0, 1 << 60, int(rng.integers(1, 90))).astype(np.uint64)))
+        sets = [np.unique(base), np.unique(other)]
+        fields = jaccard.parity_fields(np.concatenate(sets), np.cumsum([0, *map(len, sets)])).to_pylist()
+        percent = 100 * len(np.intersect1d(*sets)) // len(np.union1d(*sets))
+        if percent:
+            found = list(jaccard.passing(np.array(list(map(len, sets))), fields, np.zeros(2, int), percent))
+            assert sum(len(i) for i, _ in found) == 1
+
+
+def test_keep_first_edge_cases(spark):
+    text = " ".join(f"w{i}" for i in range(60))
+    rows = [(3, text), (2, text), (2, text), (2, "quite another text of more than five words"), (None, text), (None, text), (4, None), (5, ""), (6, " \t"),
+            (7, text + " end"), (8, "short one"), (9, "short one"), (10, "word " * 20_000)]
+    docs = spark.createDataFrame([(*r, "a", 1, {"k": 1}) for r in rows], "doc_id long, text string, id string, text_hash int, class map<string,int>")
+    got = jaccard.keep_first(docs)
+    assert got.columns == docs.columns and got.schema["text_hash"].dataType == docs.schema["text_hash"].dataType
+    want = [(2, text), (2, rows[3][1]), (None, text), (None, text), (4, None), (5, ""), (6, " \t"), (8, "short one"), rows[12]]
+    assert Counter((r.doc_id, r.text) for r in got.collect()) == Counter(want)
+    assert jaccard.keep_first(docs.limit(0)).count() == 0
+    named = jaccard.jaccard_components(docs.withColumn("doc_id", F.concat(F.lit("d"), "doc_id")), 5, 80).collect()
+    assert {r.component_id for r in named if r.doc_id in ("d3", "d2", "d7")} == {"d2"}
+
+
 def test_jaccard_empty(spark):
     assert jaccard.jaccard_components(frame(spark, []), 3, 90).count() == 0
 
