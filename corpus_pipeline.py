@@ -29,11 +29,11 @@ def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
 
 def keep_one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The least doc_id of each group of texts that share four in five of their five-word shingles."""
-    groups = jaccard.jaccard_components(docs.select("doc_id", "text"), 5, 80)
-    least = cut(groups.filter("doc_id = component_id").select("doc_id").distinct(), "near-kept")
-    named = docs.join(least, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return named.unionByName(docs.filter("doc_id is null")).select(*docs.columns)
+    """One row of each group of texts that share four in five of their five-word shingles: the least doc_id's.
+
+    Rows without doc_id or words stay; rows that repeat a doc_id are judged each by its own text.
+    """
+    return jaccard.keep_first(docs, 5, 80)
 
 
 def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
