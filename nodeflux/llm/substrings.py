@@ -2,22 +2,28 @@
 
 Sorting every suffix of the corpus is not needed, as most of it can be ruled out exactly. A
 string of `span` bytes owns an anchor: the leftmost least of its K-gram hashes. Equal strings
-own equal anchors, so consecutive starts with one anchor form a stretch, and
-
-1. a stretch whose anchor's hash is unique in the corpus holds no repeated string;
-2. a stretch whose whole bytes (hash of 128 bits with the anchor's) occur twice is repeated;
-3. only for the rest, mostly the ends of copied passages, suffixes are compared: stretches
-   are dealt by anchor and narrowed to the starts whose middle bytes stand in another stretch;
-   shards of them get their suffixes sorted and their transforms are merged by interleave
-   refinement. A transform's symbols are the STEP bytes in front of each suffix. Each round
-   stably redistributes the interleave by these symbols, which orders the merged suffixes by
-   STEP bytes more; the round in which neighbours part gives their common prefix, without
-   sorting again. Intervals with a common prefix of `span` bytes and two members are the
-   repeats.
-
-Counts of (1) and (2) are sums with partial aggregation; an anchor that has more stretches
-than a task should hold is resolved by hashes of the single strings instead of (3), which
-has no group to hold at all.
+own equal anchors, so consecutive starts with one anchor form a stretch, and a stretch whose
+anchor's hash is unique in the corpus holds no repeated string. What is left is decided by
+suffix order, in two streams:
+
+1. Stretches of one kind (equal hashes of anchor and whole bytes) that stand at several places.
+   Their first and last places are taken; consecutive kinds with the same two documents make
+   one run of bytes of either. The runs of first places and of last places get the transforms
+   of their own shards, which are merged. A kind whose starts all have a common prefix of
+   `span` bytes with a neighbour in the merged order is repeated, at every place that it has.
+2. Kinds that stand once under an anchor that has several, mostly the ends of copied passages.
+   One place of each kind of such an anchor is taken, narrowed to the starts whose middle bytes
+   stand in another stretch, and dealt over the shards that are merged. An anchor with very many
+   kinds is dealt by those middle bytes instead, ever closer to whole strings; whole strings
+   that still are very many are kinds as in 1.
+
+A shard's suffixes are sorted by themselves. Shards are merged by interleave refinement: a
+transform's symbols are the STEP bytes in front of each suffix, and each round stably
+redistributes the interleave by these symbols, which orders the merged suffixes by STEP bytes
+more. The round in which neighbours part gives their common prefix, without sorting again.
+Neighbours with a common prefix of `span` bytes are the repeats; nothing else marks any.
+Symbols are ordered by their 64-bit hashes and not by their bytes: the order is another than
+the alphabet's, but equal prefixes stand together in it as well, and only that is used.
 
 Defined results: a null or empty text has no bytes and loses none; every row is judged for
 itself, so rows that repeat a doc_id stay apart by the text's hash (equal rows lose the same
@@ -34,11 +40,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textkit as tk
-from .common import cut, id_or_least, partitions, ship
+from .common import cut, discard, id_or_least, partitions, ship
 
 K = 96
-#: Stretches of one anchor that a task resolves by suffixes; beyond, by hashes.
-ANCHOR_STRETCHES = 2000
+#: Stretches of one group that are resolved together; a larger group is dealt by closer keys, of starts of these numbers.
+GROUP_STRETCHES, WIDTHS = 2000, (26, 6, 1)
 #: Bytes of a symbol of the transforms; `span` is a multiple.
 STEP = 40
 #: Starts that are narrowed down together.
@@ -190,39 +196,35 @@ def merge(a: Shard, b: Shard, span: int) -> tuple[Shard, np.ndarray]:
     return Shard(data, order, np.concatenate((a.symbol, b.symbol))), prefix
 
 
-def neighbour_prefixes(s: Shard, span: int) -> np.ndarray:
-    """For a single shard: its neighbours' common symbols."""
-    prefix = np.full(len(s.order), span, dtype=np.int32)
-    for done in range(span - STEP, -1, -STEP):
-        x = s.symbol[(s.order + done) % len(s.order)]
-        prefix[1:][x[1:] != x[:-1]] = done
-    prefix[0] = 0
-    return prefix
+def repeated_starts(parts: list[np.ndarray], counts: list[int], span: int, shard_bytes: int = SHARD_BYTES, sides: list[int] | None = None) -> list[np.ndarray]:
+    """For each part, which of its first counts[i] starts have a span-byte string that stands elsewhere too.
 
-
-def repeated_starts(parts: list[np.ndarray], counts: list[int], span: int, shard_bytes: int = SHARD_BYTES) -> list[np.ndarray]:
-    """For each part, which of its first counts[i] starts have a span-byte string that stands elsewhere too."""
+    Parts are dealt over two shards or more; with sides, those of either side to shards of their own.
+    """
     if not parts:
         return []
-    shards, where, held, size, base = [], [], [], 0, 0
-    for i, p in enumerate(parts):
-        where.append(base + size)
-        held.append(p)
-        size += len(p) + 1
-        if size >= shard_bytes or i + 1 == len(parts):
-            shards.append(Shard.of(held, span))
-            base += size + STEP
-            held, size = [], 0
+    count = max(2, -(-sum(map(len, parts)) // shard_bytes))
+    count += count % 2
+    dealt: list[list[int]] = [[] for _ in range(count)]
+    for i in range(len(parts)):
+        dealt[i % count if sides is None else 2 * (i % (count // 2)) + sides[i]].append(i)
+    where, shards, base = np.zeros(len(parts), dtype=np.int64), [], 0
+    for held in filter(None, dealt):
+        shards.append(Shard.of([parts[i] for i in held], span))
+        size = np.array([len(parts[i]) + 1 for i in held])
+        where[held] = base + np.cumsum(size) - size
+        base += len(shards[-1].data)
     prefix = None
     while len(shards) > 1:
         paired = [merge(shards[i], shards[i + 1], span) if i + 1 < len(shards) else (shards[i], None) for i in range(0, len(shards), 2)]
         shards, prefix = [s for s, _ in paired], paired[0][1]
-    whole = shards[0]
-    same = (neighbour_prefixes(whole, span) if prefix is None else prefix) >= span
+    if prefix is None:  # one part alone
+        return [np.zeros(c, dtype=bool) for c in counts]
+    same, whole = prefix >= span, shards[0]
     hit = np.zeros(len(whole.data), dtype=bool)
     hit[whole.order[1:][same[1:]]] = True
     hit[whole.order[:-1][same[1:]]] = True
-    return [hit[w : w + c] for w, c in zip(where, counts, strict=True)]
+    return [hit[w : w + c] for w, c in zip(where.tolist(), counts, strict=True)]
 
 
 def narrowed(data: list[np.ndarray], counts: np.ndarray, at: np.ndarray, span: int) -> list[tuple[int, int, int]]:
@@ -258,6 +260,9 @@ def narrowed(data: list[np.ndarray], counts: np.ndarray, at: np.ndarray, span: i
 
 
 SPANS = "id long, th long, s int, e int"
+KIND = "struct<first:int,count:int,anchor:bigint,whole:bigint>"
+PIECES = f"grp long, role int, id long, th long, first int, count int, place int, data binary, kinds array<{KIND}>"
+FIRST, LAST, OPEN = 0, 1, 2
 
 
 def anchor_place(data: np.ndarray, anchor: np.uint64) -> int:
@@ -268,133 +273,194 @@ def anchor_place(data: np.ndarray, anchor: np.uint64) -> int:
     return int((grams == anchor).argmax())
 
 
-def stretch_bytes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """mapInArrow: texts with their stretches to one row a stretch with its bytes."""
+def piece_batch(rows: list[tuple]) -> pa.RecordBatch:
+    """PIECES rows: (grp, role, id, th, first, count, place, data, kinds)."""
+    kinds = pa.list_(pa.struct([("first", pa.int32()), ("count", pa.int32()), ("anchor", pa.int64()), ("whole", pa.int64())]))
+    types = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.binary(), kinds)
+    names = [x.split()[0] for x in PIECES.split(", ")[:8]] + ["kinds"]
+    columns = list(zip(*rows, strict=True)) or [()] * len(types)
+    return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types, strict=True)], names)
+
+
+def piece_reader(span: int):
+    """mapInArrow: (id, th, text, picks) to pieces: open stretches one by one, others as runs of consecutive stretches."""
+
+    def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            buf, bounds = tk.raw(batch.column("text"))
+            ids, hashes = batch.column("id").to_pylist(), batch.column("th").to_pylist()
+            out: list[tuple] = []
+            for i, picks in enumerate(batch.column("picks").to_pylist()):
+                text, runs = buf[bounds[i] : bounds[i + 1]], []
+                for x in sorted(picks, key=lambda x: (x["role"], x["grp"], x["first"])):
+                    kind = {k: x[k] for k in ("first", "count", "anchor", "whole")}
+                    if x["role"] != OPEN and runs and runs[-1][:2] == [x["grp"], x["role"]] and runs[-1][2] + runs[-1][3] == x["first"]:
+                        runs[-1][3] += x["count"]
+                        runs[-1][4].append(kind)
+                    else:
+                        runs.append([x["grp"], x["role"], x["first"], x["count"], [kind]])
+                for grp, role, first, count, kinds in runs:
+                    data = text[first : first + count + span - 1]
+                    place = anchor_place(data, np.uint64(kinds[0]["anchor"] % (1 << 64))) if role == OPEN else 0
+                    out.append((grp, role, ids[i], hashes[i], first, count, place, data.tobytes(), kinds if role == FIRST else None))
+                if len(out) >= 2000:
+                    yield piece_batch(out)
+                    out = []
+            yield piece_batch(out)
+
+    return read
+
+
+def gathered(batches: Iterator[pa.RecordBatch], columns: tuple[str, ...]) -> Iterator[list[tuple]]:
+    """Rows sorted by grp, whole groups together, in lists of about MERGED_BYTES of data; grp is the first column, data the second."""
+    rows: list[tuple] = []
+    size, last = 0, None
     for batch in batches:
-        buf, bounds = tk.raw(batch.column("text"))
-        picks = batch.column("picks")
-        at, flat = picks.offsets.to_numpy(), picks.values
-        first, count, anchor, length = (flat.field(c).to_numpy(zero_copy_only=False) for c in ("first", "count", "anchor", "length"))
-        row = np.repeat(np.arange(batch.num_rows), np.diff(at))
-        use = slice(at[0], at[-1])
-        begin = bounds[row] + first[use]
-        data = [buf[s : s + n] for s, n in zip(begin.tolist(), length[use].tolist(), strict=True)]
-        place = [anchor_place(d, a) for d, a in zip(data, anchor[use].view(tk.U), strict=True)]
-        yield pa.RecordBatch.from_arrays(
-            [pa.array(anchor[use]), batch.column("id").take(pa.array(row)), batch.column("th").take(pa.array(row)),
-             pa.array(first[use].astype(np.int32)), pa.array(count[use].astype(np.int32)), pa.array(place, pa.int32()),
-             pa.array([d.tobytes() for d in data], pa.binary())],
-            ["anchor", "id", "th", "first", "count", "place", "data"],
-        )
+        for row in zip(*(batch.column(c).to_pylist() for c in columns), strict=True):
+            if row[0] != last and size >= MERGED_BYTES:
+                yield rows
+                rows, size = [], 0
+            rows.append(row)
+            size += len(row[1])
+            last = row[0]
+    if rows:
+        yield rows
+
+
+def confirmer(span: int):
+    """mapInArrow over pieces of first and last places, sorted by grp: the kinds (anchor, whole) whose starts all are repeated."""
+
+    def confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for rows in gathered(batches, ("grp", "data", "role", "first", "count", "kinds")):
+            hits = repeated_starts([np.frombuffer(r[1], np.uint8) for r in rows], [r[4] for r in rows], span, sides=[r[2] for r in rows])
+            found = [
+                (k["anchor"], k["whole"])
+                for (_, _, role, first, _, kinds), hit in zip(rows, hits, strict=True) if role == FIRST
+                for k in kinds if hit[k["first"] - first : k["first"] - first + k["count"]].all()
+            ]
+            columns = list(zip(*found, strict=True)) or [(), ()]
+            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], ["anchor", "whole"])
+
+    return confirm
 
 
 def resolver(span: int):
-    """mapInArrow over stretches sorted by anchor: spans of starts that occur elsewhere.
-
-    Whole anchors are gathered up to MERGED_BYTES, then their shards are merged and released.
-    """
+    """mapInArrow over open pieces sorted by grp: spans of starts that occur elsewhere."""
 
     def resolve(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rows: list[tuple] = []
-        size, last = 0, None
-
-        def flush() -> pa.RecordBatch:
-            data = [np.frombuffer(r[5], np.uint8) for r in rows]
-            open_ = narrowed(data, np.array([r[3] for r in rows]), np.array([r[4] for r in rows]), span)
-            found = repeated_starts([data[i][a : a + n + span - 1] for i, a, n in open_], [n for _, _, n in open_], span)
+        for rows in gathered(batches, ("grp", "data", "id", "th", "first", "count", "place")):
+            data = [np.frombuffer(r[1], np.uint8) for r in rows]
+            alive = narrowed(data, np.array([r[5] for r in rows]), np.array([r[6] for r in rows]), span)
+            found = repeated_starts([data[i][a : a + n + span - 1] for i, a, n in alive], [n for _, _, n in alive], span)
             out: list[tuple[int, int, int, int]] = []
-            for (i, a, _), hit in zip(open_, found, strict=True):
-                doc, th, first = rows[i][:3]
+            for (i, a, _), hit in zip(alive, found, strict=True):
+                doc, th, first = rows[i][2:5]
                 edge = np.flatnonzero(np.diff(np.concatenate(([0], hit.view(np.int8), [0]))))
                 for s, e in zip(edge[::2].tolist(), edge[1::2].tolist(), strict=True):
                     out.append((doc, th, first + a + s, first + a + e - 1 + span))
             cols = list(zip(*out, strict=True)) or [[]] * 4
             kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int32())
-            return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], ["id", "th", "s", "e"])
-
-        for batch in batches:
-            cols = [batch.column(c).to_pylist() for c in ("anchor", "id", "th", "first", "count", "place", "data")]
-            for anchor, doc, th, first, count, place, data in zip(*cols, strict=True):
-                if anchor != last and size >= MERGED_BYTES:
-                    yield flush()
-                    rows, size = [], 0
-                rows.append((doc, th, first, count, place, data))
-                size += len(data)
-                last = anchor
-        if rows:
-            yield flush()
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], ["id", "th", "s", "e"])
 
     return resolve
 
 
-def string_hashes(span: int):
-    """mapInArrow: stretches with bytes to one row a string: 128 bits of hash and its place."""
+def closer(span: int, width: int):
+    """mapInArrow: open pieces to pieces of at most `width` starts, grouped by the bytes that all of a piece's strings share."""
 
-    def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            buf, bounds = tk.raw(batch.column("data"))
-            n = np.diff(bounds) - span + 1
-            row = np.repeat(np.arange(len(n)), n)
-            start = np.arange(len(row)) - np.repeat(np.cumsum(n) - n, n)
-            at = bounds[row] + start
             out = []
-            for salt in (31, 37):
-                sums = np.zeros(len(buf) + 1, dtype=tk.U)
-                np.cumsum(tk.mix(buf.astype(tk.U), salt) * tk.powers(tk.BASE, len(buf)), out=sums[1:])
-                out.append(tk.longs(tk.mix((sums[at + span] - sums[at]) * tk.powers(tk.BASE_INVERSE, len(buf))[at], salt)))
-            first = batch.column("first").to_numpy(zero_copy_only=False)[row] + start
-            yield pa.RecordBatch.from_arrays(
-                [batch.column("id").take(pa.array(row)), batch.column("th").take(pa.array(row)), pa.array(first.astype(np.int32)), *out],
-                ["id", "th", "s", "h1", "h2"],
-            )
-
-    return read
+            for grp, role, doc, th, first, count, at, data, _ in zip(*(batch.column(c).to_pylist() for c in batch.schema.names), strict=True):
+                x = np.frombuffer(data, np.uint8)
+                sums = np.zeros(len(x) + 1, dtype=tk.U)
+                np.cumsum(tk.BYTE_HASH[x] * tk.powers(tk.BASE, len(x)), out=sums[1:])
+                back = tk.powers(tk.BASE_INVERSE, len(x) + 1)
+                q = np.arange(at // width + 1)
+                s = at - width * q
+                low, high = np.maximum(0, s - width + 1), np.minimum(count - 1, s)
+                q, s, low, high = (y[low <= high] for y in (q, s, low, high))
+                shared = (sums[s + span - width + 1] - sums[s]) * back[s]
+                key = tk.mix(tk.mix(shared, 41) + q.astype(tk.U) * tk.U(tk.BASE) + tk.U(grp % (1 << 64)), width).view(np.int64)
+                out += [
+                    (k, role, doc, th, first + a, b - a + 1, at - a, data[a : b + span], None)
+                    for k, a, b in zip(key.tolist(), low.tolist(), high.tolist(), strict=True)
+                ]
+            yield piece_batch(out)
+
+    return deal
 
 
 def repeated_spans(docs: DataFrame, span: int = 200) -> DataFrame:
     """(id, th, s, e): byte ranges whose span-byte strings all stand elsewhere too; ranges may overlap."""
     ship("nodeflux.llm.textkit", "nodeflux.llm.substrings")
+    n = partitions(docs)
     text = F.coalesce(F.col("text"), F.lit(""))
     texts = docs.select(id_or_least(F.col("doc_id")).alias("id"), F.xxhash64(text).alias("th"), text.alias("text"))
     found = cut(texts.mapInArrow(anchor_reader(span), ANCHORS), "bwt-anchors")
     pairs = found.select(F.explode(F.arrays_zip("anchor", "whole")).alias("x")).select("x.anchor", "x.whole")
-    counts = pairs.groupBy("anchor", "whole").agg(F.count("*").alias("copies"))
-    counts = cut(counts, "bwt-counts")
+    counts = cut(pairs.groupBy("anchor", "whole").agg(F.count("*").alias("copies")), "bwt-counts")
     shared = counts.groupBy("anchor").agg(F.sum("copies").alias("all"), F.count("*").alias("kinds"), F.min("copies").alias("least")).filter("all > 1")
-    known = cut(
-        counts.join(shared, "anchor").select("anchor", "whole", "copies", "kinds", "least"), "bwt-shared"
-    )
+    known = cut(counts.join(shared, "anchor").select("anchor", "whole", "copies", "kinds", "least"), "bwt-shared")
     placed = (
         found.select("id", "th", F.explode(F.arrays_zip("anchor", "whole", "first", "count")).alias("x"))
         .select("id", "th", "x.anchor", "x.whole", "x.first", "x.count")
         .join(known, ["anchor", "whole"])
     )
     placed = cut(placed, "bwt-placed")
-    settled = placed.filter("copies > 1").select("id", "th", F.col("first").alias("s"), (F.col("first") + F.col("count") - 1 + span).alias("e"))
-    # one place for each kind of stretch of an anchor that has kinds seen once
-    open_ = (
-        placed.filter("least = 1 and kinds > 1")
-        .groupBy("anchor", "whole").agg(F.min(F.struct("id", "th", "first", "count")).alias("x"), F.first("kinds").alias("kinds"))
+    for table in (found, counts, known):
+        discard(table)
+    # the first and the last place of each kind; of an anchor that has kinds seen once, the first place is open, too
+    place = F.struct("id", "th", "first")
+    kinds = placed.groupBy("anchor", "whole").agg(
+        F.min(place).alias("a"), F.max(place).alias("b"), F.first("count").alias("count"), F.first("copies").alias("copies"),
+        F.first("kinds").alias("kinds"), F.first("least").alias("least"),
+    )
+    pick = lambda at, grp, role: F.struct(
+        F.col(f"{at}.id").alias("id"), F.col(f"{at}.th").alias("th"), grp.alias("grp"), F.lit(role).alias("role"), F.col(f"{at}.first").alias("first"),
+        "count", "anchor", "whole",
     )
-    picks = open_.select(
-        "x.id", "x.th",
-        F.struct("x.first", "x.count", "anchor", (F.col("x.count") + span - 1).alias("length"), "kinds").alias("pick"),
-    ).groupBy("id", "th").agg(F.collect_list("pick").alias("picks"))
+    run = F.xxhash64("a.id", "a.th", "b.id", "b.th", F.col("b.first") - F.col("a.first"))
+    none = F.array().cast("array<struct<id:bigint,th:bigint,grp:bigint,role:int,first:int,count:int,anchor:bigint,whole:bigint>>")
+    picks = kinds.select(F.inline(F.concat(
+        F.when(F.col("copies") > 1, F.array(pick("a", run, FIRST), pick("b", run, LAST))).otherwise(none),
+        F.when((F.col("least") == 1) & (F.col("kinds") > 1), F.array(pick("a", F.col("anchor"), OPEN))).otherwise(none),
+    )))
+    picks = picks.groupBy("id", "th").agg(F.collect_list(F.struct("grp", "role", "first", "count", "anchor", "whole")).alias("picks"))
     once = texts.join(picks, ["id", "th"]).dropDuplicates(["id", "th"])
-    rows = cut(once.mapInArrow(stretch_bytes, "anchor long, id long, th long, first int, count int, place int, data binary"), "bwt-open")
-    many = open_.filter(F.col("kinds") > ANCHOR_STRETCHES).select("anchor").distinct()
-    many = cut(many, "bwt-hot")
-    hot = many.count() > 0
-    cold_rows = rows.join(many, "anchor", "left_anti") if hot else rows
-    merged = (
-        cold_rows.repartition(partitions(docs), "anchor").sortWithinPartitions("anchor").mapInArrow(resolver(span), SPANS)
-    )
-    out = settled.unionByName(merged)
-    if hot:
-        strings = cut(rows.join(many, "anchor").mapInArrow(string_hashes(span), "id long, th long, s int, h1 long, h2 long"), "bwt-strings")
-        twice = strings.groupBy("h1", "h2").count().filter("count > 1").select("h1", "h2")
-        out = out.unionByName(strings.join(twice, ["h1", "h2"]).select("id", "th", "s", (F.col("s") + span).alias("e")))
-    return out
+    pieces = cut(once.mapInArrow(piece_reader(span), PIECES), "bwt-pieces")
+    open_, both = pieces.filter(F.col("role") == OPEN), pieces.filter(F.col("role") != OPEN)
+    spans = []
+    for width in WIDTHS:
+        hot = cut(open_.groupBy("grp").count().filter(F.col("count") > GROUP_STRETCHES).select("grp"), "bwt-hot")
+        if hot.isEmpty():
+            break
+        spans.append(open_.join(hot, "grp", "left_anti"))
+        dealt = cut(open_.join(hot, "grp", "left_semi").select(*pieces.columns).mapInArrow(closer(span, width), PIECES), "bwt-closer")
+        open_ = cut(dealt.join(dealt.groupBy("grp").count().filter("count > 1").select("grp"), "grp", "left_semi").select(*pieces.columns), "bwt-alive")
+        discard(dealt)
+    else:  # groups are whole strings now: each is a kind
+        ends = F.struct("id", "th", "first", "data")
+        twice = open_.groupBy("grp").agg(F.min(ends).alias("a"), F.max(ends).alias("b"))
+        kind = F.array(F.struct(F.col("x.first").alias("first"), F.lit(1).alias("count"), F.col("grp").alias("anchor"), F.lit(0).cast("long").alias("whole")))
+        strings = twice.select("grp", F.posexplode(F.array("a", "b")).alias("role", "x")).select(
+            "grp", "role", "x.id", "x.th", "x.first", F.lit(1).alias("count"), F.lit(0).alias("place"), "x.data",
+            F.when(F.col("role") == FIRST, kind).alias("kinds"),
+        )
+        equal = strings.repartition(n, "grp").sortWithinPartitions("grp").mapInArrow(confirmer(span), "anchor long, whole long")
+        spans_of_strings = open_.join(equal.select(F.col("anchor").alias("grp")), "grp").select("id", "th", F.col("first").alias("s"), (F.col("first") + span).alias("e"))
+        open_ = None
+    if open_ is not None:
+        spans.append(open_)
+    merged = None
+    for part in spans:
+        merged = part.select(*pieces.columns) if merged is None else merged.unionByName(part.select(*pieces.columns))
+    out = merged.repartition(n, "grp").sortWithinPartitions("grp").mapInArrow(resolver(span), SPANS)
+    if open_ is None:
+        out = out.unionByName(spans_of_strings)
+    certain = cut(both.repartition(n, "grp").sortWithinPartitions("grp").mapInArrow(confirmer(span), "anchor long, whole long"), "bwt-certain")
+    everywhere = placed.filter("copies > 1").join(certain, ["anchor", "whole"], "left_semi")
+    return out.unionByName(everywhere.select("id", "th", F.col("first").alias("s"), (F.col("first") + F.col("count") - 1 + span).alias("e")))
 
 
 def cutter(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
