@@ -1,26 +1,27 @@
 """Benchmark decontamination with suffix arrays of the training texts.
 
-A task turns its documents into word sequences and sorts their suffixes: shard by shard, a
-sparse suffix array of the suffixes that can match at all (their first words' hash is a
-window of some item; all other suffixes cannot be hit and are not sorted). Every suffix of
-every item is then binary-searched in each shard's array, which gives all occurrences of its
-window and its longest verbatim match. Documents are whole in their task, so nothing is
-shuffled; items are sent to the tasks in blocks of bounded size, one pass over the documents
-for each block.
-
-A window has `width` consecutive item words; an item of fewer words is one window. Words are
-compared as text: 64-bit word hashes lead to a match, and the words' bytes confirm it.
+A task turns its documents into word sequences, shard by shard, and sorts the suffixes that
+start with an item's word (no other can match one). Every suffix of every item is then
+binary-searched in the array, word by word: the interval of the suffixes that share its first
+words shrinks until it is empty, which gives its longest verbatim match and all places, and
+at the depth of a window all occurrences of that. Documents are whole in their task, so
+nothing is shuffled; items are sent to the tasks in blocks of bounded size, one pass over the
+documents for each block.
+
+A window has `width` consecutive item words; an item of fewer words is one window. Matches of
+`shortest` words or more are told, window or not. Words are compared as text: 64-bit word
+hashes lead to a match, and the words' bytes confirm it.
 
 Defined results: null and empty texts have no words and hit nothing; an item without words
 has no window; equal windows count for every item that has them; repeated ids give a row
 each; items with a null item_id hit as others do, count as one item together and have no name
-in items_sha256; a null doc_id stays null; an empty benchmark leaves all documents clean; other columns
-of either table play no part.
+in items_sha256; a null doc_id stays null; an empty benchmark leaves all documents clean; of
+equally long matches the first in the text is told, of its items' words the first; other
+columns of either table play no part.
 """
 
 from __future__ import annotations
 
-from bisect import bisect_left
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -35,10 +36,8 @@ from .common import ship
 WIDTH = 10
 #: Bytes of item texts in a block; a larger benchmark takes several passes.
 BLOCK_BYTES = 32 << 20
-#: Bytes of suffixes in one array; a shard with more candidates has several arrays.
-ARRAY_BYTES = 1 << 25
-#: log2 of the slots of the table that says which window hashes exist.
-SLOTS = 20
+#: Words of a match that is told though it holds no window.
+SHORTEST = 5
 
 
 @dataclass
@@ -52,15 +51,6 @@ class Items:
     text: list[bytes]
     width: int
 
-    def windows(self) -> list[tuple[int, int, int]]:
-        """(item, first word, words) of every test suffix that starts a window."""
-        out = []
-        for i in range(len(self.ids)):
-            a, b = int(self.first[i]), int(self.first[i + 1])
-            size = min(self.width, b - a)
-            out += [(i, s, size) for s in range(a, b - size + 1)] if size else []
-        return out
-
 
 def item_block(ids: list[int | None], texts: list[str | None], width: int) -> Items:
     buf, bounds = tk.raw(pa.array(texts, pa.large_string()))
@@ -69,79 +59,110 @@ def item_block(ids: list[int | None], texts: list[str | None], width: int) -> It
     return Items(ids, w.first, w.hashes, [folded[s:e] for s, e in zip(w.starts.tolist(), w.ends.tolist(), strict=True)], width)
 
 
+def suffix_order(words: np.ndarray, use: np.ndarray, depth: int) -> np.ndarray:
+    """The places marked by `use`, in order of their suffixes' first `depth` words; ranks are doubled."""
+    order = np.argsort(words)
+    ordered = words[order]
+    rank = np.empty(len(words), dtype=np.int64)
+    rank[order] = np.cumsum(np.concatenate(([0], (ordered[1:] != ordered[:-1]).astype(np.int64))))
+    have = 1
+    while have < depth:
+        after = np.zeros(len(rank), dtype=np.int64)
+        after[:-have] = rank[have:] + 1
+        key = rank * (len(rank) + 1) + after
+        order = np.argsort(key)
+        ordered = key[order]
+        new = ordered[1:] != ordered[:-1]
+        rank[order] = np.cumsum(np.concatenate(([0], new.astype(np.int64))))
+        if new.all():
+            break
+        have *= 2
+    at = np.flatnonzero(use)
+    return at[np.argsort(rank[at], kind="stable")]
+
+
 class Searcher:
-    """Finds the occurrences of a block's windows in one shard after another."""
+    """Binary-searches a block's suffixes in one shard after another."""
 
-    def __init__(self, items: Items) -> None:
+    def __init__(self, items: Items, shortest: int | None = SHORTEST) -> None:
         self.items = items
-        self.windows = items.windows()
-        self.sizes = sorted({n for _, _, n in self.windows})
-        self.slots = {n: np.zeros(1 << SLOTS, dtype=bool) for n in self.sizes}
-        self.known = {}
-        starts = np.array([s for _, s, _ in self.windows], dtype=np.int64)
-        sizes = np.array([n for _, _, n in self.windows], dtype=np.int64)
-        for n in self.sizes:
-            found = np.unique(tk.windows(items.hashes, n)[starts[sizes == n]])
-            self.known[n] = found
-            self.slots[n][found >> tk.U(64 - SLOTS)] = True
-        # test suffixes as bytes: big-endian words compare as the words do
-        self.keys = [items.hashes[s : int(items.first[i + 1])].astype(">u8").tobytes() for i, s, _ in self.windows]
-        self.longest = max((len(k) for k in self.keys), default=0)
-        self.hashes = np.array([tk.windows(items.hashes[s : s + n], n)[0] for _, s, n in self.windows], dtype=tk.U)
-
-    def candidates(self, hashes: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Word positions at which some window's hash occurs within its document, and those hashes.
-
-        ends: one past the last word of each word's document.
-        """
-        out, met = [], []
-        for n in self.sizes:
-            h = tk.windows(hashes, n)
-            at = np.flatnonzero(self.slots[n][h >> tk.U(64 - SLOTS)])
-            known = self.known[n]
-            there = known[np.minimum(np.searchsorted(known, h[at]), len(known) - 1)] == h[at]
-            at = at[there]
-            at = at[at + n <= ends[at]]
-            out.append(at)
-            met.append(h[at])
-        if not out:
-            return np.zeros(0, np.int64), np.zeros(0, tk.U)
-        return np.unique(np.concatenate(out)), np.unique(np.concatenate(met))
-
-    def search(self, w: tk.Words, folded: bytes) -> list[tuple[int, int, int, int]]:
-        """(item, word position, words of the window, words of the longest match) of every occurrence."""
-        ends = np.repeat(w.first[1:], np.diff(w.first))
-        at, met = self.candidates(w.hashes, ends)
+        n = np.diff(items.first)
+        #: of every test suffix: its item, first word, words, words of the window that it starts (0: none), words worth telling
+        self.item = np.repeat(np.arange(len(n)), n)
+        self.start = np.arange(len(items.hashes))
+        self.words = items.first[1:][self.item] - self.start
+        window = np.minimum(items.width, n)[self.item]
+        self.window = np.where(self.words >= window, window, 0)
+        told = np.full(len(window), np.iinfo(np.int64).max if shortest is None else shortest)
+        self.told = np.where(self.window > 0, np.minimum(told, self.window), told)
+        use = self.words >= self.told
+        self.item, self.start, self.words, self.window, self.told = (x[use] for x in (self.item, self.start, self.words, self.window, self.told))
+        self.longest = int(self.words.max(initial=0))
+        self.vocabulary = np.unique(items.hashes[self.start])
+
+    def search(self, w: tk.Words, folded: bytes) -> tuple[np.ndarray, ...]:
+        """(test suffix, document, word of the document, matching words) of all matches that are worth telling."""
+        none = np.zeros(0, np.int64)
+        if not len(w.starts) or not len(self.item):
+            return none, none, none, none
+        n_docs = len(w.first) - 1
+        doc = np.repeat(np.arange(n_docs), np.diff(w.first))
+        place = np.arange(len(doc)) + doc  # a document ends with a zero that no word equals
+        seq = np.zeros(len(doc) + n_docs, dtype=tk.U)
+        seq[place] = w.hashes
+        use = np.zeros(len(seq), dtype=bool)
+        use[place] = self.vocabulary[np.minimum(np.searchsorted(self.vocabulary, w.hashes), len(self.vocabulary) - 1)] == w.hashes
+        array = suffix_order(seq, use, self.longest)
+        seq = np.concatenate((seq, np.zeros(self.longest + 1, tk.U)))
+        first = seq[array]
+        asked = self.items.hashes[self.start]
+        q = np.arange(len(asked))
+        lo, hi = np.searchsorted(first, asked), np.searchsorted(first, asked, side="right")
         out = []
-        big = w.hashes.astype(">u8")
-        asked = np.flatnonzero(np.isin(self.hashes, met)).tolist()
-        step = max(1, ARRAY_BYTES // max(self.longest, 1))
-
-        def suffix(p: int) -> bytes:
-            return big[p : min(int(ends[p]), p + self.longest // 8)].tobytes()
-
-        for a in range(0, len(at), step):
-            array = sorted((suffix(p), p) for p in at[a : a + step].tolist())
-            sorted_keys = [k for k, _ in array]
-            for q in asked:
-                (item, start, size), key = self.windows[q], self.keys[q]
-                prefix = key[: 8 * size]
-                lo = bisect_left(sorted_keys, prefix)
-                while lo < len(array) and sorted_keys[lo].startswith(prefix):
-                    p = array[lo][1]
-                    if all(folded[w.starts[p + k] : w.ends[p + k]] == self.items.text[start + k] for k in range(size)):
-                        out.append((item, p, size, _common_words(key, sorted_keys[lo])))
-                    lo += 1
-        return out
-
-
-def _common_words(a: bytes, b: bytes) -> int:
-    n = min(len(a), len(b))
-    x = np.frombuffer(a[:n], dtype=">u8") != np.frombuffer(b[:n], dtype=">u8")
-    return int(x.argmax()) if x.any() else n // 8
-
-
-MATCHES = "doc_id long, n_words long, spans array<struct<s:long,e:long>>, items array<long>, longest long, text string"
+        for depth in range(1, self.longest + 1):  # all places in [lo, hi) share the first `depth` words of suffix q
+            there = lo < hi
+            q, lo, hi = q[there], lo[there], hi[there]
+            if not len(q):
+                break
+            more = self.words[q] > depth
+            word = self.items.hashes[np.where(more, self.start[q] + depth, 0)]
+            low = self.bound(seq, array, lo, np.where(more, hi, lo), depth, word, False)
+            high = self.bound(seq, array, low, np.where(more, hi, low), depth, word, True)
+            told = depth >= self.told[q]
+            for a, b in ((lo, low), (high, hi)):  # these part here
+                count = np.where(told, b - a, 0)
+                of = np.repeat(np.arange(len(q)), count)
+                at = np.arange(len(of)) - np.repeat(np.cumsum(count) - count, count) + a[of]
+                out.append((q[of], array[at], np.full(len(of), depth)))
+            lo, hi = low, high
+        if not out:
+            return none, none, none, none
+        suffix, at, length = (np.concatenate(x) for x in zip(*out, strict=True))
+        d = np.searchsorted(w.first + np.arange(n_docs + 1), at, side="right") - 1
+        word = at - d
+        right = [
+            all(folded[w.starts[p + k] : w.ends[p + k]] == self.items.text[s + k] for k in range(n))
+            for p, s, n in zip(word.tolist(), self.start[suffix].tolist(), length.tolist(), strict=True)
+        ]
+        return suffix[right], d[right], (word - w.first[d])[right], length[right]
+
+    @staticmethod
+    def bound(seq: np.ndarray, array: np.ndarray, lo: np.ndarray, hi: np.ndarray, depth: int, word: np.ndarray, right: bool) -> np.ndarray:
+        """For each interval the first place whose word at `depth` is not below (right: is beyond) the asked one."""
+        lo, hi = lo.copy(), hi.copy()
+        live = np.flatnonzero(lo < hi)
+        while len(live):
+            mid = (lo[live] + hi[live]) >> 1
+            x = seq[array[mid] + depth]
+            below = x <= word[live] if right else x < word[live]
+            lo[live[below]] = mid[below] + 1
+            hi[live[~below]] = mid[~below]
+            live = live[lo[live] < hi[live]]
+        return lo
+
+
+LONGEST = "struct<words:bigint,at:bigint,item:bigint,item_word:bigint>"
+MATCHES = f"doc_id long, n_words long, spans array<struct<s:long,e:long>>, items array<long>, longest {LONGEST}, text string"
 
 
 def matcher(block, last: bool):
@@ -153,6 +174,7 @@ def matcher(block, last: bool):
     def match(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         search = Searcher(block.value)
         span = pa.struct([("s", pa.int64()), ("e", pa.int64())])
+        best = pa.struct([(c, pa.int64()) for c in ("words", "at", "item", "item_word")])
         for batch in batches:
             buf, bounds = tk.raw(batch.column("text"))
             for a, b in tk.runs(bounds):
@@ -160,21 +182,25 @@ def matcher(block, last: bool):
                 w = tk.words(part, bounds[a : b + 1] - bounds[a], tk.ALNUM)
                 spans: list[list[dict]] = [[] for _ in range(a, b)]
                 items: list[set[int | None]] = [set() for _ in range(a, b)]
-                longest = [0] * (b - a)
+                longest: list[dict | None] = [None] * (b - a)
                 if "spans" in batch.schema.names:
                     before = batch.slice(a, b - a)
                     items = [set(x) for x in before.column("items").to_pylist()]
                     longest = before.column("longest").to_pylist()
-                hits = search.search(w, tk.FOLD[part].tobytes()) if len(w.starts) else []
-                for item, p, size, common in sorted(hits, key=lambda h: h[1]):
-                    d = int(np.searchsorted(w.first, p, side="right")) - 1
-                    s, e = p - int(w.first[d]), p - int(w.first[d]) + size
+                found = search.search(w, tk.FOLD[part].tobytes())
+                order = np.lexsort((found[0], found[2], found[1]))
+                for q, d, s, n in zip(*(x[order].tolist() for x in found), strict=True):
+                    item, size = int(search.item[q]), int(search.window[q])
+                    if longest[d] is None or n > longest[d]["words"]:
+                        word = int(search.start[q] - search.items.first[item])
+                        longest[d] = {"words": n, "at": s, "item": search.items.ids[item], "item_word": word}
+                    if not size or n < size:
+                        continue
                     if spans[d] and spans[d][-1]["e"] >= s:
-                        spans[d][-1]["e"] = max(spans[d][-1]["e"], e)
+                        spans[d][-1]["e"] = max(spans[d][-1]["e"], s + size)
                     else:
-                        spans[d].append({"s": s, "e": e})
+                        spans[d].append({"s": s, "e": s + size})
                     items[d].add(search.items.ids[item])
-                    longest[d] = max(longest[d], common)
                 if "spans" in batch.schema.names:
                     spans = [x + y for x, y in zip(before.column("spans").to_pylist(), spans, strict=True)]
                 yield pa.RecordBatch.from_arrays(
@@ -183,7 +209,7 @@ def matcher(block, last: bool):
                         tk.longs(np.diff(w.first)),
                         pa.array(spans, pa.list_(span)),
                         pa.array([sorted(x, key=lambda i: (i is None, i or 0)) for x in items], pa.list_(pa.int64())),
-                        pa.array(longest, pa.int64()),
+                        pa.array(longest, best),
                         pa.nulls(b - a, pa.string()) if last else batch.column("text").slice(a, b - a),
                     ],
                     ["doc_id", "n_words", "spans", "items", "longest", "text"],
@@ -220,7 +246,7 @@ def _hit_words(spans: Column) -> Column:
 
 
 def find_leaks(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH, block_bytes: int = BLOCK_BYTES) -> DataFrame:
-    """(doc_id, n_words, spans, items, longest): hit word spans, items and the longest match of each document."""
+    """(doc_id, n_words, spans, items, longest): hit word spans, items and the longest match of each document and where it is, or null."""
     ship("nodeflux.llm.textkit", "nodeflux.llm.decontaminate")
     spark = docs.sparkSession
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
@@ -252,22 +278,24 @@ def clean_filter(block):
     """mapInArrow: the rows whose text holds no window of the block."""
 
     def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        search = Searcher(block.value)
+        search = Searcher(block.value, None)
         for batch in batches:
             buf, bounds = tk.raw(batch.column("text"))
             clean = np.ones(batch.num_rows, dtype=bool)
             for a, b in tk.runs(bounds):
                 part = buf[bounds[a] : bounds[b]]
                 w = tk.words(part, bounds[a : b + 1] - bounds[a], tk.ALNUM)
-                for _, p, _, _ in search.search(w, tk.FOLD[part].tobytes()) if len(w.starts) else ():
-                    clean[a + int(np.searchsorted(w.first, p, side="right")) - 1] = False
+                clean[a + search.search(w, tk.FOLD[part].tobytes())[1]] = False
             yield batch.filter(pa.array(clean))
 
     return keep
 
 
 def remove_leaks(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH, block_bytes: int = BLOCK_BYTES) -> DataFrame:
-    """docs without the documents that hold a window of an item; nothing is shuffled."""
+    """docs without the documents that hold a window of an item; nothing is shuffled.
+
+    Null and empty texts, null ids and repeated rows stay as they are; columns of any name stay.
+    """
     ship("nodeflux.llm.textkit", "nodeflux.llm.decontaminate")
     for block in item_blocks(benchmark, width, block_bytes):
         docs = docs.mapInArrow(clean_filter(docs.sparkSession.sparkContext.broadcast(block)), docs.schema)
