@@ -1,36 +1,43 @@
 """Quality rules as a short-circuit cascade [native].
 
 Measures are array expressions over one text each, so nothing is shuffled. The verdict is
-a CASE whose branches are the rules; a bounded sample gives each rule's cost (seconds) and
-rejection rate, and the branches stand in the order of rejection per cost. All orders give
-the same verdict; the order only decides how soon a bad text is done with.
+a CASE whose branches are the rules, so a text that one rejects is not held against the
+rest. A bounded sample gives each rule's cost, as work counted on the rows (characters that
+it scans) and not as seconds, and its rejections among the rows that all rules before it
+leave; the next branch is always the one that rejects most per cost. So the order is the same in
+each run over one table. All orders give the same verdict; the order only decides how soon a
+bad text is done with.
+
+`apply_rules` returns the measures of every row, so only what rules count beyond them is
+short-circuited. The measures stand behind a generator of one row, which no filter is pushed
+through: else a filter on the verdict would compute them anew wherever they are used.
 
 Defined results: a null or empty text has no words and fails the base rule; every row gives
 one row, repeated ids too; an empty table gives an empty result and the rules' given order;
-other columns of the input play no part.
+ties of rejection per cost go by the given order; other columns of the input play no part.
 """
 
 from __future__ import annotations
 
-import time
 from collections.abc import Sequence
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import WHITE
+from .common import WHITE, fresh_names
 
 #: Rows of the sample that orders the rules, taken from the first partitions.
-SAMPLE_ROWS = 400
+SAMPLE_ROWS = 2000
 
 
 @dataclass(frozen=True)
 class Rule:
-    """A text fails if `fails` is true; it may use the measures' columns and `text`."""
+    """A text fails if `fails` is true; it may use the measures' columns and `text`. `work` counts what that costs a row."""
 
     name: str
     fails: Column
+    work: Column | None = None
 
 
 def _count(chars: str) -> Column:
@@ -38,14 +45,14 @@ def _count(chars: str) -> Column:
 
 
 def default_rules() -> list[Rule]:
-    n = F.col("n_words")
+    n, scan = F.col("n_words"), F.char_length("text")
     return [
-        Rule("symbols", 10 * F.col("n_symbols") > n),
-        Rule("repeated_lines", (F.col("n_dup_lines") >= 3) & (2 * F.col("n_dup_lines") > F.col("n_text_lines"))),
-        Rule("word_length", (F.col("word_chars") > 14 * n) | (F.col("word_chars") < 2 * n)),
-        Rule("capitals", 2 * _count("[A-Z]") > F.col("word_chars")),
-        Rule("exclamations", 2 * _count("!") > n),
-        Rule("digits", 2 * _count("[0-9]") > F.col("word_chars")),
+        Rule("symbols", 10 * F.col("n_symbols") > n, F.lit(2)),
+        Rule("repeated_lines", (F.col("n_dup_lines") >= 3) & (2 * F.col("n_dup_lines") > F.col("n_text_lines")), F.lit(3)),
+        Rule("word_length", (F.col("word_chars") > 14 * n) | (F.col("word_chars") < 2 * n), F.lit(3)),
+        Rule("capitals", 2 * _count("[A-Z]") > F.col("word_chars"), scan),
+        Rule("exclamations", 2 * _count("!") > n, scan),
+        Rule("digits", 2 * _count("[0-9]") > F.col("word_chars"), scan),
     ]
 
 
@@ -67,7 +74,8 @@ def repeated_words(words: Column, hashes: Column, width: int = 5) -> Column:
 
 
 def measure(docs: DataFrame) -> DataFrame:
-    """docs with n_words, word_chars, n_symbols, n_dup_lines, n_text_lines, n_repeat_words."""
+    """docs with n_words, word_chars, n_symbols, n_dup_lines, n_text_lines, n_repeat_words; these replace columns of docs of these names."""
+    docs = docs.drop("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_text_lines", "n_repeat_words")
     text = F.coalesce(F.col("text"), F.lit(""))
     words = F.filter(F.split(text, r"[\x20\x09-\x0D]+", -1), lambda w: w != "")
     lines = F.filter(F.split(text, "\n", -1), lambda x: F.btrim(x, F.lit(WHITE)) != "")
@@ -82,15 +90,14 @@ def measure(docs: DataFrame) -> DataFrame:
         .withColumn("__hashes", F.when(F.size("__words") >= width, window))
         # only a text in which a window occurs twice is sorted
         .withColumn("__marked", F.when(F.size(F.array_distinct("__hashes")) < F.size("__hashes"), marked))
-        .withColumns({
-            "n_words": F.size("__words").cast("long"),
-            "word_chars": F.char_length(F.array_join("__words", "")).cast("long"),
-            "n_symbols": F.size(F.regexp_extract_all(text, F.lit("[#*$%&|<>]"), F.lit(0))).cast("long"),
-            "n_text_lines": F.size("__lines").cast("long"),
-            "n_dup_lines": (F.size("__lines") - F.size(F.array_distinct("__lines"))).cast("long"),
-            "n_repeat_words": F.when(F.col("__marked").isNull(), 0).otherwise(covered).cast("long"),
-        })
-        .drop("__words", "__lines", "__hashes", "__marked")
+        .select(*[F.col(c) for c in docs.columns], F.inline(F.array(F.struct(
+            F.size("__words").cast("long").alias("n_words"),
+            F.char_length(F.array_join("__words", "")).cast("long").alias("word_chars"),
+            F.size(F.regexp_extract_all(text, F.lit("[#*$%&|<>]"), F.lit(0))).cast("long").alias("n_symbols"),
+            F.size("__lines").cast("long").alias("n_text_lines"),
+            (F.size("__lines") - F.size(F.array_distinct("__lines"))).cast("long").alias("n_dup_lines"),
+            F.when(F.col("__marked").isNull(), 0).otherwise(covered).cast("long").alias("n_repeat_words"),
+        ))))
     )
 
 
@@ -99,17 +106,19 @@ def base_failed() -> Column:
 
 
 def order_rules(docs: DataFrame, rules: Sequence[Rule], sample_rows: int = SAMPLE_ROWS) -> list[Rule]:
-    """Rules by rejection per second on a sample, the most first."""
-    sample = measure(docs.sample(0.5, seed=11))
-
-    def run(flag: Column) -> tuple[float, float]:
-        began = time.perf_counter()
-        got = [r[0] for r in sample.select(F.coalesce(flag, F.lit(False)).cast("int")).limit(sample_rows).collect()]
-        return time.perf_counter() - began, sum(got) / max(len(got), 1)
-
-    idle, _ = run(F.lit(False))
-    found = [(rate / max(took - idle, 1e-3), -k) for k, (took, rate) in enumerate(run(r.fails) for r in rules)]
-    return [rules[-k] for _, k in sorted(found, reverse=True)]
+    """Rules by rejection per work among what the rules before them leave of a sample, the most first."""
+    flag = lambda c: F.coalesce(c, F.lit(False))
+    sample = measure(docs.limit(sample_rows)).filter(~flag(base_failed()))
+    work = [F.coalesce(r.work if r.work is not None else F.char_length("text"), F.lit(0)).cast("double") for r in rules]
+    rows = sample.select(F.array(*[flag(r.fails) for r in rules]).alias("fails"), F.array(*work).alias("work")).collect()
+    left, order = list(range(len(rules))), []
+    while left:
+        cost = {k: sum(r.work[k] for r in rows) for k in left}
+        best = max(left, key=lambda k: (sum(r.fails[k] for r in rows) / max(cost[k], 1.0), -k))
+        order.append(rules[best])
+        left.remove(best)
+        rows = [r for r in rows if not r.fails[best]]
+    return order
 
 
 def cascade(rules: Sequence[Rule]) -> Column:
@@ -125,6 +134,13 @@ def apply_rules(docs: DataFrame, rules: Sequence[Rule] | None = None) -> DataFra
     return measure(docs).withColumns({"base_failed": base_failed(), "kept": cascade(ordered)})
 
 
+def keep_documents(docs: DataFrame, rules: Sequence[Rule] | None = None) -> DataFrame:
+    """The rows of docs that pass, with their columns as they are, also those that are called like a measure."""
+    (whole,) = fresh_names(docs, "whole_row")
+    marked = apply_rules(docs.select("text", F.struct(*docs.columns).alias(whole)), rules)
+    return marked.filter("kept").select(*[F.col(whole)[c].alias(c) for c in docs.columns])
+
+
 def op6_quality_rules(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
     return apply_rules(docs).select(
