@@ -2,8 +2,8 @@
 
 Words, word pairs and character n-grams are hashed into a table of learned vectors; a text
 is the average of its features' vectors, and a softmax over two outputs scores it. Training
-is stochastic gradient descent in numpy on the driver, on a sample whose size is a parameter
-and does not grow with the input. For scoring, both layers fold into one number for each
+is stochastic gradient descent in numpy on the driver, on a sample whose number of rows is a
+parameter and does not grow with the input; tasks turn its whole texts into features. For scoring, both layers fold into one number for each
 bucket (the average is linear), so a text costs one lookup a feature.
 
 Defined results: empty and null texts have no features and get the prior's score; labels
@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import textkit as tk
-from .common import ship
+from .common import fresh_names, ship
 
 IDENTITY = np.arange(256, dtype=np.uint8)
 SCORE = "__score"
@@ -40,8 +40,6 @@ class Settings:
     rate: float = 2.0
     #: labelled documents of each class in the training sample, the first by a hash of doc_id
     per_class: int = 1000
-    #: longer texts are not trained on (they are scored whole)
-    train_bytes: int = 1 << 20
     seed: int = 1
 
 
@@ -107,12 +105,16 @@ class Model:
 
 
 def train(texts: list[str | None], labels: list[int], s: Settings = Settings()) -> Model:
+    return train_bags(bags(texts, s), labels, s)
+
+
+def train_bags(data: list[tuple[np.ndarray, np.ndarray]], labels: list[int], s: Settings = Settings()) -> Model:
+    """One step of gradient descent a document and epoch; data are the documents' bags."""
     rng = np.random.default_rng(s.seed)
     vectors = rng.uniform(-1 / s.size, 1 / s.size, (1 << s.bits, s.size)).astype(np.float32)
     outputs = np.zeros((2, s.size), dtype=np.float32)
     outputs[1] = rng.uniform(-1 / s.size, 1 / s.size, s.size)
     bias = np.zeros(2, dtype=np.float32)
-    data = bags(texts, s)
     steps, done = max(1, s.epochs * len(data)), 0
     for _ in range(s.epochs):
         for i in rng.permutation(len(data)):
@@ -134,25 +136,42 @@ def train(texts: list[str | None], labels: list[int], s: Settings = Settings())
     return Model(vectors, outputs, bias, s)
 
 
-def sample_of(docs: DataFrame, labels: DataFrame, column: str, s: Settings) -> tuple[list[str | None], list[int], float]:
-    """Texts and labels of the training sample, and the log of the labels' odds over all labelled rows."""
+def bag_reader(s: Settings):
+    """mapInArrow: (doc_id, y, th, text) to the bag of each whole text."""
+
+    def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for i, text in enumerate(batch.column("text").to_pylist()):
+                ids, weights = bags([text], s)[0]
+                keys = [batch.column(c).slice(i, 1) for c in ("doc_id", "y", "th")]
+                yield pa.RecordBatch.from_arrays([*keys, pa.array([ids], pa.list_(pa.int32())), pa.array([weights], pa.list_(pa.float32()))], ["doc_id", "y", "th", "ids", "weights"])
+
+    return read
+
+
+def sample_of(docs: DataFrame, labels: DataFrame, column: str, s: Settings) -> tuple[list[tuple[np.ndarray, np.ndarray]], list[int], float]:
+    """Bags and labels of the training sample, and what the prior's log odds lack of those of all labelled rows.
+
+    Tasks make the bags of whole texts; a bag has at most 2 ** bits entries, however long its text.
+    """
     usable = labels.filter(F.col("doc_id").isNotNull() & F.col(column).isin(0, 1)).select("doc_id", F.col(column).cast("int").alias("y"))
     counts = {r.y: r["count"] for r in usable.groupBy("y").count().collect()}
     taken = None
     for y in (0, 1):
         part = usable.filter(F.col("y") == y).orderBy(F.xxhash64("doc_id"), "doc_id").limit(s.per_class)
         taken = part if taken is None else taken.union(part)
-    rows = (
-        docs.select("doc_id", "text").join(F.broadcast(taken), "doc_id")
-        .filter(F.octet_length("text") <= s.train_bytes).select("doc_id", "text", "y").collect()
-    )
-    rows.sort(key=lambda r: (r.doc_id, r.y, r.text))
+    kind = docs.schema["doc_id"].dataType.simpleString()
+    found = docs.select("doc_id", "text").filter("text is not null").join(F.broadcast(taken), "doc_id").select("doc_id", "y", F.xxhash64("text").alias("th"), "text")
+    rows = found.mapInArrow(bag_reader(s), f"doc_id {kind}, y int, th long, ids array<int>, weights array<float>").toArrow()
+    rows = rows.sort_by([("doc_id", "ascending"), ("y", "ascending"), ("th", "ascending")]).combine_chunks()
     odds = float(np.log(max(counts.get(1, 0), 1) / max(counts.get(0, 0), 1)))
-    seen = [sum(r.y == y for r in rows) for y in (0, 1)]
-    return [r.text for r in rows], [r.y for r in rows], odds - float(np.log(max(seen[1], 1) / max(seen[0], 1)))
+    y = rows.column("y").to_pylist()
+    data = [(i.values.to_numpy(), w.values.to_numpy()) for i, w in zip(rows.column("ids"), rows.column("weights"), strict=True)]
+    seen = [sum(x == k for x in y) for k in (0, 1)]
+    return data, y, odds - float(np.log(max(seen[1], 1) / max(seen[0], 1)))
 
 
-def scorer(shared):
+def scorer(shared, name: str):
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         weight, shift, s = shared.value
         for batch in batches:
@@ -165,26 +184,33 @@ def scorer(shared):
                     total += sums[cuts[1:]] - sums[cuts[:-1]]
                     n += np.diff(cuts)
                 out[a:b] = 1 / (1 + np.exp(-np.clip(total / np.maximum(n, 1) + shift, -500, 500)))
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(out)], [*batch.schema.names, SCORE])
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(out)], [*batch.schema.names, name])
 
     return score
 
 
 def fit(docs: DataFrame, labels: DataFrame, column: str = "quality", s: Settings = Settings()) -> Model:
-    texts, y, odds = sample_of(docs, labels, column, s)
-    model = train(texts, y, s)
-    if texts:
+    ship("nodeflux.llm.textkit", "nodeflux.llm.classifier")
+    data, y, odds = sample_of(docs, labels, column, s)
+    model = train_bags(data, y, s)
+    if data:
         model.bias[1] += odds
     else:
         model.outputs[:] = 0
     return model
 
 
-def with_score(docs: DataFrame, model: Model) -> DataFrame:
-    """docs and a column SCORE; nothing is shuffled."""
+def with_score(docs: DataFrame, model: Model, name: str = SCORE) -> DataFrame:
+    """docs and a column `name`; nothing is shuffled."""
     ship("nodeflux.llm.textkit", "nodeflux.llm.classifier")
     shared = docs.sparkSession.sparkContext.broadcast((model.weight(), model.shift(), model.settings))
-    return docs.mapInArrow(scorer(shared), T.StructType([*docs.schema.fields, T.StructField(SCORE, T.DoubleType())]))
+    return docs.mapInArrow(scorer(shared, name), T.StructType([*docs.schema.fields, T.StructField(name, T.DoubleType())]))
+
+
+def keep_good(docs: DataFrame, model: Model, least: float = 0.5) -> DataFrame:
+    """The rows of docs that score `least` or more, with their columns as they are; null and empty texts get the prior's score."""
+    (name,) = fresh_names(docs, "score")
+    return with_score(docs, model, name).filter(F.col(name) >= least).drop(name)
 
 
 def held_out(doc_id="doc_id"):

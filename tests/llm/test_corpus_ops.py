@@ -184,9 +184,9 @@ def passages(seed=0):
     return rows + [rows[10], rows[11]]
 
 
-@pytest.mark.parametrize("hot", [2000, 1])
+@pytest.mark.parametrize("hot", [2000, 3, 1])
 def test_repeated_substrings(spark, monkeypatch, hot):
-    monkeypatch.setattr(substrings, "ANCHOR_STRETCHES", hot)
+    monkeypatch.setattr(substrings, "GROUP_STRETCHES", hot)
     rows = passages()
     got = substrings.remove_repeats(frame(spark, rows)).select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256)).collect()
     assert Counter(map(tuple, got)) == brute_repeats(rows)
@@ -209,6 +209,22 @@ def test_merged_transforms_find_all_repeats(shard_bytes):
         assert [seen[p[i : i + 200].tobytes()] > 1 for i in range(len(hit))] == hit.tolist()
 
 
+def test_merged_transforms_decide_every_span(spark, sf, monkeypatch):
+    """Without the common prefixes that merges give, the registered query removes nothing; with them it equals brute force."""
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text")
+    want = brute_repeats([tuple(r) for r in docs.collect()])
+    got = registry.QUERIES["op10_suffix_dedup"](spark, sf).collect()
+    assert Counter(map(tuple, got)) == want and sum(r.n_removed for r in got) > 0
+    real = substrings.merge
+
+    def blind(a, b, span):
+        shard, prefix = real(a, b, span)
+        return shard, np.zeros_like(prefix)
+
+    monkeypatch.setattr(substrings, "merge", blind)
+    assert sum(r.n_removed for r in registry.QUERIES["op10_suffix_dedup"](spark, sf).collect()) == 0
+
+
 def test_repeated_substrings_empty(spark):
     assert substrings.remove_repeats(frame(spark, [])).count() == 0
 
@@ -247,6 +263,121 @@ def test_classifier_score_equals_plain_average():
         assert np.isclose(z[1] - z[0], (weight[ids] @ part if len(ids) else 0) + model.shift(), atol=1e-4)
 
 
+def plain_features(text, s):
+    """Buckets of one text, feature by feature: words, word pairs, character n-grams."""
+    mask = (1 << 64) - 1
+
+    def mix(x, salt):
+        x = (x + salt * 0xD1342543DE82EF95 + 0x632BE59BD9B4E019) & mask
+        for shift, factor in ((30, 0xBF58476D1CE4E5B9), (27, 0x94D049BB133111EB)):
+            x = (x ^ (x >> shift)) * factor & mask
+        return x ^ (x >> 31)
+
+    base = 0x9E3779B97F4A7C15 | 1
+    sums = lambda data: sum(mix(b, 77) * pow(base, k, 1 << 64) for k, b in enumerate(data)) & mask
+    words = [mix(sums(w.encode()) + len(w.encode()) & mask, 0) for w in re.findall(r"[^\x20\x09-\x0D]+", text)]
+    out = Counter(w >> (64 - s.bits) for w in words)
+    for a, b in zip(words, words[1:], strict=False):
+        pair = classifier.SAME_WORD if a == b else mix((a * pow(base, 1, 1 << 64) + b * pow(base, 2, 1 << 64)) & mask, 2)
+        out[pair >> (64 - s.bits)] += 1
+    for n in s.grams:
+        for i in range(len(text) - n + 1):
+            out[mix(sums(text[i : i + n].encode()), n) >> (64 - s.bits)] += 1
+    return out
+
+
+def test_features_equal_a_plain_version():
+    s = classifier.Settings(bits=16)
+    texts = ["Some words and some  words", "x x x é", "", "ab", "été\n\tÀ la", "a"]
+    for t, (ids, part) in zip(texts, classifier.bags(texts, s), strict=True):
+        want = plain_features(t, s)
+        total = max(sum(want.values()), 1)
+        assert dict(zip(ids.tolist(), part.tolist(), strict=True)) == pytest.approx({k: n / total for k, n in want.items()}, rel=1e-6)
+
+
+def test_training_equals_plain_gradient_descent():
+    s = classifier.Settings(bits=8, size=3, epochs=3, rate=0.5)
+    texts, labels = ["good words here", "bad bad spam", "more good words", "spam spam buy"], [1, 0, 1, 0]
+    model = classifier.train(texts, labels, s)
+    rng = np.random.default_rng(s.seed)
+    vectors = [[float(x) for x in row] for row in rng.uniform(-1 / s.size, 1 / s.size, (1 << s.bits, s.size)).astype(np.float32)]
+    outputs = [[0.0] * s.size, [float(np.float32(x)) for x in rng.uniform(-1 / s.size, 1 / s.size, s.size)]]
+    bias, step, steps = [0.0, 0.0], 0, s.epochs * len(texts)
+    for _ in range(s.epochs):
+        for i in rng.permutation(len(texts)):
+            bag = plain_features(texts[i], s)
+            total, rate = sum(bag.values()), s.rate * (1 - step / steps)
+            step += 1
+            hidden = [sum(n / total * vectors[k][j] for k, n in bag.items()) for j in range(s.size)]
+            z = [sum(outputs[y][j] * hidden[j] for j in range(s.size)) + bias[y] for y in (0, 1)]
+            e = [np.exp(x - max(z)) for x in z]
+            p = [x / sum(e) - (y == labels[i]) for y, x in enumerate(e)]
+            back = [sum(p[y] * outputs[y][j] for y in (0, 1)) for j in range(s.size)]
+            for y in (0, 1):
+                bias[y] -= rate * 0.1 * p[y]
+                for j in range(s.size):
+                    outputs[y][j] -= rate * p[y] * hidden[j]
+            for k, n in bag.items():
+                for j in range(s.size):
+                    vectors[k][j] -= rate * len(bag) ** 0.5 * n / total * back[j]
+    assert np.allclose(model.vectors, vectors, atol=1e-4) and np.allclose(model.outputs, outputs, atol=1e-4) and np.allclose(model.bias, bias, atol=1e-4)
+
+
+def test_registered_scores_equal_a_plain_version(spark, sf):
+    """The registered query against the trained layers applied feature by feature."""
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text")
+    labels = spark.read.parquet(f"{sf}/labels.parquet").select("doc_id", "quality").filter(~classifier.held_out())
+    s = classifier.Settings()
+    model = classifier.fit(docs, labels, s=s)
+    texts = {r.doc_id: r.text for r in docs.collect()}
+    for r in registry.QUERIES["op1_quality_classifier"](spark, sf).collect():
+        if len(texts[r.doc_id] or "") > 3000:
+            continue  # the plain version is slow
+        bag = plain_features(texts[r.doc_id] or "", s)
+        hidden = sum((n / sum(bag.values()) * model.vectors[k].astype(float) for k, n in bag.items()), np.zeros(s.size))
+        z = model.outputs.astype(float) @ hidden + model.bias
+        assert r.score == pytest.approx(np.exp(z[1]) / np.exp(z).sum(), abs=1e-4)
+
+
+def test_sharding_equals_plain_vector_packing(spark, sf):
+    """The registered query against the same rule carried out group by group in plain Python."""
+    import xxhash
+
+    sf = sf.replace("sf0.001", "sf0.01")
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").collect()
+    rows = {r.doc_id: ((t := (r.text or "").encode()), len(t) + 1, t.count(b" ") + 1) for r in docs}
+    groups = defaultdict(lambda: [0, 0, 0])
+    for t, size, tokens in rows.values():
+        groups[t] = [a + b for a, b in zip(groups[t], (size, tokens, 1), strict=True)]
+    total = [sum(g[k] for g in groups.values()) for k in range(3)]
+    signed = lambda x: x - (1 << 64) if x >> 63 else x
+    first = lambda t: signed(xxhash.xxh64(t, seed=42).intdigest())
+    scaled = {t: [g[k] / total[k] for k in range(3)] for t, g in groups.items()}
+    assert all(max(v) >= 1 / sharding.UNITS for v in scaled.values())  # so every group is a unit of its own
+    free, where = [[1 / 8] * 3 for _ in range(8)], {}
+    for t in sorted(scaled, key=lambda t: (-max(scaled[t]), -scaled[t][0], first(t))):
+        v = scaled[t]
+        fit = [s for s in range(8) if free[s][0] >= v[0]]
+        score = lambda s, v=v: sum(free[s][k] * v[k] * sharding.WEIGHTS[k] for k in range(3))
+        best = max(fit, key=lambda s: (round(score(s), 15), -s)) if fit else max(range(8), key=lambda s: free[s][0])
+        where[t] = best
+        free[best] = [a - b for a, b in zip(free[best], v, strict=True)]
+    got = registry.QUERIES["op7_sharding"](spark, sf).collect()
+    same = sum(where[rows[r.doc_id][0]] == r.shard for r in got)
+    assert same >= 0.99 * len(got)  # sums in another order may turn a near tie
+    loads = Counter()
+    for r in got:
+        assert r.size == rows[r.doc_id][1]
+        loads[r.shard] += r.size
+    assert max(loads.values()) - min(loads.values()) <= 0.001 * total[0]
+
+
+def test_sharding_keeps_a_group_that_fits_a_shard(spark):
+    rows = [(i, "the same text") for i in range(60)] + [(1000 + i, f"own text no {i:03d}") for i in range(600)]
+    got = sharding.shard_documents(frame(spark, rows)).filter("doc_id < 1000").select("shard").distinct().collect()
+    assert len(got) == 1  # above half of a shard, below a whole one
+
+
 SIZES = [(1, None), (2, ""), (None, "n"), (3, "a" * 5000), (9, "a" * 5000), (4, "bb"), (4, "cc"), (4, "cc")] + [(10 + i, "text " * (i % 17)) for i in range(300)]
 
 
