@@ -4,8 +4,8 @@ Documents longer than the longest permitted length are cut into pieces. Pieces o
 length are interchangeable, so packing works on the histogram of lengths: best-fit in order
 of decreasing length places runs of pieces into runs of bins, and its plan depends on the
 longest length and not on the number of documents. It is the plan that sequential best-fit
-would make. Each way to open bins (least cost a token, least cost, largest) is planned to
-the end; after that every bin is downsized to the least permitted length that holds its
+would make. Each way to open bins (least cost a token, least cost, least cost a token that pieces
+of this length would fill) is planned to the end; after that every bin is downsized to the least permitted length that holds its
 contents, and the plan of least total cost is taken.
 
 Pieces find their place by rank within their length: offsets by (length, slice) are summed
@@ -93,9 +93,9 @@ def best_fit(counts: dict[int, int], lengths: Sequence[int], costs: dict[int, fl
 def plan_bins(counts: dict[int, int], lengths: Sequence[int] = LENGTHS, costs: dict[int, float] | None = None) -> Plan:
     """The plan of least cost among the ways to open bins."""
     costs = costs or {c: c + OVERHEAD for c in lengths}
-    ways = (lambda c: costs[c] / c, lambda c: costs[c], lambda c: -c)
+    ways = (lambda c, n: costs[c] / c, lambda c, n: costs[c], lambda c, n: costs[c] / (c // n * n))
     plans = [
-        best_fit(counts, lengths, costs, lambda n, way=way: min((c for c in lengths if c >= n), key=lambda c: (way(c), -c)))
+        best_fit(counts, lengths, costs, lambda n, way=way: min((c for c in lengths if c >= n), key=lambda c: (way(c, n), -c)))
         for way in ways
     ]
     return min(plans, key=lambda p: p.cost)

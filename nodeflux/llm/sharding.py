@@ -5,7 +5,7 @@ tokens or rows is a unit of its own; all other groups are gathered by their hash
 CELLS units. So the driver places a bounded number of vectors, whatever the input: in
 decreasing order, each goes to the shard where the dot product of its vector with the
 shard's residual capacity is highest, among the shards that still have its bytes free.
-Only a group above half of a shard is split, into slices by doc_id.
+Only a group above a whole shard is split, into slices by doc_id.
 
 Slots are gapless: a unit's first slot comes from the driver's sums, the rank inside it
 from a window over one slice of a unit (slices are small even for a group that holds a
@@ -79,7 +79,7 @@ def shard_documents(docs: DataFrame, n_shards: int = 8, tokens: Column | None =
     # at most 3 * UNITS groups, as each holds 1 / UNITS of one of three sums
     groups = cut(
         slim.groupBy("th", "th2").agg(*sums).withColumn("share", share).filter(F.col("share") >= 1.0 / UNITS)
-        .select("th", "th2", (F.col("share") > 0.5 / n_shards).alias("huge"), F.ceil(F.col("share") * UNITS).alias("slices")),
+        .select("th", "th2", (F.col("share") > 1.0 / n_shards).alias("huge"), F.ceil(F.col("share") * UNITS).alias("slices")),
         "shard-groups",
     )
     own = F.col("slices").isNotNull()
