@@ -36,13 +36,18 @@ def _escaped(c: Column) -> Column:
     return F.replace(c, F.lit("<|"), F.lit("< |"))
 
 
+def _name(c: Column) -> Column:
+    """A speaker's name inside a mark: it cannot close the mark or begin a line."""
+    return F.translate(F.replace(_escaped(c), F.lit("|>"), F.lit("| >")), "\r\n", "  ")
+
+
 def messages(conversations: DataFrame, block_turns: int = BLOCK_TURNS) -> DataFrame:
     speaker = F.coalesce(F.trim("role"), F.lit("unknown"))
     return conversations.select(
         "conv_id",
         F.coalesce(F.floor(F.col("turn") / block_turns), F.lit(-1)).cast("long").alias("block"),
         F.col("turn").alias("t"),
-        _escaped(speaker).alias("speaker"),
+        _name(speaker).alias("speaker"),
         _escaped(F.coalesce(F.col("text"), F.lit(""))).alias("said"),
     )
 
@@ -161,7 +166,7 @@ def op4_chat_formatting(spark, sf_dir: str) -> DataFrame:
 OP4_SQL = r"""
 WITH m AS (
   SELECT conv_id, coalesce(floor(turn / 64), -1)::BIGINT AS block, turn,
-         replace(coalesce(trim(role), 'unknown'), '<|', '< |') AS speaker,
+         translate(replace(replace(coalesce(trim(role), 'unknown'), '<|', '< |'), '|>', '| >'), chr(13) || chr(10), '  ') AS speaker,
          replace(coalesce(text, ''), '<|', '< |') || '<|end|>' || chr(10) AS body
   FROM conversations
 ), p AS (
