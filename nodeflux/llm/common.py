@@ -36,9 +36,9 @@ def partitions(df: DataFrame) -> int:
     return int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
 
-def id_or_least(c: Column) -> Column:
-    """A null id counts as the least one."""
-    return F.coalesce(c.cast("long"), F.lit(-(2**63)).cast("long"))
+def row_id(c: Column) -> Column:
+    """A 64-bit stand-in for an id of any type, null included; with the text's hash it names a row."""
+    return F.xxhash64(c.isNull(), c.cast("string"))
 
 
 def fresh_names(df: DataFrame, *names: str) -> list[str]:

@@ -7,7 +7,7 @@ back is a bitmap of dropped lines for each document (64 lines a word, words with
 drop left out), not text.
 
 Defined results: a null or empty text is one empty line; lines whose key is short are
-never dropped; a null doc_id counts as the least id; rows that repeat a doc_id with
+never dropped; a null doc_id counts as the least id, ids may be of any type that has an order; rows that repeat a doc_id with
 another text are told apart by the text's hash and count as one document; an empty table
 gives an empty result; other columns of the input play no part.
 """
@@ -17,7 +17,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import WHITE, cut, id_or_least, lower_ascii, partitions
+from .common import WHITE, cut, fresh_names, lower_ascii, partitions, row_id
 
 #: A sample of about so many line rows finds the hot keys; their number is at most SAMPLE / HOT_IN_SAMPLE.
 SAMPLE, HOT_IN_SAMPLE, SLICES = 200_000, 100, 64
@@ -30,7 +30,7 @@ def _text() -> Column:
 def line_rows(docs: DataFrame, min_chars: int) -> DataFrame:
     """(h1, h2, id, th, pos): a row for each line whose key has min_chars code points."""
     lines = docs.select(
-        id_or_least(F.col("doc_id")).alias("id"),
+        F.col("doc_id").alias("id"),
         F.xxhash64(_text()).alias("th"),
         F.posexplode(F.split(_text(), "\n", -1)).alias("pos", "line"),
     )
@@ -74,7 +74,7 @@ def dropped_lines(docs: DataFrame, min_chars: int = 20, min_docs: int = 3) -> Da
     )
     cold = F.col("hot_docs").isNull()
     drop = F.when(cold, (F.col("seen") >= min_docs) & (F.col("nth") > 1)).otherwise(
-        (F.col("hot_docs") >= min_docs) & (F.col("id") != F.col("hot_last"))
+        (F.col("hot_docs") >= min_docs) & ~F.col("id").eqNullSafe(F.col("hot_last"))
     )
     return ranked.filter(drop).select("id", "th", "pos")
 
@@ -95,34 +95,31 @@ def drop_bitmaps(docs: DataFrame, min_chars: int = 20, min_docs: int = 3) -> Dat
 
 def apply_bitmaps(docs: DataFrame, bitmaps: DataFrame) -> DataFrame:
     """docs with n_lines, n_dropped and kept_text; every row of docs stays, whatever it loses."""
-    keyed = docs.withColumns(
-        {"__id": id_or_least(F.col("doc_id")), "__th": F.xxhash64(_text())}
-    )
-    marks = bitmaps.select(
-        F.col("id").alias("__id"), F.col("th").alias("__th"), F.col("n_dropped").alias("__n"), F.col("drops").alias("__drops")
-    )
+    row, text_hash, count, drops, dense_words = fresh_names(docs, "row", "text_hash", "count", "drops", "dense_words")
+    keyed = docs.withColumns({row: row_id(F.col("doc_id")), text_hash: F.xxhash64(_text())})
+    marks = bitmaps.select(row_id(F.col("id")).alias(row), F.col("th").alias(text_hash), F.col("n_dropped").alias(count), F.col("drops").alias(drops))
     lines = F.split(_text(), "\n", -1)
-    words = F.expr("map_from_entries(__drops)")
+    words = F.map_from_entries(F.col(drops))
     dense = F.transform(
-        F.sequence(F.lit(0), F.element_at("__drops", -1)["word"]),
+        F.sequence(F.lit(0), F.element_at(F.col(drops), -1)["word"]),
         lambda w: F.coalesce(F.element_at(words, w), F.lit(0).cast("long")),
     )
     kept = F.filter(
         lines,
         lambda line, i: F.coalesce(
-            F.get(F.col("__dense"), F.floor(i / 64).cast("int")).bitwiseAND(F.call_function("shiftleft", F.lit(1).cast("long"), (i % 64).cast("int"))),
+            F.get(F.col(dense_words), F.floor(i / 64).cast("int")).bitwiseAND(F.call_function("shiftleft", F.lit(1).cast("long"), (i % 64).cast("int"))),
             F.lit(0).cast("long"),
         ) == 0,
     )
     return (
-        keyed.join(marks, ["__id", "__th"], "left")
-        .withColumn("__dense", F.when(F.col("__drops").isNotNull(), dense))
+        keyed.join(marks, [row, text_hash], "left")
+        .withColumn(dense_words, F.when(F.col(drops).isNotNull(), dense))
         .withColumns({
             "n_lines": F.size(lines).cast("long"),
-            "n_dropped": F.coalesce("__n", F.lit(0)).cast("long"),
-            "kept_text": F.when(F.col("__n").isNull(), _text()).otherwise(F.array_join(kept, "\n")),
+            "n_dropped": F.coalesce(F.col(count), F.lit(0)).cast("long"),
+            "kept_text": F.when(F.col(count).isNull(), _text()).otherwise(F.array_join(kept, "\n")),
         })
-        .drop("__id", "__th", "__n", "__drops", "__dense")
+        .drop(row, text_hash, count, drops, dense_words)
     )
 
 

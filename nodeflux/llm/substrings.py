@@ -40,7 +40,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textkit as tk
-from .common import cut, discard, id_or_least, partitions, ship
+from .common import cut, discard, partitions, row_id, ship
 
 K = 96
 #: Stretches of one group that are resolved together; a larger group is dealt by closer keys, of starts of these numbers.
@@ -396,7 +396,7 @@ def repeated_spans(docs: DataFrame, span: int = 200) -> DataFrame:
     ship("nodeflux.llm.textkit", "nodeflux.llm.substrings")
     n = partitions(docs)
     text = F.coalesce(F.col("text"), F.lit(""))
-    texts = docs.select(id_or_least(F.col("doc_id")).alias("id"), F.xxhash64(text).alias("th"), text.alias("text"))
+    texts = docs.select(row_id(F.col("doc_id")).alias("id"), F.xxhash64(text).alias("th"), text.alias("text"))
     found = cut(texts.mapInArrow(anchor_reader(span), ANCHORS), "bwt-anchors")
     pairs = found.select(F.explode(F.arrays_zip("anchor", "whole")).alias("x")).select("x.anchor", "x.whole")
     counts = cut(pairs.groupBy("anchor", "whole").agg(F.count("*").alias("copies")), "bwt-counts")
@@ -492,7 +492,7 @@ def remove_repeats(docs: DataFrame, span: int = 200) -> DataFrame:
     """(doc_id, n_bytes, n_removed, n_spans, kept): kept is binary, as a cut may split a character."""
     spans = repeated_spans(docs, span).groupBy("id", "th").agg(F.sort_array(F.collect_list(F.struct("s", "e"))).alias("spans"))
     text = F.coalesce(F.col("text"), F.lit(""))
-    keyed = docs.select("doc_id", text.alias("text"), id_or_least(F.col("doc_id")).alias("id"), F.xxhash64(text).alias("th"))
+    keyed = docs.select("doc_id", text.alias("text"), row_id(F.col("doc_id")).alias("id"), F.xxhash64(text).alias("th"))
     kind = docs.schema["doc_id"].dataType.simpleString()
     return keyed.join(spans, ["id", "th"], "left").select("doc_id", "text", "spans").mapInArrow(
         cutter, f"doc_id {kind}, n_bytes long, n_removed long, n_spans long, kept binary"
