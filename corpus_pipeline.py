@@ -14,14 +14,19 @@ from nodeflux.llm.common import cut
 
 
 def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the classifier gives label 1; learned from labels outside the held-out third."""
+    """Documents that the classifier gives label 1; learned from labels outside the held-out third.
+
+    Null and empty texts get the prior's score; repeated rows are scored each for itself.
+    """
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet").select("doc_id", "quality").filter(~classifier.held_out())
-    scored = classifier.with_score(docs, classifier.fit(docs, labels))
-    return scored.filter(F.col(classifier.SCORE) >= 0.5).drop(classifier.SCORE)
+    return classifier.keep_good(docs, classifier.fit(docs, labels))
 
 
 def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Texts without the lines that three documents share, but for the largest doc_id's; n_chars follows the text."""
+    """Texts without the lines that three documents share, but for the largest doc_id's; n_chars follows the text.
+
+    Every row stays; a null text becomes empty, a null doc_id counts as the least one.
+    """
     whole = docs.select("doc_id", "text", F.struct(*docs.columns).alias("__row"))
     done = linededup.dedup_lines(whole)
     new = {"text": F.col("kept_text"), "n_chars": F.char_length("kept_text").cast("long")}
@@ -37,11 +42,13 @@ def keep_one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -
 
 
 def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that hold no window of a benchmark item; null and empty texts hold none, repeated rows stay repeated."""
     items = spark.read.parquet(f"{sf_dir}/benchmark.parquet").select("item_id", "text")
     return decontaminate.remove_leaks(docs, items)
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces of all documents in bins; a null or empty text has its end mark, a null doc_id stays null, each row is packed for itself."""
     return packing.pack(docs.select("doc_id", "text"))
 
 
