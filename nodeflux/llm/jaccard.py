@@ -58,8 +58,8 @@ SAMPLE, FREQUENT, FREQUENT_ELEMENTS = 10_000, 3, 100_000
 SCARCE_MEAN, LINK_COST = 0.3, 1000
 #: Signatures that are packed or sorted at once, and parts of a partition.
 PACKED, PARTS = 750_000, 8
-#: Least bits of a parity field; words of a block of compared fields; checks against one set in a task.
-FIELD_BITS, COMPARED_WORDS, CHECKS = 256, 1 << 21, 512
+#: Least bits of a parity field, and bits a element; words of a block of compared fields; pairs that a task holds; checks against one set in a task.
+FIELD_BITS, ELEMENT_BITS, COMPARED_WORDS, FOUND_PAIRS, CHECKS = 512, 2, 1 << 21, 500_000, 512
 
 
 def size_bands(longest: int, percent: int) -> np.ndarray:
@@ -198,9 +198,9 @@ def set_hashes(sets: np.ndarray, cuts: np.ndarray) -> tuple[np.ndarray, np.ndarr
 
 
 def parity_fields(sets: np.ndarray, cuts: np.ndarray) -> pa.Array:
-    """For each set, the parity of its elements at each bit of a field of 2 ** k bits, at least one a element."""
+    """For each set, the parity of its elements at each bit of a field of 2 ** k bits, at least ELEMENT_BITS a element."""
     n = np.diff(cuts)
-    bits = np.maximum(FIELD_BITS, 1 << np.ceil(np.log2(np.maximum(n, 1))).astype(np.int64))
+    bits = np.maximum(FIELD_BITS, 1 << np.ceil(np.log2(np.maximum(ELEMENT_BITS * n, 1))).astype(np.int64))
     base = np.concatenate(([0], np.cumsum(bits)))
     of = np.repeat(np.arange(len(n)), n)
     at = base[of] + (tk.mix(sets.copy(), 4) & (bits[of] - 1).astype(tk.U)).astype(np.int64)
@@ -386,6 +386,17 @@ def pair_finder(percent: int, first: bool):
             return np.minimum(a, b), np.maximum(a, b)
 
         out, held = [], 0
+
+        def pairs() -> pa.RecordBatch:
+            """What was found, each pair once; in the first round for each set the least one that it met in any bucket."""
+            a, b = (np.concatenate(x) for x in zip(*out, strict=True))
+            order = np.lexsort((a, b))
+            a, b = a[order], b[order]
+            new = np.concatenate(([True], b[1:] != b[:-1]))[: len(b)]
+            if not first:
+                new[1:] |= a[1:] != a[:-1]
+            return pa.RecordBatch.from_arrays([pa.array(a[new]), pa.array(b[new])], ["a", "b"])
+
         for batch in batches:
             columns = [batch.column(c).to_pylist() for c in ("bucket", "lft", "rgt", "node", "n", "side", "label", "field")]
             for bucket, lft, rgt, *rest in zip(*columns, strict=True):
@@ -395,13 +406,13 @@ def pair_finder(percent: int, first: bool):
                         held += len(out[-1][0])
                     key, rows = (bucket, lft, rgt), []
                 rows.append(rest)
-            if held > 10_000:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in zip(*out, strict=True)], ["a", "b"])
+            if held > FOUND_PAIRS:
+                yield pairs()
                 out, held = [], 0
         if len(rows) > 1:
             out.append(flush())
         if out:
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in zip(*out, strict=True)], ["a", "b"])
+            yield pairs()
 
     return find
 
