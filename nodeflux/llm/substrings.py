@@ -46,7 +46,7 @@ K = 96
 #: Stretches of one group that are resolved together; a larger group is dealt by closer keys, of starts of these numbers.
 GROUP_STRETCHES, WIDTHS = 2000, (26, 6, 1)
 #: Bytes of a symbol of the transforms; `span` is a multiple.
-STEP = 40
+STEP = 50
 #: Starts that are narrowed down together.
 NARROW = 26
 #: Bytes of a shard whose suffixes are sorted at once, and of stretches that are gathered for a merge.
@@ -141,13 +141,13 @@ SYMBOL_HASH = tk.mix(np.arange(257, dtype=tk.U), 23)
 class Shard:
     """Stretches laid end to end, each closed by a zero and all by STEP zeros, with their suffixes in order.
 
-    Bytes are kept plus one. `before` holds, in suffix order, the symbol in front of each
-    suffix: the transform that is merged. Symbols are ordered by their hashes.
+    Bytes are kept plus one. `values` are the shard's symbols in order (of their hashes), rank[i] is the
+    place among them of the symbol that begins at i. The transform that is merged is the rank of
+    the symbol in front of each suffix, in suffix order.
     """
 
-    def __init__(self, data: np.ndarray, order: np.ndarray, symbol: np.ndarray) -> None:
-        self.data, self.order, self.symbol = data, order, symbol
-        self.before = symbol[order - STEP]
+    def __init__(self, data: np.ndarray, order: np.ndarray, rank: np.ndarray, values: np.ndarray) -> None:
+        self.data, self.order, self.rank, self.values = data, order, rank, values
 
     @staticmethod
     def of(parts: list[np.ndarray], span: int) -> Shard:
@@ -155,45 +155,51 @@ class Shard:
         data = np.concatenate([x for part in parts for x in (part.astype(np.uint16) + 1, one)] + [end])
         symbol = window_hashes(data, STEP)
         order, first = ranks(symbol)
+        values = np.empty(first[order[-1]] + 1, dtype=tk.U)
+        values[first] = symbol
         rank, have, top = first, STEP, len(data) + 1
         while have < span:  # order by twice as much, at last by what is left
             more = min(have, span - have)
             order, rank = ranks(rank * top + np.roll(rank if more == have else first, -have if more == have else -(span - STEP)))
             have += more if more == have else STEP
-        return Shard(data, order, symbol)
+        return Shard(data, order, first, values)
+
+    def by_symbol(self, names: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(places of the transform sorted stably by symbol, symbols in that order); names: of the ranks."""
+        before, n = self.rank[self.order - STEP], len(self.order)
+        places = np.argsort(before * n + np.arange(n))
+        return places, names[before[places]]
 
 
 def merge(a: Shard, b: Shard, span: int) -> tuple[Shard, np.ndarray]:
     """The merged shard and, for neighbours in its order, their common prefix in whole symbols, up to span.
 
-    The interleave says for each place whether a suffix of a or of b stands there. Sorting
-    the places stably by the symbols before their suffixes gives the order by one symbol
-    more, as both shards' own orders stay as they are.
+    The interleave says for each place whether a suffix of a or of b stands there. Dealing the
+    places stably by the symbols before their suffixes gives the order by one symbol more, as
+    both shards' own orders stay as they are: two runs that are sorted already are merged.
     """
     na, nb = len(a.order), len(b.order)
     n = na + nb
-    _, symbols = np.unique(np.concatenate((a.before, b.before)), return_inverse=True)
-    low, high = (symbols & 0xFFFF).astype(np.uint16), (symbols >> 16).astype(np.uint16)
-    side = np.concatenate((np.zeros(na, bool), np.ones(nb, bool)))
-    group = np.zeros(n, dtype=np.int32)  # places of one group share the prefix so far
+    values = np.sort(np.concatenate((a.values, b.values)))
+    values = values[np.concatenate(([True], values[1:] != values[:-1]))]
+    names = [np.searchsorted(values, x.values) for x in (a, b)]
+    (places_a, symbols_a), (places_b, symbols_b) = a.by_symbol(names[0]), b.by_symbol(names[1])
+    symbols = np.concatenate((symbols_a, symbols_b))
+    at_a, at_b = np.arange(na), np.arange(na, n)
+    group = np.zeros(n, dtype=np.int64)  # places of one group share the prefix so far
     prefix = np.full(n, span, dtype=np.int32)
     for done in range(0, span, STEP):
-        at = np.empty(n, dtype=np.int32)
-        at[~side] = np.arange(na, dtype=np.int32)
-        at[side] = np.arange(na, n, dtype=np.int32)
-        order = np.argsort(low[at], kind="stable")
-        order = order[np.argsort(high[at[order]], kind="stable")]
-        s, g = at[order], group[order]
-        s = symbols[s]
-        side = side[order]
+        at = np.concatenate((at_a[places_a], at_b[places_b]))
+        order = np.argsort(symbols * n + at, kind="stable")
+        s, g = symbols[order], group[at[order]]
         new = np.concatenate(([True], (s[1:] != s[:-1]) | (g[1:] != g[:-1])))
         prefix[new & (prefix == span)] = done
-        group = np.cumsum(new, dtype=np.int32) - 1
-    data = np.concatenate((a.data, b.data))
+        group = np.cumsum(new) - 1
+        side = order >= na
+        at_a, at_b = np.flatnonzero(~side), np.flatnonzero(side)
     order = np.empty(n, dtype=np.int64)
-    order[~side] = a.order
-    order[side] = b.order + na
-    return Shard(data, order, np.concatenate((a.symbol, b.symbol))), prefix
+    order[at_a], order[at_b] = a.order, b.order + len(a.data)
+    return Shard(np.concatenate((a.data, b.data)), order, np.concatenate((names[0][a.rank], names[1][b.rank])), values), prefix
 
 
 def repeated_starts(parts: list[np.ndarray], counts: list[int], span: int, shard_bytes: int = SHARD_BYTES, sides: list[int] | None = None) -> list[np.ndarray]:
