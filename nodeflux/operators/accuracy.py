@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from nodeflux.functions.params import Params, cost_bound, hop_cap, increment_bound, theta_for
 
 from .graph import Graph
-from .push import next_residue
+from .push import next_residue, sized
 
 
 def relative_error(estimates: DataFrame, truth: DataFrame) -> DataFrame:
@@ -41,7 +41,7 @@ def variance_ratio(g: Graph, estimates: DataFrame, truth: DataFrame, p: Params,
 def hop_variance(g: Graph, residue: DataFrame, p: Params, hop: int, reps: int, seed: int = 0, coin: str = "fast") -> DataFrame:
     """(qid, node, variance, bound): of what a node gets in one hop, the hop before held fixed; bound is theta times its mean."""
     copies = residue.drop("rep").withColumn("rep", F.explode(F.sequence(F.lit(0), F.lit(reps - 1))))
-    got = next_residue(g, copies, p, hop, seed, "edge", coin)
+    got = next_residue(g, copies, p, hop, seed, "edge", coin).filter("node is not null")
     # a replica without a row got nothing
     sums = got.groupBy("qid", "node", "theta").agg(F.sum("r").alias("s"), F.sum(F.col("r") * F.col("r")).alias("ss"))
     mean = F.col("s") / reps
@@ -74,7 +74,7 @@ def complexity_table(g: Graph, targets: DataFrame, p: Params) -> DataFrame:
         ("blanket_bidirectional", F.sqrt(n * d)), ("residue_bidirectional", F.sqrt(n * d)),
         ("randomized_reverse_push", F.lit(float(n))), ("subgraph_walks", F.lit(sub)),
     ]
-    rows = g.nodes.select(F.col("node").alias("t"), "deg").join(F.broadcast(targets.select("qid", "t")), "t")
+    rows = g.nodes.select(F.col("node").alias("t"), "deg").join(sized(targets.select("qid", "t")), "t")
     each = F.explode(F.array(*[F.struct(F.lit(k).alias("method"), v.alias("complexity")) for k, v in terms]))
     return rows.select("qid", "t", "deg", ours.alias("ours"), each.alias("x")).select(
         "qid", "t", "deg", "x.method", "x.complexity", (F.col("x.complexity") / F.col("ours")).alias("improvement")
@@ -84,7 +84,7 @@ def complexity_table(g: Graph, targets: DataFrame, p: Params) -> DataFrame:
 def bounds_table(g: Graph, targets: DataFrame, p: Params) -> DataFrame:
     """(qid, t, deg, theta, increment_bound, cost_bound)."""
     n, m = g.stats.n, g.stats.m
-    rows = g.nodes.select(F.col("node").alias("t"), "deg").join(F.broadcast(targets.select("qid", "t")), "t")
+    rows = g.nodes.select(F.col("node").alias("t"), "deg").join(sized(targets.select("qid", "t")), "t")
     theta = theta_for(F.col("deg"), n, m, p)
     return rows.select("qid", "t", "deg", theta.alias("theta"), increment_bound(theta, p).alias("increment_bound"), cost_bound(F.col("deg"), n, m, p).alias("cost_bound"))
 

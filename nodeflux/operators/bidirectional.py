@@ -2,19 +2,17 @@
 
 from __future__ import annotations
 
-from itertools import count
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from nodeflux.functions.params import Params, blanket_r_max, blanket_walks, residue_r_max, residue_walks, subgraph_params
 from nodeflux.functions.rng import u01_fast
-from nodeflux.plans.storage import cut, discard
+from nodeflux.plans.storage import cut
 
 from .graph import Graph
 from .push import sized
 from .reverse import push_round, reverse_push, start_state
-from .walks import start_walks, step_walks, walk_ends
+from .walks import walk_ends, walk_visits
 
 
 def blanket(g: Graph, state: DataFrame, threshold: Column) -> DataFrame:
@@ -27,7 +25,7 @@ def blanket(g: Graph, state: DataFrame, threshold: Column) -> DataFrame:
 
 def most_walks(g: Graph, targets: DataFrame, walks: Column) -> int:
     """The largest number of walks that any target asks for; one population serves all."""
-    asked = g.nodes.filter("deg > 0").select(F.col("node").alias("t"), "deg").join(F.broadcast(targets.select("t")), "t")
+    asked = g.nodes.filter("deg > 0").select(F.col("node").alias("t"), "deg").join(sized(targets.select("t")), "t")
     return int(asked.agg(F.max(walks)).first()[0] or 1)
 
 
@@ -39,28 +37,19 @@ def pushes(state: DataFrame, n_walks: int) -> DataFrame:
 def blanket_bidirectional(g: Graph, targets: DataFrame, p: Params = Params(), r_max: float | None = None, n_walks: int | None = None, cap: int | None = None, seed: int = 0, coin: str = "fast", rounds: int | None = None) -> DataFrame:
     """(qid, t, pagerank, method, increments): mean reserve of the first blanket node that a walk meets, its start included.
 
-    Without n_walks the method's own number is taken, the largest over the targets; without cap every walk is followed to its end.
+    Nodes are heavy from r_max on, but the push goes on to c times that: a reserve is then short by at most that share
+    of what makes a node heavy, so scores are good within c. One population of walks serves all targets; a target keeps
+    the first covered node of each walk. Without n_walks the method's own number is taken, the largest over the
+    targets; without cap every walk is followed to its end.
     """
     limit = F.lit(float(r_max)) if r_max is not None else blanket_r_max(F.col("deg"), g.stats.n, p)
     n_walks = most_walks(g, targets, blanket_walks(F.col("deg"), g.stats.n, p)) if n_walks is None else n_walks
-    state = reverse_push(g, targets, p, limit, rounds=rounds)
-    per = F.broadcast(g.nodes.select(F.col("node").alias("t"), "deg").join(F.broadcast(targets), "t").select("qid", limit.alias("limit")))
-    cover = cut(blanket(g, state.join(per, "qid"), F.col("limit")), "blanket")
-    cover = sized(cover)
-    alive = cut(start_walks(g, n_walks, seed, coin).crossJoin(F.broadcast(targets.select("qid"))), "cover-walks")
-    scores = None
-    for step in count() if cap is None else range(cap + 1):
-        met = alive.join(cover, ["qid", "node"], "left")
-        hit = cut(met.filter("score is not null").groupBy("qid").agg(F.sum("score").alias("score")), "cover-hits")
-        scores = hit if scores is None else scores.union(hit)
-        if step == cap:
-            break
-        after = cut(step_walks(g, met.filter("score is null").select("qid", "wid", "node"), step, p, seed, coin, ["qid", "wid"])[1], "cover-walks")
-        discard(alive)
-        alive = after
-        if alive.isEmpty():
-            break
-    sums = scores.groupBy("qid").agg((F.sum("score") / n_walks).alias("pagerank"))
+    state = reverse_push(g, targets, p, p.c * limit, rounds=rounds)
+    per = sized(cut(g.nodes.select(F.col("node").alias("t"), "deg").join(sized(targets), "t").select("qid", limit.alias("limit")), "blanket-limits"))
+    cover = sized(cut(blanket(g, state.join(per, "qid"), F.col("limit")), "blanket"))
+    met = walk_visits(g, n_walks, p, cap, seed, coin).join(cover, "node")
+    first = met.groupBy("qid", "wid").agg(F.min_by("score", "step").alias("score"))
+    sums = first.groupBy("qid").agg((F.sum("score") / n_walks).alias("pagerank"))
     return targets.select("qid", "t").join(pushes(state, n_walks), "qid", "left").join(sums, "qid", "left").select(
         "qid", "t", F.coalesce("pagerank", F.lit(0.0)).alias("pagerank"), F.lit("blanket_bidirectional").alias("method"), "increments"
     )
@@ -99,20 +88,9 @@ def subgraph_walks(g: Graph, targets: DataFrame, p: Params = Params(), n_walks:
         coin = u01_fast(F.lit(seed), F.lit(1_000_003 + i), F.col("qid"), F.col("rep"), F.col("node")) < 0.5
         chosen = (F.col("r") > 0) & (F.col("deg") <= bound) & (coin if i else F.lit(True))
         state = cut(push_round(g, state.join(deg, "node"), chosen, p, ["qid", "rep"]), "explore")
-    alive, ended = start_walks(g, each * k, seed), None
-    alive = cut(alive, "walks")
-    for step in count() if cap is None else range(cap + 1):
-        stopped, moved = step_walks(g, alive, step, p, seed, "fast", ["wid"])
-        stopped = cut(stopped.groupBy((F.col("wid") % k).cast("int").alias("rep"), "node").agg(F.count("*").alias("held")), "walk-ends")
-        ended = stopped if ended is None else ended.union(stopped)
-        alive = cut(moved, "walks")
-        if alive.isEmpty():
-            break
+    ended = walk_ends(g, each * k, p, cap, seed).groupBy((F.col("wid") % k).cast("int").alias("rep"), "node").agg(F.count("*").alias("held"))
     reserve = state.groupBy("qid").agg((F.sum("p") / (n * k)).alias("reserve"))
     rest = state.filter("r > 0").join(ended, ["rep", "node"]).groupBy("qid").agg((F.sum(F.col("r") * F.col("held")) / (each * k)).alias("rest"))
     return targets.select("qid", "t").join(reserve, "qid").join(pushes(state, each * k), "qid").join(rest, "qid", "left").select(
         "qid", "t", (F.col("reserve") + F.coalesce("rest", F.lit(0.0))).alias("pagerank"), F.lit("subgraph_walks_reconstruction").alias("method"), "increments"
     )
-
-
-

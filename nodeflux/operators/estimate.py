@@ -10,7 +10,7 @@ from nodeflux.functions.params import Params, cost_bound, hop_cap
 from . import resident
 from .exact import truncated_pagerank
 from .graph import Graph
-from .push import adaptive_push
+from .push import adaptive_push, sized
 from .workloads import jobs
 
 COLUMNS = ("qid", "t", "pagerank", "theta", "increments", "draws", "engine")
@@ -21,7 +21,7 @@ def choose_engine(g: Graph, targets: DataFrame, p: Params) -> str:
     if resident.fits(g):
         return "resident"
     n, m = g.stats.n, g.stats.m
-    asked = g.nodes.select(F.col("node").alias("t"), "deg").join(F.broadcast(targets.select("t")), "t")
+    asked = g.nodes.select(F.col("node").alias("t"), "deg").join(sized(targets.select("t")), "t")
     expected = asked.agg(F.sum(cost_bound(F.col("deg"), n, m, p))).first()[0] or 0
     return "exact" if expected > 2.0 * m * hop_cap(n, p) else "distributed"
 

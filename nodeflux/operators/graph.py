@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from nodeflux.plans.storage import cut
@@ -34,21 +34,35 @@ class Graph:
     edges: DataFrame
     nodes: DataFrame
     stats: Stats
+    #: blocked adjacency in partitions by bucket of src, and their number, where the graph was opened from a store
+    adj: DataFrame | None = None
+    buckets: int = 0
 
     @property
     def spark(self) -> SparkSession:
         return self.edges.sparkSession
 
+    def around(self, frontier: DataFrame) -> DataFrame:
+        """Edges that hold all of the senders in frontier(node): of a stored graph only their buckets are read.
+
+        The driver sees the frontier's buckets, of which there are at most `buckets`; the frontier has been written.
+        """
+        if self.adj is None:
+            return self.edges
+        wanted = frontier.select(bucket_of(F.col("node"), self.buckets).alias("bucket")).distinct().collect()
+        return unblock(self.adj.filter(F.col("bucket").isin(sorted(r.bucket for r in wanted))))
+
     def write(self, path: str, buckets: int = 64) -> None:
         """Adjacency by bucket of src, sorted by (src, block), so that a hop reads the buckets it needs."""
         bucketed(block(self.edges), buckets).write.partitionBy("bucket").parquet(f"{path}/adj")
         self.nodes.write.parquet(f"{path}/nodes")
+        self.spark.createDataFrame([(buckets,)], "buckets int").write.parquet(f"{path}/layout")
 
     @staticmethod
     def open(spark: SparkSession, path: str) -> Graph:
-        edges = unblock(spark.read.parquet(f"{path}/adj"))
-        nodes = spark.read.parquet(f"{path}/nodes")
-        return Graph(edges, nodes, measure(nodes))
+        adj, nodes = spark.read.parquet(f"{path}/adj"), spark.read.parquet(f"{path}/nodes")
+        buckets = spark.read.parquet(f"{path}/layout").first()[0]
+        return Graph(unblock(adj), nodes, measure(nodes), adj, buckets)
 
 
 def normalise(raw: DataFrame) -> DataFrame:
@@ -135,8 +149,12 @@ def unblock(adj: DataFrame, size: int = BLOCK) -> DataFrame:
     )
 
 
+def bucket_of(node: Column, buckets: int) -> Column:
+    return F.pmod(F.hash(node.cast("long")), F.lit(buckets))
+
+
 def bucketed(adj: DataFrame, buckets: int) -> DataFrame:
-    with_bucket = adj.withColumn("bucket", F.pmod(F.hash("src"), F.lit(buckets)))
+    with_bucket = adj.withColumn("bucket", bucket_of(F.col("src"), buckets))
     return with_bucket.repartition(buckets, "bucket").sortWithinPartitions("bucket", "src", "block")
 
 

@@ -38,12 +38,12 @@ def plan_targets(g: Graph, targets: DataFrame, p: Params, theta: float | None, m
     """(qid, rep, t, deg, theta) of targets that are in the graph; each keeps its own row."""
     deg = g.nodes.select(F.col("node").alias("t"), "deg")
     at = F.lit(float(theta)) if theta is not None else theta_for(F.greatest(F.col("deg"), F.lit(1)), g.stats.n, g.stats.m, p, mode)
-    rows = deg.join(F.broadcast(targets), "t").select("qid", "t", "deg", at.alias("theta"))
+    rows = deg.join(sized(targets), "t").select("qid", "t", "deg", at.alias("theta"))
     return rows.withColumn("rep", F.explode(F.sequence(F.lit(0), F.lit(reps - 1))))
 
 
 def sized(frontier: DataFrame) -> DataFrame:
-    """Broadcast hint behind a count of the written frontier."""
+    """Broadcast hint behind a count of the rows (slim ones: targets, or a written frontier); else the join is left to Spark."""
     return F.broadcast(frontier) if frontier.count() <= BROADCAST_ROWS else frontier
 
 
@@ -52,7 +52,7 @@ def edge_coin(kind: str, *key: Column | int) -> Column:
 
 
 def skip_positions(hop: int, seed: int, binomial: bool):
-    """mapInArrow: (qid, rep, node, deg, chance) to sampled list places (qid, rep, node, pos).
+    """mapInArrow: (qid, rep, node, deg, chance) to sampled list places (qid, rep, node, pos); pos 0 tells in `drawn` a row's draws.
 
     Gaps between chosen places are geometric, so the work follows the sample and not the
     degree. A row's generator is keyed by its own identity.
@@ -63,17 +63,19 @@ def skip_positions(hop: int, seed: int, binomial: bool):
 
         for batch in batches:
             qid, rep, node, deg, chance = (batch.column(c).to_numpy(zero_copy_only=False) for c in ("qid", "rep", "node", "deg", "chance"))
-            rows, places = [], []
+            rows, places, drawn = [np.arange(len(node))], [np.zeros(len(node), dtype=np.int64)], np.zeros(len(node), dtype=np.int64)
             if binomial:
                 for i in range(len(node)):
                     rng = np.random.default_rng([seed, hop, int(qid[i]), int(rep[i]), int(node[i])])
                     k = rng.binomial(int(deg[i]), float(chance[i]))
+                    drawn[i] = 1 + k
                     rows.append(np.full(k, i))
                     places.append(rng.choice(int(deg[i]), size=k, replace=False) + 1)
             else:
                 live, at, draw = np.arange(len(node)), np.zeros(len(node), dtype=np.int64), 0
                 scale = np.log1p(-np.minimum(chance, 1 - 1e-16))
                 while len(live):
+                    drawn[live] += 1
                     u = u01_np(seed, hop, qid[live], rep[live], node[live], draw)
                     gap = 1 + np.floor(np.log(u) / scale[live])
                     at[live] = at[live] + np.minimum(gap, deg[live] + 1.0).astype(np.int64)
@@ -81,41 +83,52 @@ def skip_positions(hop: int, seed: int, binomial: bool):
                     rows.append(live)
                     places.append(at[live].copy())
                     draw += 1
-            i = np.concatenate(rows) if rows else np.zeros(0, np.int64)
-            pos = np.concatenate(places) if places else np.zeros(0, np.int64)
+            i, pos = np.concatenate(rows), np.concatenate(places)
             yield pa.RecordBatch.from_arrays(
-                [pa.array(qid[i].astype(np.int32)), pa.array(rep[i].astype(np.int32)), pa.array(node[i]), pa.array(pos.astype(np.int32))],
-                ["qid", "rep", "node", "pos"],
+                [pa.array(qid[i].astype(np.int32)), pa.array(rep[i].astype(np.int32)), pa.array(node[i]), pa.array(pos.astype(np.int32)),
+                 pa.array(np.where(pos == 0, drawn[i], 0))],
+                ["qid", "rep", "node", "pos", "drawn"],
             )
 
     return read
 
 
 def next_residue(g: Graph, residue: DataFrame, p: Params, hop: int, seed: int, sampler: str, coin: str) -> DataFrame:
-    """residue(qid, rep, node, r, deg, theta, t_deg) one hop on; also n_in, n_exact: increments that made each row."""
+    """residue(qid, rep, node, r, deg, theta, t_deg) one hop on; also n_in, n_exact: increments that made each row, and n_draws.
+
+    Draws are coins ("edge"), gaps ("skip", the one beyond the list's end included) or, for "binomial", the number and the
+    places. A row without increments (node null) holds the draws that chose nothing.
+    """
     share = (1 - p.alpha) * F.col("r") / F.col("deg")
     front = sized(residue.withColumn("share", share))
     keep = ["qid", "rep", "theta", "t_deg"]
-    edges = g.edges.select("src", "dst", "pos", F.col("dst_deg").alias("deg_in"))
+    edges = g.around(residue).select("src", "dst", "pos", F.col("dst_deg").alias("deg_in"))
+    none = F.lit(0).cast("long")
     if sampler == "edge":
         joined = front.join(edges, F.col("node") == F.col("src"))
         full = F.col("share") >= F.col("theta")
         draw = edge_coin(coin, F.lit(seed), F.col("qid"), F.col("rep"), F.lit(hop), F.col("src"), F.col("dst"))
         taken = full | (draw < F.try_divide("share", "theta"))
-        paid = joined.filter(taken).select(*keep, "dst", "deg_in", F.greatest("share", "theta").alias("inc"), full.cast("long").alias("is_full"))
+        paid = joined.filter(taken).select(*keep, "dst", "deg_in", F.greatest("share", "theta").alias("inc"), full.cast("long").alias("is_full"), none.alias("n_draws"))
+        coins = residue.withColumn("share", share).filter("share < theta").groupBy(*keep).agg(F.sum("deg").alias("n_draws"))
     else:
         heavy = front.filter("share >= theta").join(edges, F.col("node") == F.col("src"))
-        paid = heavy.select(*keep, "dst", "deg_in", F.col("share").alias("inc"), F.lit(1).cast("long").alias("is_full"))
+        paid = heavy.select(*keep, "dst", "deg_in", F.col("share").alias("inc"), F.lit(1).cast("long").alias("is_full"), none.alias("n_draws"))
         light = residue.withColumn("share", share).filter("share < theta")
         places = light.select("qid", "rep", "node", "deg", (F.col("share") / F.col("theta")).alias("chance")).mapInArrow(
-            skip_positions(hop, seed, sampler == "binomial"), "qid int, rep int, node long, pos int"
+            skip_positions(hop, seed, sampler == "binomial"), "qid int, rep int, node long, pos int, drawn long"
         )
+        places = cut(places, "push-places")
+        coins = places.filter("pos = 0").groupBy("qid", "rep").agg(F.sum("drawn").alias("n_draws")).join(residue.select(*keep).distinct(), ["qid", "rep"]).select(*keep, "n_draws")
+        places = places.filter("pos > 0").drop("drawn")
         marks = light.select("qid", "rep", "node", "theta", "t_deg")
         picked = places.join(marks, ["qid", "rep", "node"]).join(edges, (F.col("node") == F.col("src")) & (edges["pos"] == places["pos"]))
-        paid = paid.union(picked.select(*keep, "dst", "deg_in", F.col("theta").alias("inc"), F.lit(0).cast("long").alias("is_full")))
-    return paid.groupBy(*keep, F.col("dst").alias("node"), F.col("deg_in").alias("deg")).agg(
-        F.sum("inc").alias("r"), F.count("*").alias("n_in"), F.sum("is_full").alias("n_exact")
+        paid = paid.union(picked.select(*keep, "dst", "deg_in", F.col("theta").alias("inc"), F.lit(0).cast("long").alias("is_full"), none.alias("n_draws")))
+    got = paid.groupBy(*keep, F.col("dst").alias("node"), F.col("deg_in").alias("deg")).agg(
+        F.sum("inc").alias("r"), F.count("*").alias("n_in"), F.sum("is_full").alias("n_exact"), F.sum("n_draws").alias("n_draws")
     )
+    empty = F.lit(None).cast("long")
+    return got.unionByName(coins.select(*keep, empty.alias("node"), empty.alias("deg"), F.lit(0.0).alias("r"), none.alias("n_in"), none.alias("n_exact"), "n_draws"))
 
 
 def adaptive_push(
@@ -140,7 +153,7 @@ def adaptive_push(
     plan = cut(plan_targets(g, targets, p, theta, mode, reps), "push-plan")
     residue = plan.filter("deg > 0").select(
         "qid", "rep", "theta", F.col("deg").alias("t_deg"), F.col("t").alias("node"), "deg", F.lit(1.0).alias("r"),
-        F.lit(0).cast("long").alias("n_in"), F.lit(0).cast("long").alias("n_exact"),
+        *[F.lit(0).cast("long").alias(c) for c in ("n_in", "n_exact", "n_draws")],
     )
     residue = cut(residue, "push-hop")
     folds, vectors = [], []
@@ -149,25 +162,25 @@ def adaptive_push(
             residue.groupBy("qid", "rep").agg(
                 F.sum(p.alpha * F.col("t_deg") * F.col("r") / (n * F.col("deg"))).alias("part"),
                 F.sum("n_in").alias("increments"), F.sum("n_exact").alias("exact_increments"),
-                F.sum(((1 - p.alpha) * F.col("r") / F.col("deg") < F.col("theta")).cast("long")).alias("light"),
+                F.sum("n_draws").alias("draws"), F.count("node").alias("nodes"),
             ).collect()
         )
         if keep_vector:
-            vectors.append(residue.select("qid", "rep", "node", (p.alpha * F.col("r")).alias("value")))
-        if hop == hops or not folds[-1]:
+            vectors.append(residue.filter("node is not null").select("qid", "rep", "node", (p.alpha * F.col("r")).alias("value")))
+        if hop == hops or not any(r.nodes for r in folds[-1]):
             break
-        after = cut(next_residue(g, residue, p, hop, seed, sampler, coin), "push-hop")
+        after = cut(next_residue(g, residue.filter("node is not null"), p, hop, seed, sampler, coin), "push-hop")
         if not keep_vector:
             discard(residue)
         residue = after
     # one row for each hop, query and replica
     parts = g.spark.createDataFrame(
-        [(r.qid, r.rep, r.part, r.increments, r.exact_increments, r.light) for f in folds for r in f],
-        "qid int, rep int, part double, increments long, exact_increments long, light long",
+        [(r.qid, r.rep, r.part, r.increments, r.exact_increments, r.draws) for f in folds for r in f],
+        "qid int, rep int, part double, increments long, exact_increments long, draws long",
     )
     sums = parts.groupBy("qid", "rep").agg(
         F.sum("part").alias("pagerank"), F.sum("increments").alias("increments"), F.sum("exact_increments").alias("exact_increments"),
-        (F.sum("increments") - F.sum("exact_increments") + F.sum("light")).alias("draws"),
+        F.sum("draws").alias("draws"),
     )
     df = plan.join(F.broadcast(sums), ["qid", "rep"], "left").select(
         "qid", "rep", "t",

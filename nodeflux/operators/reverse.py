@@ -15,7 +15,7 @@ from .push import edge_coin, sized
 def start_state(g: Graph, targets: DataFrame) -> DataFrame:
     """state(qid, node, p, r) with all residue at t, for targets in the graph that have edges."""
     there = g.nodes.filter("deg > 0").select(F.col("node").alias("t"))
-    return there.join(F.broadcast(targets), "t").select(
+    return there.join(sized(targets), "t").select(
         "qid", F.col("t").alias("node"), F.lit(0.0).alias("p"), F.lit(1.0).alias("r"), F.lit(0).cast("long").alias("touched")
     )
 
@@ -28,7 +28,7 @@ def push_round(g: Graph, state: DataFrame, active: Column, p: Params, keys: list
         F.when(F.col("go"), 0.0).otherwise(F.col("r")).alias("r"), "touched",
     )
     pay = (
-        marked.filter("go").join(g.edges.select("src", "dst", "dst_deg"), F.col("node") == F.col("src"))
+        marked.filter("go").join(g.around(marked.filter("go")).select("src", "dst", "dst_deg"), F.col("node") == F.col("src"))
         .select(*keys, F.col("dst").alias("node"), F.lit(0.0).alias("p"),
                 ((1 - p.alpha) * F.col("r") / F.col("dst_deg")).alias("r"), F.lit(1).cast("long").alias("touched"))
     )
@@ -51,8 +51,8 @@ def reverse_push(
     """
     state = start_state(g, targets)
     limit: Column = F.lit(push_eps(g.stats.n, p)) if eps is None else eps if isinstance(eps, Column) else F.lit(float(eps))
-    limits = g.nodes.select(F.col("node").alias("t"), "deg").join(F.broadcast(targets), "t").select("qid", limit.alias("eps"))
-    limits = F.broadcast(cut(limits, "reverse-eps"))
+    limits = g.nodes.select(F.col("node").alias("t"), "deg").join(sized(targets), "t").select("qid", limit.alias("eps"))
+    limits = sized(cut(limits, "reverse-eps"))
     state = cut(state, "reverse")
     done = 0
     while rounds is None or done < rounds:
@@ -107,7 +107,7 @@ def randomized_reverse_push(
         inc = (1 - p.alpha) * F.col("r") / F.col("dst_deg")
         key = [F.lit(seed), F.col("qid"), F.col("rep"), F.lit(hop), F.col("src")] + ([F.col("dst")] if draw == "edge" else [])
         paid = (
-            sized(residue).join(g.edges.select("src", "dst", "dst_deg"), F.col("node") == F.col("src"))
+            sized(residue).join(g.around(residue).select("src", "dst", "dst_deg"), F.col("node") == F.col("src"))
             .withColumn("inc", inc).filter((F.col("inc") >= theta) | (F.col("inc") >= edge_coin(coin, *key) * theta))
         )
         after = cut(

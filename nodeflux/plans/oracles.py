@@ -93,11 +93,11 @@ def reverse(eps: str, rounds: int) -> str:
 ADJ = "ad AS MATERIALIZED (SELECT src, list({'dst': dst, 'dst_deg': dst_deg}) AS nb FROM e GROUP BY src)"
 
 
-def randomized(theta: float, hops: int, edge: bool, seed: int = 0) -> str:
+def randomized(theta: float, hops: int, edge: bool, seed: int = 0, reps: int = 1) -> str:
     """rz(hop, qid, rep, node, r)."""
     inc = f"({1 - A!r} * r / dst_deg)"
     coin = duck_u01(str(seed), "qid", "rep", "hop", "src", *(["dst"] if edge else []))
-    return f"""rz AS (SELECT 0 AS hop, qid, 0 AS rep, t AS node, 1.0::DOUBLE AS r, 0::BIGINT AS n_in FROM tg
+    return f"""rz AS (SELECT 0 AS hop, qid, rep, t AS node, 1.0::DOUBLE AS r, 0::BIGINT AS n_in FROM tg, (SELECT unnest(range({reps})) AS rep)
  UNION ALL SELECT hop + 1 AS hop, qid, rep, dst AS node, sum(greatest({inc}, {theta!r})) AS r, count(*) AS n_in
  FROM rz JOIN e ON node = src WHERE hop < {hops} AND ({inc} >= {theta!r} OR {inc} >= {coin} * {theta!r}) GROUP BY ALL)"""
 

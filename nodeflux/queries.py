@@ -267,10 +267,10 @@ def adaptive_push_vector(spark: SparkSession, sf: str) -> DataFrame:
     return got.vector().select("qid", "node", F.round("value", 8).alias("value"))
 
 
-@register("median_amplified", o.query("tree", o.push("0.02", H, reps=5), targets=o.uniform(5), final="SELECT qid, t, round(quantile_cont(pagerank, 0.5) * any_value(n), 6) AS n_pi FROM pe, st GROUP BY qid, t"))
+@register("median_amplified", o.query("tree", o.push("0.0193", H, reps=5), targets=o.uniform(5), final="SELECT qid, t, round(quantile_cont(pagerank, 0.5) * any_value(n), 6) AS n_pi FROM pe, st GROUP BY qid, t"))
 def median_amplified(spark: SparkSession, sf: str) -> DataFrame:
     g = gr.graph(spark, sf, "tree")
-    return amplified(adaptive_push(g, uniform_targets(g, 5), P, theta=0.02, hops=H, sampler="edge", coin="md5", reps=5).df).select("qid", "t", npi(g))
+    return amplified(adaptive_push(g, uniform_targets(g, 5), P, theta=0.0193, hops=H, sampler="edge", coin="md5", reps=5).df).select("qid", "t", npi(g))
 
 
 for _sampler in ("skip", "binomial"):
@@ -293,11 +293,11 @@ def adaptive_push_resident(spark: SparkSession, sf: str) -> DataFrame:
 _REV = "SELECT qid, t, round(sum(p), 6) AS n_pi, sum(touched)::BIGINT AS increments FROM rv JOIN tg USING (qid) WHERE round = {r} GROUP BY qid, t"
 
 
-@register("reverse_push_sync", o.query("supply", o.ADJ, o.reverse("0.000137", 4), targets=o.uniform(5), final=_REV.format(r=4)))
+@register("reverse_push_sync", o.query("supply", o.ADJ, o.reverse("0.002", 40), targets=o.uniform(5), final=_REV.format(r=40)))
 def reverse_push_sync(spark: SparkSession, sf: str) -> DataFrame:
     g = gr.graph(spark, sf, "supply")
     t = uniform_targets(g, 5)
-    return rv.mean_reserve(g, t, rv.reverse_push(g, t, P, 0.000137, rounds=4), "reverse_push").select("qid", "t", npi(g), "increments")
+    return rv.mean_reserve(g, t, rv.reverse_push(g, t, P, 0.002), "reverse_push").select("qid", "t", npi(g), "increments")
 
 
 @register("reverse_push_priority")
@@ -316,34 +316,34 @@ for _draw in ("shared", "edge"):
         return rv.randomized_reverse_push(g, uniform_targets(g, 5), P, 1e-3, draw, 5, coin="md5").select("qid", "t", npi(g), "increments")
 
 
-@register("walk_sample", o.query("supply", o.walks(2000, 8), targets=o.uniform(20), final="SELECT qid, t, round(count(wid) / 2000.0, 8) AS pagerank FROM tg LEFT JOIN wk ON node = t AND stop GROUP BY qid, t"))
+@register("walk_sample", o.query("supply", o.walks(2000, 1000), targets=o.uniform(20), final="SELECT qid, t, round(count(wid) / 2000.0, 8) AS pagerank FROM tg LEFT JOIN wk ON node = t AND stop GROUP BY qid, t"))
 def walk_sample(spark: SparkSession, sf: str) -> DataFrame:
     g = gr.graph(spark, sf, "supply")
-    return wk.walk_sample(g, uniform_targets(g, 20), P, 2000, cap=8, coin="md5").select("qid", "t", F.round("pagerank", 8).alias("pagerank"))
+    return wk.walk_sample(g, uniform_targets(g, 20), P, 2000, coin="md5").select("qid", "t", F.round("pagerank", 8).alias("pagerank"))
 
 
-@register("walk_length_stats", o.query("tree", o.walks(1500, 10), final="SELECT count(*) AS walks, round(avg(step), 6) AS mean_moves, 4.0::DOUBLE AS expected FROM wk WHERE stop"))
+@register("walk_length_stats", o.query("tree", o.walks(1500, 1000), final="SELECT count(*) AS walks, round(avg(step), 6) AS mean_moves, 4.0::DOUBLE AS expected FROM wk WHERE stop"))
 def walk_length_stats(spark: SparkSession, sf: str) -> DataFrame:
     g = gr.graph(spark, sf, "tree")
-    return wk.walk_length_stats(wk.walk_ends(g, 1500, P, 10, 0, "md5"), P).select("walks", r6("mean_moves").alias("mean_moves"), F.round("expected", 6).alias("expected"))
+    return wk.walk_length_stats(wk.walk_ends(g, 1500, P, None, 0, "md5"), P).select("walks", r6("mean_moves").alias("mean_moves"), F.round("expected", 6).alias("expected"))
 
 
-@register("residue_bidirectional", o.query("tree", o.ADJ, o.reverse("0.013", 4), o.walks(1000, 8), targets=o.uniform(5), final="""SELECT qid, tg.t, round(x.s + coalesce(y.s, 0) / 1000.0 * n, 6) AS n_pi FROM tg
- JOIN (SELECT qid, sum(p) AS s FROM rv WHERE round = 4 GROUP BY qid) x USING (qid)
- LEFT JOIN (SELECT qid, sum(r) AS s FROM rv JOIN wk ON rv.node = wk.node AND wk.stop WHERE round = 4 GROUP BY qid) y USING (qid), st"""))
+@register("residue_bidirectional", o.query("tree", o.ADJ, o.reverse("0.05", 30), o.walks(1000, 1000), targets=o.uniform(5), final="""SELECT qid, tg.t, round(x.s + coalesce(y.s, 0) / 1000.0 * n, 6) AS n_pi FROM tg
+ JOIN (SELECT qid, sum(p) AS s FROM rv WHERE round = 30 GROUP BY qid) x USING (qid)
+ LEFT JOIN (SELECT qid, sum(r) AS s FROM rv JOIN wk ON rv.node = wk.node AND wk.stop WHERE round = 30 GROUP BY qid) y USING (qid), st"""))
 def residue_bidirectional(spark: SparkSession, sf: str) -> DataFrame:
     g = gr.graph(spark, sf, "tree")
-    return bi.residue_bidirectional(g, uniform_targets(g, 5), P, 0.013, 1000, 8, coin="md5", rounds=4).select("qid", "t", npi(g))
+    return bi.residue_bidirectional(g, uniform_targets(g, 5), P, 0.05, 1000, coin="md5").select("qid", "t", npi(g))
 
 
-@register("blanket_bidirectional", o.query("tree", o.ADJ, o.reverse("0.013", 4), o.walks(1000, 8), """hv AS (SELECT qid, node FROM rv WHERE round = 4 AND p >= 0.013),
+@register("blanket_bidirectional", o.query("tree", o.ADJ, o.reverse("0.005", 40), o.walks(1000, 1000), """hv AS (SELECT qid, node FROM rv WHERE round = 40 AND p >= 0.05),
 cv AS (SELECT DISTINCT qid, node FROM (SELECT qid, node FROM hv UNION ALL SELECT qid, dst FROM hv JOIN e ON node = src)),
-sc AS (SELECT cv.qid, cv.node, coalesce(p, 0) AS score FROM cv LEFT JOIN rv ON rv.round = 4 AND rv.qid = cv.qid AND rv.node = cv.node),
+sc AS (SELECT cv.qid, cv.node, coalesce(p, 0) AS score FROM cv LEFT JOIN rv ON rv.round = 40 AND rv.qid = cv.qid AND rv.node = cv.node),
 ft AS (SELECT qid, wid, arg_min(score, step) AS score FROM wk JOIN sc USING (node) GROUP BY qid, wid)""", targets=o.uniform(5),
     final="SELECT qid, t, round(coalesce(sum(score), 0) / 1000.0 * any_value(n), 6) AS n_pi FROM tg LEFT JOIN ft USING (qid), st GROUP BY qid, t"))
 def blanket_bidirectional(spark: SparkSession, sf: str) -> DataFrame:
     g = gr.graph(spark, sf, "tree")
-    return bi.blanket_bidirectional(g, uniform_targets(g, 5), P, 0.013, 1000, 8, coin="md5", rounds=4).select("qid", "t", npi(g))
+    return bi.blanket_bidirectional(g, uniform_targets(g, 5), P, 0.05, 1000, coin="md5").select("qid", "t", npi(g))
 
 
 @register("subgraph_walks")
@@ -405,6 +405,39 @@ def complexity_table(spark: SparkSession, sf: str) -> DataFrame:
     return acc.complexity_table(g, uniform_targets(g, 10), P).select("qid", "t", "deg", "method", F.round("complexity", 4).alias("complexity"), r6("improvement").alias("improvement"))
 
 
+@register("theta_from_pagerank", o.query("supply", o.power(10), final=f"""SELECT nd.node, deg, round(ln(0.01 * 0.1 * n * pi / (4 * {o.hop_cap("n")} * deg)), 9) AS theta
+ FROM nd JOIN pw ON pw.node = nd.node AND i = 10, st"""))
+def theta_from_pagerank(spark: SparkSession, sf: str) -> DataFrame:
+    """The theta that a known PageRank would allow, for every node."""
+    g = gr.graph(spark, sf, "supply")
+    known = g.nodes.select("node", "deg").join(ex.power_iteration(g, P, 10), "node")
+    return known.select("node", "deg", F.round(F.log(pm.theta_oracle(F.col("deg"), F.col("pi"), g.stats.n, P)), 9).alias("theta"))
+
+
+@register("failure_rate_sampled", o.query("tree", o.push("0.05", 12, reps=20), o.series(o.UNIFORM_START, "", 0.8, [0.2] * 13), targets=o.uniform(5), final="""SELECT qid, t,
+ avg((abs(pagerank - value) > 0.5 * value)::INT)::DOUBLE AS failure_rate, round(avg(abs(pagerank - value) / value), 6) AS mean_error, count(*) AS replicas FROM pe JOIN sv ON sv.node = pe.t GROUP BY qid, t"""))
+def failure_rate_sampled(spark: SparkSession, sf: str) -> DataFrame:
+    """Replicas of the sampled method that err by more than c = 0.5, against the exact value over as many hops."""
+    g = gr.graph(spark, sf, "tree")
+    est = adaptive_push(g, uniform_targets(g, 5), P, theta=0.05, hops=12, sampler="edge", coin="md5", reps=20).df
+    rows = acc.relative_error(est, ex.truncated_pagerank(g, P, 12))
+    return rows.groupBy("qid", "t").agg(F.avg((F.col("rel") > 0.5).cast("double")).alias("failure_rate"), r6(F.avg("rel")).alias("mean_error"), F.count("*").alias("replicas"))
+
+
+@register("estimate_sink", o.query("tree", o.push("0.01", H), targets=o.uniform(5), final="SELECT 'first' AS run, " + _EST.removeprefix("SELECT ")))
+def estimate_sink(spark: SparkSession, sf: str) -> DataFrame:
+    """Estimates written by method and read back."""
+    import uuid
+
+    from nodeflux.plans.storage import shared_dir
+    from nodeflux.sources.sinks import read_estimates, write_estimates
+
+    g, path = gr.graph(spark, sf, "tree"), f"{shared_dir(spark)}/estimates-{uuid.uuid4().hex}"
+    write_estimates(adaptive_push(g, uniform_targets(g, 5), P, theta=0.01, hops=H, sampler="edge", coin="md5").df, path, "first")
+    back = read_estimates(spark, path, "adaptive_push")
+    return back.select("run", "qid", "t", npi(g), "increments", "exact_increments")
+
+
 @register("lower_bounds", o.query("supply", final="""SELECT node, deg, 0.2::DOUBLE AS by_teleport, round(0.2 * (1 + 0.8 * deg * deg / (2 * m)), 6) AS by_degree,
  round(deg * 0.2 * sqrt(1.6 / m), 6) AS by_edges FROM nd, st"""))
 def lower_bounds(spark: SparkSession, sf: str) -> DataFrame:
@@ -466,13 +499,34 @@ def recurrence_gap(spark: SparkSession, sf: str) -> DataFrame:
     return ex.recurrence_gap(g, ex.power_iteration(g, P, 7), P).select(r6(F.col("gap") * g.stats.n).alias("gap"))
 
 
-@register("reversibility_gap", o.query("supply", targets=o.uniform(6), final="SELECT x.qid, y.qid AS other, 0.0::DOUBLE AS gap FROM tg x JOIN tg y ON x.qid < y.qid"))
+_FLOWS = """fl AS MATERIALIZED (SELECT {hop}a.qid, b.qid AS other, {value} * deg AS flow FROM tg a JOIN {table} v ON v.qid = a.qid JOIN tg b ON v.node = b.t JOIN nd ON nd.node = a.t)"""
+
+
+@register("reversibility_gap", o.query("supply", o.series(o.ONE_HOT, "qid", 0.8, _TRUNC[:5]), _FLOWS.format(hop="", value="v.value", table="sv"), targets=o.uniform(6),
+    final="SELECT x.qid, x.other, round(abs(x.flow - y.flow), 9) AS gap FROM fl x JOIN fl y ON x.qid = y.other AND x.other = y.qid WHERE x.qid < x.other"))
 def reversibility_gap(spark: SparkSession, sf: str) -> DataFrame:
     g = gr.graph(spark, sf, "supply")
     t = uniform_targets(g, 6)
     return ex.reversibility_gap(g, ex.ppr_from(g, t, P, 4), t).select("qid", "other", F.round("gap", 9).alias("gap"))
 
 
+@register("reversibility_by_hop", o.query("supply", o.series(o.ONE_HOT, "qid", 0.8, _TRUNC[:5]), _FLOWS.format(hop="v.hop, ", value="0.2 * v.r", table="rr"), targets=o.uniform(6),
+    final="SELECT x.hop, x.qid, x.other, round(x.flow, 9) AS flow, round(abs(x.flow - y.flow), 9) AS gap FROM fl x JOIN fl y ON x.hop = y.hop AND x.qid = y.other AND x.other = y.qid WHERE x.qid < x.other AND x.hop BETWEEN 1 AND 4"))
+def reversibility_by_hop(spark: SparkSession, sf: str) -> DataFrame:
+    """Both ways of a pair of targets agree hop by hop once each is weighted by its sender's degree."""
+    g = gr.graph(spark, sf, "supply")
+    t, out = uniform_targets(g, 6), None
+    deg = t.join(g.nodes.select(F.col("node").alias("t"), "deg"), "t")
+    for hop in range(1, 5):
+        vec = ex.hop_ppr(g, t, hop, P)
+        flow = vec.join(deg.select("qid", "deg"), "qid").join(t.select(F.col("qid").alias("other"), F.col("t").alias("node")), "node")
+        flow = flow.select("qid", "other", F.round(F.col("value") * F.col("deg"), 9).alias("flow"))
+        part = ex.reversibility_gap(g, vec, t).join(flow, ["qid", "other"])
+        part = part.select(F.lit(hop).alias("hop"), "qid", "other", "flow", F.round("gap", 9).alias("gap"))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
 @register("convergence_rate", o.query("tree", o.power(6), """ch AS (SELECT b.i AS iteration, max(abs(a.pi - b.pi)) AS change FROM pw a JOIN pw b ON a.node = b.node AND b.i = a.i + 1 GROUP BY b.i)""",
     final="SELECT iteration, round(change * n, 6) AS change, round(change / lag(change) OVER (ORDER BY iteration), 6) AS ratio FROM ch, st"))
 def convergence_rate(spark: SparkSession, sf: str) -> DataFrame:
@@ -566,6 +620,22 @@ def draw_contrast(spark: SparkSession, sf: str) -> DataFrame:
     return wl.draw_contrast(g, uniform_targets(g, 5), P, 5e-3, 30, 8)
 
 
+_HUB = "tg AS MATERIALIZED (SELECT 0 AS qid, 0 AS t)"
+
+
+@register("draw_contrast_star", " UNION ALL ".join(f"""SELECT * FROM ({o.query("star", o.randomized(1.5, 2, d == "edge", reps=40), targets=_HUB,
+    final=f"SELECT '{d}' AS draw, round(var_samp(pi) * 1e6, 4) AS variance, round(avg(pi) * 401, 4) AS n_pi FROM (SELECT rep, sum(0.2 * r) / any_value(n) AS pi FROM rz, st GROUP BY rep)")})""" for d in ("shared", "edge")))
+def draw_contrast_star(spark: SparkSession, sf: str) -> DataFrame:
+    """A hub whose push pays all leaves by one draw, or each leaf by its own: the variance of its PageRank."""
+    g, out = gr.graph(spark, sf, "star"), None
+    hub = spark.createDataFrame([(0, 0)], "qid int, t long")
+    for draw in ("shared", "edge"):
+        rows = rv.randomized_reverse_push(g, hub, P, 1.5, draw, 2, reps=40, coin="md5")
+        part = rows.agg(F.lit(draw).alias("draw"), F.round(F.var_samp("pagerank") * 1e6, 4).alias("variance"), F.round(F.avg("pagerank") * g.stats.n, 4).alias("n_pi"))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
 @register("theta_sweep")
 def theta_sweep(spark: SparkSession, sf: str) -> DataFrame:
     g = gr.graph(spark, sf, "supply")

@@ -124,8 +124,13 @@ def leak(spark: SparkSession, sf: str, run: int = 5) -> DataFrame:
     return both.select(_key("d", "doc_id").alias("a"), _key("b", "item_id").alias("b"))
 
 
+def star(spark: SparkSession, sf: str, leaves: int = 400) -> DataFrame:
+    """A synthetic star: one hub and its leaves, whatever the data folder."""
+    return spark.range(leaves).select(F.lit("h:0").alias("a"), _key("l", "id").alias("b"))
+
+
 GRAPHS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (purchase, supply, custsupp, tree, order, session, activity, links, terms, source, knn, chat, leak)
+    f.__name__: f for f in (purchase, supply, custsupp, tree, order, session, activity, links, terms, source, knn, chat, leak, star)
 }
 
 _BOUGHT = "orders JOIN lineitem ON o_orderkey = l_orderkey"
@@ -143,6 +148,7 @@ DUCK = {
     "links": "SELECT 'g:' || page_id AS a, 'l:' || href AS b FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]+)\"', 1)) AS href FROM pages)",
     "terms": f"SELECT 'd:' || doc_id AS a, 't:' || t AS b FROM (SELECT doc_id, {_TOKENS} AS t FROM documents)",
     "source": "SELECT 'd:' || doc_id AS a, 's:' || source || '/' || lang AS b FROM documents",
+    "star": "SELECT 'h:0' AS a, 'l:' || i AS b FROM (SELECT unnest(range(400)) AS i)",
     "chat": f"SELECT 'v:' || conv_id AS a, 't:' || t AS b FROM (SELECT conv_id, {_TOKENS} AS t FROM conversations)",
     "knn": "SELECT 'v:' || a AS a, 'v:' || b AS b FROM (SELECT q.vec_id AS a, o.vec_id AS b, row_number() OVER (PARTITION BY q.vec_id "
     "ORDER BY round(list_dot_product(q.v, o.v), 9) DESC, o.vec_id) AS r FROM u q JOIN u o ON q.vec_id <> o.vec_id) WHERE r <= 5",

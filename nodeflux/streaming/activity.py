@@ -10,7 +10,7 @@ from pyspark.sql.streaming import StreamingQuery
 
 from nodeflux.functions.params import Params
 from nodeflux.operators.graph import build
-from nodeflux.operators.push import adaptive_push
+from nodeflux.operators.push import adaptive_push, sized
 from nodeflux.plans.storage import shared_dir
 from nodeflux.sources.tables import load
 
@@ -77,7 +77,7 @@ def watch(events: DataFrame, targets: DataFrame, p: Params, out: Callable[[DataF
     def refresh(batch: DataFrame, number: int) -> None:
         batch.select("a", "b").distinct().write.mode("overwrite").parquet(f"{base}/edges/batch={number}")
         g = build(spark.read.parquet(f"{base}/edges").select("a", "b"))
-        asked = g.nodes.join(F.broadcast(targets), "key").select(F.col("qid").cast("int").alias("qid"), F.col("node").alias("t"))
+        asked = g.nodes.join(sized(targets), "key").select(F.col("qid").cast("int").alias("qid"), F.col("node").alias("t"))
         out(adaptive_push(g, asked, p, theta=theta).df, number)
 
     return (
