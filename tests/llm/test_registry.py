@@ -53,3 +53,36 @@ def test_nothing_else_imports_the_package():
     for path in root.rglob("*.py"):
         if "llm" not in path.parts:
             assert not re.search(r"nodeflux\.llm|from \.+llm", path.read_text())
+
+
+def test_stages_take_odd_rows(spark, sf):
+    """Nulls in every column, empty and very long texts, repeated rows, an empty table, columns that clash with inner names."""
+    from pyspark.sql import functions as F
+
+    from nodeflux.llm import jaccard
+
+    names = corpus_pipeline.STAGES
+    plain = spark.read.parquet(f"{sf}/documents.parquet")
+    good = plain.orderBy(F.desc(F.length("text"))).first().text
+    rows = [(1, good), (1, good), (2, good + " end"), (3, None), (4, ""), (None, good), (None, None), (5, "é " * 40_000), (6, "a line that is shared by all\n1"),
+            (7, "a line that is shared by all\n2"), (8, "a line that is shared by all\n3"), (1, "an unrelated text under a known id, of ten words or so")]
+    docs = spark.createDataFrame([(d, t, None, None, None, 1, "x", 2.0) for d, t in rows], "doc_id long, text string, lang string, source string, n_chars long, id int, th string, score double")
+    for table in (docs, docs.limit(0)):
+        for name, stage in names:
+            got = stage(spark, table, sf)
+            kept = got.collect()
+            if name == "best_fit_packing":
+                assert (len(kept) >= len(rows)) if table is docs else not kept
+                continue
+            assert got.columns == docs.columns and len(kept) <= table.count()
+            if table is not docs:
+                assert not kept
+            elif name == "line_dedup":
+                assert len(kept) == len(rows) and all(r.n_chars == len(r.text) and r.th == "x" for r in kept)
+                assert {r.doc_id: r.text for r in kept if r.doc_id in (6, 7, 8)} == {6: "1", 7: "2", 8: "a line that is shared by all\n3"}
+            elif name == "ngram_jaccard_join":
+                want = [(1, good), (3, None), (4, ""), (None, good), (None, None), *rows[7:]]
+                least = {r.doc_id for r in jaccard.jaccard_components(docs, 5, 80).collect() if r.doc_id == r.component_id}
+                assert 2 not in least and Counter((r.doc_id, r.text) for r in kept) == Counter(x for x in want if x[0] is None or x[0] in least or x[1] == rows[-1][1])
+            elif name == "benchmark_decontamination":
+                assert {r.text for r in kept} >= {None, ""} and all(r.score == 2.0 for r in kept)
