@@ -46,11 +46,11 @@ K = 96
 #: Stretches of one group that are resolved together; a larger group is dealt by closer keys, of starts of these numbers.
 GROUP_STRETCHES, WIDTHS = 2000, (26, 6, 1)
 #: Bytes of a symbol of the transforms; `span` is a multiple.
-STEP = 50
+STEP = 100
 #: Starts that are narrowed down together.
 NARROW = 26
 #: Bytes of a shard whose suffixes are sorted at once, and of stretches that are gathered for a merge.
-SHARD_BYTES, MERGED_BYTES = 1 << 20, 1 << 21
+SHARD_BYTES, MERGED_BYTES = 1 << 19, 1 << 20
 
 
 def stretches(buf: np.ndarray, bounds: np.ndarray, span: int) -> tuple[np.ndarray, ...]:
@@ -209,7 +209,7 @@ def repeated_starts(parts: list[np.ndarray], counts: list[int], span: int, shard
     """
     if not parts:
         return []
-    count = max(2, -(-sum(map(len, parts)) // shard_bytes))
+    count = max(2, sum(map(len, parts)) // shard_bytes)
     count += count % 2
     dealt: list[list[int]] = [[] for _ in range(count)]
     for i in range(len(parts)):
