@@ -108,9 +108,10 @@ def base_failed() -> Column:
 def order_rules(docs: DataFrame, rules: Sequence[Rule], sample_rows: int = SAMPLE_ROWS) -> list[Rule]:
     """Rules by rejection per work among what the rules before them leave of a sample, the most first."""
     flag = lambda c: F.coalesce(c, F.lit(False))
-    sample = measure(docs.limit(sample_rows)).filter(~flag(base_failed()))
     work = [F.coalesce(r.work if r.work is not None else F.char_length("text"), F.lit(0)).cast("double") for r in rules]
-    rows = sample.select(F.array(*[flag(r.fails) for r in rules]).alias("fails"), F.array(*work).alias("work")).collect()
+    seen = measure(docs).select(flag(base_failed()).alias("out"), F.array(*[flag(r.fails) for r in rules]).alias("fails"), F.array(*work).alias("work"))
+    # a limit at the very end reads partitions one after another until it has its rows, and shuffles nothing
+    rows = [r for r in seen.limit(sample_rows).collect() if not r.out]
     left, order = list(range(len(rules))), []
     while left:
         cost = {k: sum(r.work[k] for r in rows) for k in left}
