@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import hashlib
+
 import numpy as np
 from pyspark.sql import Column
 from pyspark.sql import functions as F
@@ -14,6 +16,13 @@ def u01_md5(*parts: Column | int | str) -> Column:
     return (F.conv(F.substring(F.md5(key), 1, 12), 16, 10).cast("double") + 0.5) / float(1 << 48)
 
 
+def u01_md5_np(*parts: np.ndarray | int) -> np.ndarray:
+    """The numpy twin of u01_md5 for whole numbers, one digest an element."""
+    rows = np.broadcast_arrays(*[np.atleast_1d(p) for p in parts])
+    keys = ("|".join(map(str, key)) for key in zip(*(r.tolist() for r in rows)))
+    return np.array([(int(hashlib.md5(k.encode()).hexdigest()[:12], 16) + 0.5) / float(1 << 48) for k in keys])
+
+
 def duck_u01(*parts: str) -> str:
     """The DuckDB text of u01_md5; parts are SQL expressions."""
     key = "concat_ws('|', " + ", ".join(parts) + ")"

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -51,21 +52,37 @@ def edge_coin(kind: str, *key: Column | int) -> Column:
     return u01_md5(*key) if kind == "md5" else u01_fast(*key)
 
 
-def skip_positions(hop: int, seed: int, binomial: bool):
+def binomial_law(deg: int, chance: float) -> np.ndarray:
+    """Chances of 0 .. deg successes."""
+    logs = np.concatenate([[0.0], np.cumsum(np.log(np.arange(1, deg + 1)))])
+    k = np.arange(deg + 1)
+    return np.exp(logs[deg] - logs[k] - logs[deg - k] + k * math.log(chance) + (deg - k) * math.log1p(-chance))
+
+
+def skip_positions(hop: int, seed: int, binomial: bool, coin: str = "fast"):
     """mapInArrow: (qid, rep, node, deg, chance) to sampled list places (qid, rep, node, pos); pos 0 tells in `drawn` a row's draws.
 
     Gaps between chosen places are geometric, so the work follows the sample and not the
-    degree. A row's generator is keyed by its own identity.
+    degree. A row's generator is keyed by its own identity. With coin "md5" the draws are those
+    that SQL can repeat; "binomial" then inverts the law's sum and takes the places of least keys.
     """
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from nodeflux.functions.rng import u01_np
+        from nodeflux.functions.rng import u01_md5_np, u01_np
 
+        uniform = u01_md5_np if coin == "md5" else u01_np
         for batch in batches:
             qid, rep, node, deg, chance = (batch.column(c).to_numpy(zero_copy_only=False) for c in ("qid", "rep", "node", "deg", "chance"))
             rows, places, drawn = [np.arange(len(node))], [np.zeros(len(node), dtype=np.int64)], np.zeros(len(node), dtype=np.int64)
             if binomial:
                 for i in range(len(node)):
+                    if coin == "md5":
+                        keys = u01_md5_np(seed, hop, qid[i], rep[i], node[i], np.arange(deg[i] + 1))
+                        k = int((np.cumsum(binomial_law(int(deg[i]), float(chance[i]))) < keys[0]).sum())
+                        drawn[i] = 1 + k
+                        rows.append(np.full(k, i))
+                        places.append(np.argsort(keys[1:], kind="stable")[:k] + 1)
+                        continue
                     rng = np.random.default_rng([seed, hop, int(qid[i]), int(rep[i]), int(node[i])])
                     k = rng.binomial(int(deg[i]), float(chance[i]))
                     drawn[i] = 1 + k
@@ -76,7 +93,7 @@ def skip_positions(hop: int, seed: int, binomial: bool):
                 scale = np.log1p(-np.minimum(chance, 1 - 1e-16))
                 while len(live):
                     drawn[live] += 1
-                    u = u01_np(seed, hop, qid[live], rep[live], node[live], draw)
+                    u = uniform(seed, hop, qid[live], rep[live], node[live], draw)
                     gap = 1 + np.floor(np.log(u) / scale[live])
                     at[live] = at[live] + np.minimum(gap, deg[live] + 1.0).astype(np.int64)
                     live = live[at[live] <= deg[live]]
@@ -116,7 +133,7 @@ def next_residue(g: Graph, residue: DataFrame, p: Params, hop: int, seed: int, s
         paid = heavy.select(*keep, "dst", "deg_in", F.col("share").alias("inc"), F.lit(1).cast("long").alias("is_full"), none.alias("n_draws"))
         light = residue.withColumn("share", share).filter("share < theta")
         places = light.select("qid", "rep", "node", "deg", (F.col("share") / F.col("theta")).alias("chance")).mapInArrow(
-            skip_positions(hop, seed, sampler == "binomial"), "qid int, rep int, node long, pos int, drawn long"
+            skip_positions(hop, seed, sampler == "binomial", coin), "qid int, rep int, node long, pos int, drawn long"
         )
         places = cut(places, "push-places")
         coins = places.filter("pos = 0").groupBy("qid", "rep").agg(F.sum("drawn").alias("n_draws")).join(residue.select(*keep).distinct(), ["qid", "rep"]).select(*keep, "n_draws")

@@ -72,9 +72,9 @@ def cost_vs_degree(rows: DataFrame) -> DataFrame:
 
 def _distributed(g: Graph, targets: DataFrame, method: str, p: Params, rep: int, seed: int, options: dict) -> DataFrame:
     """(qid, t, pagerank, increments, perhaps theta, exact_increments, draws) of one replica by the distributed plans."""
-    theta, hops = options.get("theta"), options.get("hops")
+    theta, hops, coin = options.get("theta"), options.get("hops"), options.get("coin", "fast")
     if method == "adaptive_push":
-        return adaptive_push(g, targets, p, theta=theta, hops=hops, sampler=options.get("sampler", "skip"), seed=seed + rep).df
+        return adaptive_push(g, targets, p, theta=theta, hops=hops, sampler=options.get("sampler", "skip"), seed=seed + rep, coin=coin).df
     if method == "power_iteration":
         steps = options.get("iterations", 100)
         pi = power_iteration(g, p, steps).select(F.col("node").alias("t"), F.col("pi").alias("pagerank"))
@@ -83,7 +83,7 @@ def _distributed(g: Graph, targets: DataFrame, method: str, p: Params, rep: int,
         order, batch = ("priority", 1024) if method.endswith("priority") else ("sync", 1)
         return mean_reserve(g, targets, reverse_push(g, targets, p, options.get("eps"), order=order, batch=batch), method)
     if method.startswith("randomized_reverse_push"):
-        return randomized_reverse_push(g, targets, p, theta, method.rsplit("_", 1)[-1], hops, seed=seed + rep)
+        return randomized_reverse_push(g, targets, p, theta, method.rsplit("_", 1)[-1], hops, seed=seed + rep, coin=coin)
     if method == "walk_sample":
         return walk_sample(g, targets, p, options.get("n_walks"), seed=seed + rep).withColumnRenamed("walks", "increments")
     return getattr(bidirectional, method)(g, targets, p, seed=seed + rep)
@@ -118,27 +118,27 @@ def watch_list(g: Graph, k: int, p: Params, pi: DataFrame | None = None) -> Data
     return top.select((F.row_number().over(Window.orderBy(F.desc(F.round("pi", 12)), "node")) - 1).cast("int").alias("qid"), F.col("node").alias("t"))
 
 
-def draw_contrast(g: Graph, targets: DataFrame, p: Params, theta: float, reps: int, hops: int, seed: int = 0) -> DataFrame:
+def draw_contrast(g: Graph, targets: DataFrame, p: Params, theta: float, reps: int, hops: int, seed: int = 0, **options) -> DataFrame:
     """(qid, t, shared, apart): variance over replicas when a push shares one draw and when each neighbour has its own."""
     names = ("randomized_reverse_push_shared", "randomized_reverse_push_edge")
-    rows = answers(g, targets, names, p, reps, seed, theta=theta, hops=hops)
+    rows = answers(g, targets, names, p, reps, seed, theta=theta, hops=hops, **options)
     return rows.groupBy("qid", "t").pivot("method", list(names)).agg(F.var_samp("pagerank")).toDF("qid", "t", "shared", "apart")
 
 
-def sweep(g: Graph, targets: DataFrame, thetas: list[float], p: Params, reps: int, seed: int = 0) -> DataFrame:
+def sweep(g: Graph, targets: DataFrame, thetas: list[float], p: Params, reps: int, seed: int = 0, **options) -> DataFrame:
     """(theta, mean_increments, mean_error): the trade of cost for accuracy."""
     parts = []
     known = truth(g, p)
     for theta in thetas:
-        rows = answers(g, targets, ("adaptive_push",), p, reps, seed, theta=theta)
+        rows = answers(g, targets, ("adaptive_push",), p, reps, seed, theta=theta, **options)
         parts.append(relative_error(rows, known).agg(F.lit(theta).alias("theta"), F.avg("increments").alias("mean_increments"), F.avg("rel").alias("mean_error")))
     return reduce(DataFrame.unionByName, parts)
 
 
-def parameter_sweep(g: Graph, targets: DataFrame, grid: list[Params], seed: int = 0) -> DataFrame:
+def parameter_sweep(g: Graph, targets: DataFrame, grid: list[Params], seed: int = 0, **options) -> DataFrame:
     """(alpha, c, pf, mean_increments, mean_error_over_c)."""
     parts = []
     for p in grid:
-        rows = relative_error(answers(g, targets, ("adaptive_push",), p, seed=seed), truth(g, p))
+        rows = relative_error(answers(g, targets, ("adaptive_push",), p, seed=seed, **options), truth(g, p))
         parts.append(rows.agg(F.lit(p.alpha).alias("alpha"), F.lit(p.c).alias("c"), F.lit(p.pf).alias("pf"), F.avg("increments").alias("mean_increments"), F.avg(F.col("rel") / p.c).alias("mean_error_over_c")))
     return reduce(DataFrame.unionByName, parts)

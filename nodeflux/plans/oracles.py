@@ -63,10 +63,10 @@ def query(graph_name: str, *ctes: str, final: str, targets: str | None = None) -
     return "WITH RECURSIVE " + ",\n".join(parts) + "\n" + final
 
 
-def power(iterations: int) -> str:
+def power(iterations: int, a: float = A) -> str:
     """pw(i, node, pi)."""
     return f"""pw AS (SELECT 0 AS i, node, 1.0::DOUBLE / n AS pi FROM nd, st
- UNION ALL SELECT i + 1 AS i, dst AS node, {1 - A!r} * sum(pi / src_deg) + {A!r} / any_value(n) AS pi FROM pw JOIN e ON node = src, st WHERE i < {iterations} GROUP BY ALL)"""
+ UNION ALL SELECT i + 1 AS i, dst AS node, {1 - a!r} * sum(pi / src_deg) + {a!r} / any_value(n) AS pi FROM pw JOIN e ON node = src, st WHERE i < {iterations} GROUP BY ALL)"""
 
 
 def push(theta: str, hops: int, seed: int = 0, reps: int = 1) -> str:
@@ -80,6 +80,31 @@ pe AS (SELECT qid, rep, tg.t, sum({A!r} * d.deg * r / (n * f.deg)) AS pagerank,
  FROM ph JOIN tg USING (qid) JOIN nd d ON d.node = tg.t JOIN nd f ON f.node = ph.node, st GROUP BY qid, rep, tg.t)"""
 
 
+#: Hops up to the method's own cap at c = 0.1 and c = 0.5.
+WHOLE, WHOLE_LOOSE = "(SELECT ceil(ln(0.1 * 0.2 / (2 * n)) / ln(0.8)) FROM st)", "(SELECT ceil(ln(0.5 * 0.2 / (2 * n)) / ln(0.8)) FROM st)"
+
+
+def places(theta: str, hops: str, binomial: bool = False, seed: int = 0, reps: int = 1, a: float = A) -> str:
+    """pe as of push, with draws, where light nodes choose list places by gaps or by number and places; theta is SQL over tg and nd."""
+    share, front = f"{1 - a!r} * r / deg", "qid, rep, hop, node, deg, theta, r"
+    u = duck_u01(str(seed), "hop", "qid", "rep", "node", "j")
+    if binomial:
+        law = f"exp(lgamma(deg + 1) - lgamma(j + 1) - lgamma(deg - j + 1) + j * ln({share} / theta) + (deg - j) * ln(1 - {share} / theta))"
+        chosen = f"""SELECT {front}, j AS place FROM (SELECT *, sum((cdf < first)::INT) OVER (PARTITION BY qid, rep, node) AS k,
+   row_number() OVER (PARTITION BY qid, rep, node ORDER BY j = 0, u, j) AS nth FROM (SELECT *, sum({law}) OVER (PARTITION BY qid, rep, node ORDER BY j) AS cdf,
+   max(CASE WHEN j = 0 THEN u END) OVER (PARTITION BY qid, rep, node) AS first FROM (SELECT *, {u} AS u FROM (SELECT {front}, unnest(range(deg + 1)) AS j FROM ph WHERE {share} < theta AND hop < {hops})))) WHERE nth <= k"""
+    else:
+        gap = f"least(1 + floor(ln({u}) / ln(1 - {share} / theta)), deg + 1)"
+        chosen = f"""SELECT {front}, place FROM (SELECT *, sum({gap}) OVER (PARTITION BY qid, rep, node ORDER BY j) AS place
+   FROM (SELECT {front}, unnest(range(deg)) AS j FROM ph WHERE {share} < theta AND hop < {hops})) WHERE place <= deg"""
+    return f"""ph AS (SELECT 0 AS hop, qid, rep, t AS node, deg, 1.0::DOUBLE AS r, 0::BIGINT AS n_in, 0::BIGINT AS n_exact, ({theta})::DOUBLE AS theta FROM tg JOIN nd ON node = t, st, (SELECT unnest(range({reps})) AS rep)
+ UNION ALL SELECT hop + 1 AS hop, qid, rep, dst AS node, dst_deg AS deg, sum(greatest({share.replace("deg", "src_deg")}, theta)) AS r, count(*) AS n_in, sum(({share.replace("deg", "src_deg")} >= theta)::BIGINT)::BIGINT AS n_exact, theta FROM (
+  SELECT {front}, pos AS place FROM ph JOIN e ON node = src WHERE {share} >= theta AND hop < {hops} UNION ALL {chosen}) x(qid, rep, hop, node, own_deg, theta, r, place)
+ JOIN e ON src = node AND pos = place GROUP BY ALL),
+pe AS (SELECT qid, rep, tg.t, sum({a!r} * d.deg * r / (n * ph.deg)) AS pagerank, sum(n_in) AS increments, sum(n_exact) AS exact_increments,
+ sum(n_in - n_exact) + sum(({share.replace("deg", "ph.deg")} < theta AND hop < {hops})::INT) AS draws FROM ph JOIN tg USING (qid) JOIN nd d ON d.node = tg.t, st GROUP BY qid, rep, tg.t)"""
+
+
 def reverse(eps: str, rounds: int) -> str:
     """rv(round, qid, node, p, r, touched, eps); eps is SQL over tg and st."""
     return f"""rv AS (SELECT 0 AS round, qid, t AS node, 0.0::DOUBLE AS p, 1.0::DOUBLE AS r, 0::BIGINT AS touched, ({eps})::DOUBLE AS eps FROM tg JOIN nd ON node = t, st

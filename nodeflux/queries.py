@@ -226,38 +226,48 @@ def adaptive_push_degree_targets(spark: SparkSession, sf: str) -> DataFrame:
     return _est(g, adaptive_push(g, degree_targets(g, 4), P.but(c=0.5), hops=3, sampler="edge", coin="md5").df)
 
 
-for _label, _graph, _theta in (("exact", "purchase", 0.0), ("edge", "purchase", 1e-3), ("edge_terms", "terms", 1e-2), ("quantised", "tree", 1.0)):
+# thetas with more digits than the results keep, so that no result is a tie of rounding
+for _label, _graph, _theta in (("exact", "purchase", 0.0), ("edge", "purchase", 1.07123e-3), ("edge_terms", "terms", 1.07123e-2), ("quantised", "tree", 1.07123)):
 
-    @register(f"adaptive_push_{_label}_whole")
+    @register(f"adaptive_push_{_label}_whole", o.query(_graph, o.push(repr(_theta), o.WHOLE), targets=o.uniform(5), final=_EST))
     def _push_whole(spark: SparkSession, sf: str, name: str = _graph, theta: float = _theta) -> DataFrame:
         g = gr.graph(spark, sf, name)
-        return _est(g, adaptive_push(g, uniform_targets(g, 5), P, theta=theta, sampler="edge").df)
+        return _est(g, adaptive_push(g, uniform_targets(g, 5), P, theta=theta, sampler="edge", coin="md5").df)
 
 
-@register("adaptive_push_degree_targets_whole")
+@register("adaptive_push_degree_targets_whole", o.query("supply", o.push(o.theta_auto("n", "m", "(SELECT deg FROM nd WHERE nd.node = tg.t)", 0.5).join(["(SELECT ", " FROM st)"]), o.WHOLE_LOOSE), targets=o.by_degree(4), final=_EST))
 def adaptive_push_degree_targets_whole(spark: SparkSession, sf: str) -> DataFrame:
     g = gr.graph(spark, sf, "supply")
-    return _est(g, adaptive_push(g, degree_targets(g, 4), P.but(c=0.5), sampler="edge").df)
+    return _est(g, adaptive_push(g, degree_targets(g, 4), P.but(c=0.5), sampler="edge", coin="md5").df)
 
 
-@register("truncated_pagerank_whole")
+@register("truncated_pagerank_whole", o.query("supply", f"""tp AS (SELECT 0 AS hop, node, 1.0::DOUBLE / n AS r FROM nd, st
+ UNION ALL SELECT hop + 1 AS hop, dst AS node, sum(0.8 * r / src_deg) AS r FROM tp JOIN e ON node = src WHERE hop < {o.WHOLE} GROUP BY ALL)""",
+    final="SELECT node, round(sum(0.2 * r) * any_value(n), 6) AS n_pi FROM tp, st GROUP BY node"))
 def truncated_pagerank_whole(spark: SparkSession, sf: str) -> DataFrame:
     g = gr.graph(spark, sf, "supply")
     return ex.truncated_pagerank(g, P).select("node", npi(g, "pi"))
 
 
-@register("ppr_from_whole")
+@register("ppr_from_whole", o.query("tree", f"""tp AS (SELECT 0 AS hop, qid, t AS node, 1.0::DOUBLE AS r FROM tg
+ UNION ALL SELECT hop + 1 AS hop, qid, dst AS node, sum(0.8 * r / src_deg) AS r FROM tp JOIN e ON node = src WHERE hop < {o.WHOLE} GROUP BY ALL)""",
+    targets=o.uniform(5), final="SELECT qid, node, round(sum(0.2 * r), 8) AS value FROM tp GROUP BY qid, node"))
 def ppr_from_whole(spark: SparkSession, sf: str) -> DataFrame:
     g = gr.graph(spark, sf, "tree")
     return ex.ppr_from(g, uniform_targets(g, 5), P, pm.hop_cap(g.stats.n, P)).select("qid", "node", F.round("value", 8).alias("value"))
 
 
-@register("relative_error_report_whole")
+_ERRORS = """SELECT round(avg(rel), 6) AS mean_error_over_c, round(max(rel), 6) AS max_error_over_c,
+ avg((rel > 1)::INT)::DOUBLE AS failure_rate, count(*) AS queries, method FROM (SELECT 'adaptive_push' AS method, abs(pagerank - pi) / pi / 0.1 AS rel FROM pe JOIN pw ON t = node AND i = 100) GROUP BY ROLLUP (method)"""
+
+
+@register("relative_error_report_whole", o.query("tree", o.places(o.theta_auto("n", "m", "deg"), o.WHOLE), o.power(100), targets=o.uniform(10), final=_ERRORS))
 def relative_error_report_whole(spark: SparkSession, sf: str) -> DataFrame:
     """The method's own schedule and hop cap against 100 power iterations."""
     g = gr.graph(spark, sf, "tree")
-    est = adaptive_push(g, uniform_targets(g, 10), P).df
-    return acc.error_report(acc.relative_error(est, wl.truth(g, P)), P, ["method"])
+    est = adaptive_push(g, uniform_targets(g, 10), P, coin="md5").df
+    rows = acc.error_report(acc.relative_error(est, wl.truth(g, P)), P, ["method"])
+    return rows.select("method", r6("mean_error_over_c").alias("mean_error_over_c"), r6("max_error_over_c").alias("max_error_over_c"), "failure_rate", "queries")
 
 
 @register("adaptive_push_vector", o.query("tree", o.push("0.01", H), targets=o.uniform(5), final="SELECT qid, node, round(sum(0.2 * r), 8) AS value FROM ph GROUP BY qid, node"))
@@ -275,10 +285,12 @@ def median_amplified(spark: SparkSession, sf: str) -> DataFrame:
 
 for _sampler in ("skip", "binomial"):
 
-    @register(f"adaptive_push_{_sampler}")
+    @register(f"adaptive_push_{_sampler}", o.query("supply", o.places("0.00507123", o.WHOLE, _sampler == "binomial"), targets=o.uniform(5),
+              final=_EST.replace(" FROM", ", draws::BIGINT AS draws FROM")))
     def _sampled(spark: SparkSession, sf: str, sampler: str = _sampler) -> DataFrame:
         g = gr.graph(spark, sf, "supply")
-        return _est(g, adaptive_push(g, uniform_targets(g, 5), P, theta=5e-3, sampler=sampler).df)
+        df = adaptive_push(g, uniform_targets(g, 5), P, theta=0.00507123, sampler=sampler, coin="md5").df
+        return df.select("qid", "t", npi(g), "increments", "exact_increments", "draws")
 
 
 @register("adaptive_push_resident")
@@ -469,12 +481,14 @@ def variance_ratio(spark: SparkSession, sf: str) -> DataFrame:
     return acc.variance_ratio(g, est, ex.power_iteration(g, P, 8), P, 4).select("qid", "t", r6(F.col("variance") * 1e9).alias("variance"), r6("ratio").alias("ratio"))
 
 
-@register("hop_variance")
+@register("hop_variance", o.query("supply", f"""hv AS (SELECT qid, dst AS node, sum(greatest(0.8 / src_deg, 0.05)) AS s, sum(pow(greatest(0.8 / src_deg, 0.05), 2)) AS ss
+ FROM tg JOIN e ON src = t, (SELECT unnest(range(40)) AS rep) WHERE 0.8 / src_deg >= 0.05 OR {o.duck_u01("0", "qid", "rep", "0", "src", "dst")} < 0.8 / src_deg / 0.05 GROUP BY qid, dst)""",
+    targets=o.uniform(3), final="SELECT qid, node, round(greatest((ss / 40 - pow(s / 40, 2)) * 40 / 39, 0.0), 9) + 0.0 AS variance, round(0.05 * s / 40, 9) AS bound FROM hv"))
 def hop_variance(spark: SparkSession, sf: str) -> DataFrame:
     g = gr.graph(spark, sf, "supply")
     t = uniform_targets(g, 3).join(g.nodes.select(F.col("node").alias("t"), "deg"), "t")
     residue = t.select("qid", F.lit(0).alias("rep"), F.lit(0.05).alias("theta"), F.col("deg").alias("t_deg"), F.col("t").alias("node"), "deg", F.lit(1.0).alias("r"))
-    return acc.hop_variance(g, residue, P, 0, 40)
+    return acc.hop_variance(g, residue, P, 0, 40, coin="md5").select("qid", "node", (F.round(F.greatest("variance", F.lit(0.0)), 9) + 0.0).alias("variance"), F.round("bound", 9).alias("bound"))
 
 
 @register("truncation_gap", o.query("tree", o.power(12), o.series(o.UNIFORM_START, "", 0.8, _TRUNC), final="SELECT round(min(pi - value) * any_value(n), 6) AS least, round(max(pi - value) * any_value(n), 6) AS most FROM pw JOIN sv ON pw.node = sv.node AND i = 12, st"))
@@ -599,9 +613,27 @@ def workload_strata(spark: SparkSession, sf: str) -> DataFrame:
     return wl.summary(wl.run_query_set(spark, sf, ["supply", "links", "chat"], wl.METHODS, "strata", P, k=5))
 
 
-@register("workload_error")
+@register("workload_error", " UNION ALL ".join(f"""SELECT * FROM ({o.query(name, o.places(o.theta_auto("n", "m", "deg"), o.WHOLE), o.power(100), targets=o.uniform(10),
+    final=f"SELECT '{name}' AS graph, 'adaptive_push' AS method, round(avg(increments), 3) AS mean_increments, round(avg(draws), 3) AS mean_draws, round(avg(abs(pagerank - pi) / pi / 0.1), 6) AS mean_error_over_c, round(max(abs(pagerank - pi) / pi / 0.1), 6) AS max_error_over_c, count(*) AS queries FROM pe JOIN pw ON t = node AND i = 100")})""" for name in ("tree", "links")))
 def workload_error(spark: SparkSession, sf: str) -> DataFrame:
-    return wl.summary(wl.run_query_set(spark, sf, ["purchase", "supply", "tree", "links"], ("adaptive_push",), "uniform", P))
+    """Costs and errors of the method's own schedule against 100 power iterations; draws that SQL repeats."""
+    rows = wl.run_query_set(spark, sf, ["tree", "links"], ("adaptive_push",), "uniform", P, coin="md5")
+    mean = lambda c, k: F.round(F.avg(c), k)
+    return rows.groupBy("graph", "method").agg(
+        mean("increments", 3).alias("mean_increments"), mean("draws", 3).alias("mean_draws"), mean("error_over_c", 6).alias("mean_error_over_c"),
+        r6(F.max("error_over_c")).alias("max_error_over_c"), F.count("*").alias("queries"),
+    )
+
+
+@register("workload_error_dense")
+def workload_error_dense(spark: SparkSession, sf: str) -> DataFrame:
+    return wl.summary(wl.run_query_set(spark, sf, ["purchase", "supply"], ("adaptive_push",), "uniform", P))
+
+
+@register("workload_error_by_degree")
+def workload_error_by_degree(spark: SparkSession, sf: str) -> DataFrame:
+    """The same measure where targets are drawn by degree."""
+    return wl.summary(wl.run_query_set(spark, sf, ["purchase", "supply", "tree", "links"], ("adaptive_push",), "degree", P))
 
 
 @register("workload_growth")
@@ -609,15 +641,23 @@ def workload_growth(spark: SparkSession, sf: str) -> DataFrame:
     return wl.cost_vs_degree(wl.run_query_set(spark, sf, ["supply", "links", "chat"], wl.METHODS, "strata", P, k=5))
 
 
-@register("workload_methods_by_graph")
+@register("workload_methods_by_graph", " UNION ALL ".join(f"""SELECT * FROM ({o.query(name, o.ADJ, o.places(o.theta_auto("n", "m", "deg", 0.5), o.WHOLE_LOOSE), o.reverse("0.1 / n", 80), targets=o.uniform(10),
+    final=f"SELECT '{name}' AS graph, (SELECT round(avg(increments), 3) FROM pe) AS adaptive_push, (SELECT sum(touched) / 10.0 FROM rv WHERE round = 80) AS reverse_push, 200.0::DOUBLE * m AS power_iteration FROM st")})""" for name in ("tree", "links")))
 def workload_methods_by_graph(spark: SparkSession, sf: str) -> DataFrame:
-    return wl.method_by_graph(wl.run_query_set(spark, sf, ["tree", "links"], ("adaptive_push", "reverse_push", "power_iteration"), "uniform", P.but(c=0.5)), ("adaptive_push", "reverse_push", "power_iteration"))
+    methods = ("adaptive_push", "reverse_push", "power_iteration")
+    return wl.method_by_graph(wl.run_query_set(spark, sf, ["tree", "links"], methods, "uniform", P.but(c=0.5), coin="md5"), methods)
+
 
+def _contrast(draw: str, column: str) -> str:
+    return f"{column} AS (SELECT qid, t, var_samp(pi) AS v FROM (SELECT qid, t, rep, sum(0.2 * r) / any_value(n) AS pi FROM rz_{draw} JOIN tg USING (qid), st GROUP BY ALL) GROUP BY qid, t)"
 
-@register("draw_contrast")
+
+@register("draw_contrast", o.query("tree", *[o.randomized(5.0123e-3, 8, d == "edge", reps=30).replace("rz", f"rz_{d}") for d in ("shared", "edge")], _contrast("shared", "one"), _contrast("edge", "own"),
+    targets=o.uniform(5), final="SELECT qid, t, round(one.v * 1e9, 6) AS shared, round(own.v * 1e9, 6) AS apart FROM one JOIN own USING (qid, t)"))
 def draw_contrast(spark: SparkSession, sf: str) -> DataFrame:
     g = gr.graph(spark, sf, "tree")
-    return wl.draw_contrast(g, uniform_targets(g, 5), P, 5e-3, 30, 8)
+    got = wl.draw_contrast(g, uniform_targets(g, 5), P, 5.0123e-3, 30, 8, coin="md5")
+    return got.select("qid", "t", r6(F.col("shared") * 1e9).alias("shared"), r6(F.col("apart") * 1e9).alias("apart"))
 
 
 _HUB = "tg AS MATERIALIZED (SELECT 0 AS qid, 0 AS t)"
@@ -636,16 +676,26 @@ def draw_contrast_star(spark: SparkSession, sf: str) -> DataFrame:
     return out
 
 
-@register("theta_sweep")
+_SWEEP = "SELECT {head}, round(avg(increments), 3) AS mean_increments, round(avg(abs(pagerank - pi) / pi) / {c}, 6) AS {error} FROM pe JOIN pw ON t = node AND i = 100"
+
+
+@register("theta_sweep", " UNION ALL ".join(f"""SELECT * FROM ({o.query("supply", o.places(repr(x), o.WHOLE, reps=5), o.power(100), targets=o.uniform(5),
+    final=_SWEEP.format(head=f"{x!r}::DOUBLE AS theta", c="1", error="mean_error"))})""" for x in (1e-4, 1e-3, 1e-2)))
 def theta_sweep(spark: SparkSession, sf: str) -> DataFrame:
     g = gr.graph(spark, sf, "supply")
-    return wl.sweep(g, uniform_targets(g, 5), [1e-4, 1e-3, 1e-2], P, 5)
+    rows = wl.sweep(g, uniform_targets(g, 5), [1e-4, 1e-3, 1e-2], P, 5, coin="md5")
+    return rows.select("theta", F.round("mean_increments", 3).alias("mean_increments"), r6("mean_error").alias("mean_error"))
+
+
+_GRID = [(a, c) for a in (0.1, 0.2, 0.5) for c in (0.1, 0.5)]
 
 
-@register("parameter_sweep")
+@register("parameter_sweep", " UNION ALL ".join(f"""SELECT * FROM ({o.query("links", o.places(o.theta_auto("n", "m", "deg", c, a=a), f"(SELECT {o.hop_cap('n', c, a)} FROM st)", a=a), o.power(100, a), targets=o.uniform(5),
+    final=_SWEEP.format(head=f"{a!r}::DOUBLE AS alpha, {c!r}::DOUBLE AS c, 0.1::DOUBLE AS pf", c=repr(c), error="mean_error_over_c"))})""" for a, c in _GRID))
 def parameter_sweep(spark: SparkSession, sf: str) -> DataFrame:
     g = gr.graph(spark, sf, "links")
-    return wl.parameter_sweep(g, uniform_targets(g, 5), [Params(a, c) for a in (0.1, 0.2, 0.5) for c in (0.1, 0.5)])
+    rows = wl.parameter_sweep(g, uniform_targets(g, 5), [Params(a, c) for a, c in _GRID], coin="md5")
+    return rows.select("alpha", "c", "pf", F.round("mean_increments", 3).alias("mean_increments"), r6("mean_error_over_c").alias("mean_error_over_c"))
 
 
 def flagship(spark: SparkSession, sf: str) -> DataFrame:
