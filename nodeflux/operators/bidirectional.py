@@ -6,11 +6,10 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from nodeflux.functions.params import Params, blanket_r_max, blanket_walks, residue_r_max, residue_walks, subgraph_params
-from nodeflux.functions.rng import u01_fast
 from nodeflux.plans.storage import cut
 
 from .graph import Graph
-from .push import sized
+from .push import edge_coin, sized
 from .reverse import push_round, reverse_push, start_state
 from .walks import walk_ends, walk_visits
 
@@ -68,7 +67,7 @@ def residue_bidirectional(g: Graph, targets: DataFrame, p: Params = Params(), r_
     )
 
 
-def subgraph_walks(g: Graph, targets: DataFrame, p: Params = Params(), n_walks: int | None = None, k: int | None = None, blacklist_deg: int | None = None, rounds: int = 3, cap: int | None = None, seed: int = 0) -> DataFrame:
+def subgraph_walks(g: Graph, targets: DataFrame, p: Params = Params(), n_walks: int | None = None, k: int | None = None, blacklist_deg: int | None = None, rounds: int = 3, cap: int | None = None, seed: int = 0, coin: str = "fast") -> DataFrame:
     """(qid, t, pagerank, method, increments): a reconstruction, as the method's mechanism is not described to us.
 
     k random partial explorations from t expand each frontier node below a degree bound with
@@ -85,10 +84,10 @@ def subgraph_walks(g: Graph, targets: DataFrame, p: Params = Params(), n_walks:
     state = start_state(g, targets).withColumn("rep", F.explode(F.sequence(F.lit(0), F.lit(k - 1))))
     state = cut(state, "explore")
     for i in range(rounds):
-        coin = u01_fast(F.lit(seed), F.lit(1_000_003 + i), F.col("qid"), F.col("rep"), F.col("node")) < 0.5
-        chosen = (F.col("r") > 0) & (F.col("deg") <= bound) & (coin if i else F.lit(True))
+        drawn = edge_coin(coin, F.lit(seed), F.lit(1_000_003 + i), F.col("qid"), F.col("rep"), F.col("node")) < 0.5
+        chosen = (F.col("r") > 0) & (F.col("deg") <= bound) & (drawn if i else F.lit(True))
         state = cut(push_round(g, state.join(deg, "node"), chosen, p, ["qid", "rep"]), "explore")
-    ended = walk_ends(g, each * k, p, cap, seed).groupBy((F.col("wid") % k).cast("int").alias("rep"), "node").agg(F.count("*").alias("held"))
+    ended = walk_ends(g, each * k, p, cap, seed, coin).groupBy((F.col("wid") % k).cast("int").alias("rep"), "node").agg(F.count("*").alias("held"))
     reserve = state.groupBy("qid").agg((F.sum("p") / (n * k)).alias("reserve"))
     rest = state.filter("r > 0").join(ended, ["rep", "node"]).groupBy("qid").agg((F.sum(F.col("r") * F.col("held")) / (each * k)).alias("rest"))
     return targets.select("qid", "t").join(reserve, "qid").join(pushes(state, each * k), "qid").join(rest, "qid", "left").select(

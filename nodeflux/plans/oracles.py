@@ -115,6 +115,16 @@ def reverse(eps: str, rounds: int) -> str:
   FROM rv JOIN ad ON node = src WHERE round < {rounds}) GROUP BY ALL)"""
 
 
+def explore(k: int, rounds: int, bound: int, seed: int = 0) -> str:
+    """sx(round, qid, rep, node, p, r): k partial reverse explorations that expand nodes up to a degree by keyed coins."""
+    coin = duck_u01(str(seed), "1000003 + round", "qid", "rep", "node")
+    return f"""sx AS (SELECT 0 AS round, qid, rep, t AS node, 0.0::DOUBLE AS p, 1.0::DOUBLE AS r FROM tg, (SELECT unnest(range({k})) AS rep)
+ UNION ALL SELECT round + 1 AS round, qid, rep, to_node AS node, sum(dp) AS p, sum(dr) AS r FROM (
+  SELECT round, qid, rep, unnest(list_concat([{{'to_node': node, 'dp': p + CASE WHEN go THEN {A!r} * r ELSE 0 END, 'dr': CASE WHEN go THEN 0.0 ELSE r END}}],
+    CASE WHEN go THEN list_transform(nb, lambda x: {{'to_node': x.dst, 'dp': 0.0::DOUBLE, 'dr': {1 - A!r} * r / x.dst_deg}}) ELSE [] END), recursive := true)
+  FROM (SELECT *, r > 0 AND len(nb) <= {bound} AND (round = 0 OR {coin} < 0.5) AS go FROM sx JOIN ad ON node = src WHERE round < {rounds})) GROUP BY ALL)"""
+
+
 ADJ = "ad AS MATERIALIZED (SELECT src, list({'dst': dst, 'dst_deg': dst_deg}) AS nb FROM e GROUP BY src)"
 
 

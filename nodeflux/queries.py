@@ -364,6 +364,15 @@ def subgraph_walks(spark: SparkSession, sf: str) -> DataFrame:
     return bi.subgraph_walks(g, uniform_targets(g, 5), P).select("qid", "t", npi(g), "method")
 
 
+@register("subgraph_walks_keyed", o.query("tree", o.ADJ, o.explore(4, 3, 20), o.walks(1000, 1000), targets=o.uniform(5), final="""SELECT qid, tg.t, round(x.s / 4 + coalesce(y.s, 0) / 1000.0 * n, 6) AS n_pi FROM tg
+ JOIN (SELECT qid, sum(p) AS s FROM sx WHERE round = 3 GROUP BY qid) x USING (qid)
+ LEFT JOIN (SELECT qid, sum(r) AS s FROM sx JOIN wk ON sx.node = wk.node AND wk.stop AND wk.wid % 4 = sx.rep WHERE round = 3 GROUP BY qid) y USING (qid), st"""))
+def subgraph_walks_keyed(spark: SparkSession, sf: str) -> DataFrame:
+    """Four explorations and 1000 walks, few enough for SQL to repeat."""
+    g = gr.graph(spark, sf, "tree")
+    return bi.subgraph_walks(g, uniform_targets(g, 5), P, 1000, 4, 20, coin="md5").select("qid", "t", npi(g))
+
+
 for _method in wl.METHODS[1:]:
 
     @register(f"baseline_{_method}")
@@ -698,6 +707,68 @@ def parameter_sweep(spark: SparkSession, sf: str) -> DataFrame:
     return rows.select("alpha", "c", "pf", F.round("mean_increments", 3).alias("mean_increments"), r6("mean_error_over_c").alias("mean_error_over_c"))
 
 
+@register("udaf_median_of_means", o.query("tree", o.push("0.0193", H, reps=9), targets=o.uniform(5), final="""SELECT qid, t, round(quantile_cont(mean, 0.5) * any_value(n), 6) AS n_pi FROM (
+ SELECT qid, t, avg(pagerank) AS mean FROM pe GROUP BY qid, t, rep % 3), st GROUP BY qid, t"""))
+def udaf_median_of_means(spark: SparkSession, sf: str) -> DataFrame:
+    """The aggregate function of SQL users over nine replicas in three groups."""
+    from nodeflux.functions import udaf
+
+    udaf.register(spark)
+    g = gr.graph(spark, sf, "tree")
+    est = adaptive_push(g, uniform_targets(g, 5), P, theta=0.0193, hops=H, sampler="edge", coin="md5", reps=9).df
+    est.createOrReplaceTempView("replicas")
+    return spark.sql("SELECT qid, t, median_of_means(pagerank, rep, 3) AS pagerank FROM replicas GROUP BY qid, t").select("qid", "t", npi(g))
+
+
+@register("synthetic_shapes", f"""SELECT 'star' AS shape, i AS a, 0 AS b FROM (SELECT unnest(range(1, 300)) AS i)
+ UNION ALL SELECT 'complete', i, j FROM (SELECT unnest(range(30)) AS i), (SELECT unnest(range(30)) AS j) WHERE i < j
+ UNION ALL SELECT 'cycle', i, (i + 1) % 300 FROM (SELECT unnest(range(300)) AS i)
+ UNION ALL SELECT 'attached', i, floor(i * u * u)::BIGINT FROM (SELECT i, {o.duck_u01("7", "i")} AS u FROM (SELECT unnest(range(1, 300)) AS i))""")
+def synthetic_shapes(spark: SparkSession, sf: str) -> DataFrame:
+    """Edges of the data source of known shapes."""
+    from nodeflux.sources import synthetic
+
+    synthetic.register(spark)
+    out = None
+    for shape, size in (("star", 300), ("complete", 30), ("cycle", 300), ("attached", 300)):
+        rows = spark.read.format("shapes").option("shape", shape).option("size", size).option("seed", 7).load().select(F.lit(shape).alias("shape"), "a", "b")
+        out = rows if out is None else out.union(rows)
+    return out
+
+
+@register("stream_watch", o.query("activity", o.push("0.01", 8), targets="tg AS MATERIALIZED (SELECT CASE key WHEN 'u:1' THEN 0 WHEN 'u:2' THEN 1 ELSE 2 END AS qid, node AS t FROM nd WHERE key IN ('u:1', 'u:2', 'u:3'))",
+    final="SELECT qid, t, round(pagerank, 9) AS pagerank, increments::BIGINT AS increments FROM pe"))
+def stream_watch(spark: SparkSession, sf: str) -> DataFrame:
+    """Three users' estimates after the last batch of the stream of events."""
+    import uuid
+
+    from nodeflux.plans.storage import cut, shared_dir
+    from nodeflux.streaming import activity as st
+
+    held, asked = [], spark.createDataFrame([(i, f"u:{i + 1}") for i in range(3)], "qid int, key string")
+    keep = lambda df, number: held.append(cut(df, "watched"))
+    st.watch(st.read_events(spark, sf), asked, P, keep, 0.01, f"{shared_dir(spark)}/watch-{uuid.uuid4().hex}", hops=8, sampler="edge", coin="md5").awaitTermination()
+    return held[-1].select("qid", "t", F.round("pagerank", 9).alias("pagerank"), "increments")
+
+
+@register("spark_cost")
+def spark_cost(spark: SparkSession, sf: str) -> DataFrame:
+    """What the distributed plans cost Spark on one graph, by method."""
+    from dataclasses import astuple
+
+    from nodeflux.plans.cost import spark_cost as cost
+
+    g, rows = gr.graph(spark, sf, "tree"), []
+    t = uniform_targets(g, 5)
+    runs = {
+        "adaptive_push": lambda: adaptive_push(g, t, P, theta=1e-2, hops=H).df, "power_iteration": lambda: ex.power_iteration(g, P, 10),
+        "reverse_push": lambda: rv.reverse_push(g, t, P, 0.013), "walk_sample": lambda: wk.walk_sample(g, t, P, 2000),
+    }
+    for name, run in runs.items():
+        rows.append((name, *astuple(cost(spark, run))))
+    return spark.createDataFrame(rows, "method string, jobs int, stages int, rows_read long, bytes_read long, shuffle_bytes long, spilled_bytes long, cpu_seconds double")
+
+
 def flagship(spark: SparkSession, sf: str) -> DataFrame:
     """The main method at c = 0.1 for ten uniform targets, beside 100 power iterations."""
     g = gr.graph(spark, sf, "purchase")

@@ -66,19 +66,20 @@ def collect_stream(stream: DataFrame, mode: str, name: str) -> DataFrame:
     return spark.table(name)
 
 
-def watch(events: DataFrame, targets: DataFrame, p: Params, out: Callable[[DataFrame, int], None], theta: float | None = None) -> StreamingQuery:
+def watch(events: DataFrame, targets: DataFrame, p: Params, out: Callable[[DataFrame, int], None], theta: float | None = None, store: str | None = None, **options) -> StreamingQuery:
     """For each batch of events: add its edges to the stored ones, rebuild the graph, and estimate targets(key) again.
 
-    The stored edges survive a restart; a batch that is run again adds nothing new.
+    The stored edges survive a restart; a batch that is run again adds nothing new. `store` is the folder of edges and
+    state, by default one for the application; options go to adaptive_push.
     """
     spark = events.sparkSession
-    base = f"{shared_dir(spark)}/watch-{spark.sparkContext.applicationId}"
+    base = store or f"{shared_dir(spark)}/watch-{spark.sparkContext.applicationId}"
 
     def refresh(batch: DataFrame, number: int) -> None:
         batch.select("a", "b").distinct().write.mode("overwrite").parquet(f"{base}/edges/batch={number}")
         g = build(spark.read.parquet(f"{base}/edges").select("a", "b"))
         asked = g.nodes.join(sized(targets), "key").select(F.col("qid").cast("int").alias("qid"), F.col("node").alias("t"))
-        out(adaptive_push(g, asked, p, theta=theta).df, number)
+        out(adaptive_push(g, asked, p, theta=theta, **options).df, number)
 
     return (
         with_edges(events).writeStream.foreachBatch(refresh).option("checkpointLocation", f"{base}/state").trigger(availableNow=True).start()

@@ -438,3 +438,50 @@ def test_neighbours_in_blocks_equal_all_pairs(spark, sf, monkeypatch):
     whole = Counter(map(tuple, graphs.knn(spark, sf).collect()))
     monkeypatch.setattr(graphs, "KNN_VECTORS", 300)
     assert Counter(map(tuple, graphs.knn(spark, sf).collect())) == whole
+
+
+def test_keyed_draws_are_those_of_the_engine(spark):
+    got = spark.range(5).select(rng.u01_md5(3, F.col("id"), 7)).toPandas().iloc[:, 0].to_numpy()
+    assert np.array_equal(got, rng.u01_md5_np(3, np.arange(5), 7))
+
+
+@pytest.mark.parametrize("deg,chance", [(1, 0.5), (30, 1e-9), (200, 0.37), (558, 0.999)])
+def test_binomial_law_sums_to_one(deg, chance):
+    law = push.binomial_law(deg, chance)
+    assert math.isclose(law.sum(), 1, rel_tol=1e-9) and math.isclose((law * np.arange(deg + 1)).sum(), deg * chance, rel_tol=1e-9)
+
+
+@pytest.mark.parametrize("sampler", ["skip", "edge"])
+def test_kernel_repeats_keyed_draws(spark, tree, sampler):
+    t = uniform_targets(tree, 3)
+    far = {r.qid: r for r in adaptive_push(tree, t, P, theta=2e-2, hops=4, sampler=sampler, seed=5, coin="md5").df.collect()}
+    near = resident.resident(tree, workloads.jobs(t, ("adaptive_push",)), P, theta=2e-2, hops=4, sampler=sampler, seed=5, coin="md5").collect()
+    assert near and all((r.increments, r.draws) == (far[r.qid].increments, far[r.qid].draws) for r in near)
+
+
+def test_cost_of_a_run(spark, tmp_path):
+    from nodeflux.plans.cost import spark_cost
+
+    spark.range(1000).withColumn("k", F.col("id") % 7).write.parquet(str(tmp_path / "t"))
+    rows = spark.read.parquet(str(tmp_path / "t"))
+    plain, grouped = spark_cost(spark, lambda: rows), spark_cost(spark, lambda: rows.groupBy("k").agg(F.sum("id")))
+    assert plain.rows_read == grouped.rows_read == 1000 and plain.shuffle_bytes == 0 < grouped.shuffle_bytes
+    assert plain.jobs >= 1 and plain.bytes_read > 0 and plain.spilled_bytes == 0
+
+
+def test_median_of_means_leaves_nulls_out(spark):
+    from nodeflux.functions import udaf
+
+    udaf.register(spark)
+    spark.createDataFrame([(1, 1.0, 0), (1, 3.0, 3), (1, 10.0, 1), (1, None, 2), (2, None, 0)], "k int, v double, rep int").createOrReplaceTempView("reps")
+    got = {r.k: r.m for r in spark.sql("SELECT k, median_of_means(v, rep, 3) AS m FROM reps GROUP BY k").collect()}
+    assert got[1] == 6.0 and (got[2] is None or math.isnan(got[2]))
+
+
+@pytest.mark.parametrize("shape,size,edges", [("star", 0, 0), ("star", 1, 0), ("star", 9, 8), ("complete", 6, 15), ("cycle", 2, 0), ("cycle", 5, 5), ("attached", 40, 39)])
+def test_shapes(spark, shape, size, edges):
+    from nodeflux.sources import synthetic
+
+    synthetic.register(spark)
+    rows = spark.read.format("shapes").option("shape", shape).option("size", size).option("parts", 3).load().collect()
+    assert len(rows) == edges and len({frozenset(r) for r in rows}) == edges and all(0 <= v < size for r in rows for v in r)
