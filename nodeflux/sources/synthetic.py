@@ -24,7 +24,7 @@ class ShapeReader(DataSourceReader):
 
     def partitions(self) -> list[NodeRange]:
         step = max(1, -(-self.size // self.parts))
-        return [NodeRange(a, min(a + step, self.size)) for a in range(0, self.size, step)]
+        return [NodeRange(a, min(a + step, self.size)) for a in range(0, max(self.size, 1), step)]
 
     def read(self, partition: NodeRange) -> Iterator[tuple[int, int]]:
         import hashlib

@@ -10,9 +10,10 @@ import pytest
 from pyspark.sql import functions as F
 
 from nodeflux.functions import params as pm
+from nodeflux.functions import rng
 from nodeflux.functions.params import Params
 from nodeflux.functions.rng import u01_fast, u01_md5, u01_np
-from nodeflux.operators import accuracy, bidirectional, exact, graph, resident, reverse, walks, workloads
+from nodeflux.operators import accuracy, bidirectional, exact, graph, push, resident, reverse, walks, workloads
 from nodeflux.operators.push import adaptive_push, amplified
 from nodeflux.operators.targets import degree_targets, stratified_targets, uniform_targets
 
