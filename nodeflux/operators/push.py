@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from nodeflux.functions.params import Params, hop_cap, theta_for
 from nodeflux.functions.rng import u01_fast, u01_md5
-from nodeflux.plans.storage import cut, discard
+from nodeflux.plans.storage import cut, cut_counted, discard
 
 from .graph import Graph
 
@@ -43,9 +43,13 @@ def plan_targets(g: Graph, targets: DataFrame, p: Params, theta: float | None, m
     return rows.withColumn("rep", F.explode(F.sequence(F.lit(0), F.lit(reps - 1))))
 
 
-def sized(frontier: DataFrame) -> DataFrame:
-    """Broadcast hint behind a count of the rows (slim ones: targets, or a written frontier); else the join is left to Spark."""
-    return F.broadcast(frontier) if frontier.count() <= BROADCAST_ROWS else frontier
+def sized(frontier: DataFrame, rows: float | None = None) -> DataFrame:
+    """Broadcast hint behind a count of the rows (slim ones: targets, or a written frontier); else the join is left to Spark.
+
+    rows is their number where the caller has it, which saves a job.
+    """
+    rows = frontier.count() if rows is None else rows
+    return F.broadcast(frontier) if rows <= BROADCAST_ROWS else frontier
 
 
 def edge_coin(kind: str, *key: Column | int) -> Column:
@@ -59,8 +63,14 @@ def binomial_law(deg: int, chance: float) -> np.ndarray:
     return np.exp(logs[deg] - logs[k] - logs[deg - k] + k * math.log(chance) + (deg - k) * math.log1p(-chance))
 
 
+#: What tells a query and replica.
+KEEP = ("qid", "rep", "theta", "t_deg")
+#: Rows of sampled places.
+PLACES = "qid int, rep int, theta double, t_deg long, node long, pos int"
+
+
 def skip_positions(hop: int, seed: int, binomial: bool, coin: str = "fast"):
-    """mapInArrow: (qid, rep, node, deg, chance) to sampled list places (qid, rep, node, pos); pos 0 tells in `drawn` a row's draws.
+    """mapInArrow: (qid, rep, theta, t_deg, node, deg, chance) to PLACES, the sampled places of each list.
 
     Gaps between chosen places are geometric, so the work follows the sample and not the
     degree. A row's generator is keyed by its own identity. With coin "md5" the draws are those
@@ -73,26 +83,23 @@ def skip_positions(hop: int, seed: int, binomial: bool, coin: str = "fast"):
         uniform = u01_md5_np if coin == "md5" else u01_np
         for batch in batches:
             qid, rep, node, deg, chance = (batch.column(c).to_numpy(zero_copy_only=False) for c in ("qid", "rep", "node", "deg", "chance"))
-            rows, places, drawn = [np.arange(len(node))], [np.zeros(len(node), dtype=np.int64)], np.zeros(len(node), dtype=np.int64)
+            rows, places = [np.zeros(0, dtype=np.int64)], [np.zeros(0, dtype=np.int64)]
             if binomial:
                 for i in range(len(node)):
                     if coin == "md5":
                         keys = u01_md5_np(seed, hop, qid[i], rep[i], node[i], np.arange(deg[i] + 1))
                         k = int((np.cumsum(binomial_law(int(deg[i]), float(chance[i]))) < keys[0]).sum())
-                        drawn[i] = 1 + k
                         rows.append(np.full(k, i))
                         places.append(np.argsort(keys[1:], kind="stable")[:k] + 1)
                         continue
                     rng = np.random.default_rng([seed, hop, int(qid[i]), int(rep[i]), int(node[i])])
                     k = rng.binomial(int(deg[i]), float(chance[i]))
-                    drawn[i] = 1 + k
                     rows.append(np.full(k, i))
                     places.append(rng.choice(int(deg[i]), size=k, replace=False) + 1)
             else:
                 live, at, draw = np.arange(len(node)), np.zeros(len(node), dtype=np.int64), 0
                 scale = np.log1p(-np.minimum(chance, 1 - 1e-16))
                 while len(live):
-                    drawn[live] += 1
                     u = uniform(seed, hop, qid[live], rep[live], node[live], draw)
                     gap = 1 + np.floor(np.log(u) / scale[live])
                     at[live] = at[live] + np.minimum(gap, deg[live] + 1.0).astype(np.int64)
@@ -100,52 +107,71 @@ def skip_positions(hop: int, seed: int, binomial: bool, coin: str = "fast"):
                     rows.append(live)
                     places.append(at[live].copy())
                     draw += 1
-            i, pos = np.concatenate(rows), np.concatenate(places)
-            yield pa.RecordBatch.from_arrays(
-                [pa.array(qid[i].astype(np.int32)), pa.array(rep[i].astype(np.int32)), pa.array(node[i]), pa.array(pos.astype(np.int32)),
-                 pa.array(np.where(pos == 0, drawn[i], 0))],
-                ["qid", "rep", "node", "pos", "drawn"],
-            )
+            i, pos = pa.array(np.concatenate(rows)), pa.array(np.concatenate(places).astype(np.int32))
+            held = [batch.column(c).take(i) for c in ("qid", "rep", "theta", "t_deg", "node")]
+            yield pa.RecordBatch.from_arrays([*held, pos], ["qid", "rep", "theta", "t_deg", "node", "pos"])
 
     return read
 
 
-def next_residue(g: Graph, residue: DataFrame, p: Params, hop: int, seed: int, sampler: str, coin: str) -> DataFrame:
-    """residue(qid, rep, node, r, deg, theta, t_deg) one hop on; also n_in, n_exact: increments that made each row, and n_draws.
+def share(p: Params) -> Column:
+    """What a node pays to each neighbour; it samples below theta."""
+    return (1 - p.alpha) * F.col("r") / F.col("deg")
+
+
+def tally(p: Params) -> list[Column]:
+    """Aggregates that plan a hop's joins: nodes, those that sample, and the expected number of sampled places."""
+    light = share(p) < F.col("theta")
+    places = F.sum(F.when(light, F.try_divide((1 - p.alpha) * F.col("r"), F.col("theta"))))
+    return [F.count("node").alias("nodes"), F.count_if(light).alias("light"), F.coalesce(places, F.lit(0.0)).alias("places")]
+
+
+def next_residue(g: Graph, residue: DataFrame, p: Params, hop: int, seed: int, sampler: str, coin: str, counts: dict | None = None) -> DataFrame:
+    """residue(qid, rep, theta, t_deg, node, deg, r) one hop on; also n_in, n_exact: increments that made each row, and n_draws: its places.
 
-    Draws are coins ("edge"), gaps ("skip", the one beyond the list's end included) or, for "binomial", the number and the
-    places. A row without increments (node null) holds the draws that chose nothing.
+    counts are the residue's `tally`. What no node does in this hop (pay in full, sample) is not planned.
     """
-    share = (1 - p.alpha) * F.col("r") / F.col("deg")
-    front = sized(residue.withColumn("share", share))
-    keep = ["qid", "rep", "theta", "t_deg"]
+    counts = residue.agg(*tally(p)).first().asDict() if counts is None else counts
+    marked = residue.withColumn("share", share(p))
     edges = g.around(residue).select("src", "dst", "pos", F.col("dst_deg").alias("deg_in"))
     none = F.lit(0).cast("long")
     if sampler == "edge":
-        joined = front.join(edges, F.col("node") == F.col("src"))
+        joined = sized(marked, counts["nodes"]).join(edges, F.col("node") == F.col("src"))
         full = F.col("share") >= F.col("theta")
         draw = edge_coin(coin, F.lit(seed), F.col("qid"), F.col("rep"), F.lit(hop), F.col("src"), F.col("dst"))
         taken = full | (draw < F.try_divide("share", "theta"))
-        paid = joined.filter(taken).select(*keep, "dst", "deg_in", F.greatest("share", "theta").alias("inc"), full.cast("long").alias("is_full"), none.alias("n_draws"))
-        coins = residue.withColumn("share", share).filter("share < theta").groupBy(*keep).agg(F.sum("deg").alias("n_draws"))
+        paid = joined.filter(taken).select(*KEEP, "dst", "deg_in", F.greatest("share", "theta").alias("inc"), full.cast("long").alias("is_full"), none.alias("n_draws"))
     else:
-        heavy = front.filter("share >= theta").join(edges, F.col("node") == F.col("src"))
-        paid = heavy.select(*keep, "dst", "deg_in", F.col("share").alias("inc"), F.lit(1).cast("long").alias("is_full"), none.alias("n_draws"))
-        light = residue.withColumn("share", share).filter("share < theta")
-        places = light.select("qid", "rep", "node", "deg", (F.col("share") / F.col("theta")).alias("chance")).mapInArrow(
-            skip_positions(hop, seed, sampler == "binomial", coin), "qid int, rep int, node long, pos int, drawn long"
-        )
-        places = cut(places, "push-places")
-        coins = places.filter("pos = 0").groupBy("qid", "rep").agg(F.sum("drawn").alias("n_draws")).join(residue.select(*keep).distinct(), ["qid", "rep"]).select(*keep, "n_draws")
-        places = places.filter("pos > 0").drop("drawn")
-        marks = light.select("qid", "rep", "node", "theta", "t_deg")
-        picked = places.join(marks, ["qid", "rep", "node"]).join(edges, (F.col("node") == F.col("src")) & (edges["pos"] == places["pos"]))
-        paid = paid.union(picked.select(*keep, "dst", "deg_in", F.col("theta").alias("inc"), F.lit(0).cast("long").alias("is_full"), none.alias("n_draws")))
-    got = paid.groupBy(*keep, F.col("dst").alias("node"), F.col("deg_in").alias("deg")).agg(
+        heavy = sized(marked.filter("share >= theta"), counts["nodes"] - counts["light"]).join(edges, F.col("node") == F.col("src"))
+        paid = heavy.select(*KEEP, "dst", "deg_in", F.col("share").alias("inc"), F.lit(1).cast("long").alias("is_full"), none.alias("n_draws"))
+        if counts["light"]:
+            typed = [F.col(c).cast(kind).alias(c) for c, kind in (part.split() for part in PLACES.split(", ")[:-1])]
+            light = marked.filter("share < theta").select(*typed, F.col("deg").cast("long").alias("deg"), (F.col("share") / F.col("theta")).alias("chance"))
+            chosen = light.mapInArrow(skip_positions(hop, seed, sampler == "binomial", coin), PLACES).withColumnRenamed("pos", "place")
+            # Spark cannot know how many places a row gives: the join follows their expected number, ten deviations up
+            many = counts["places"] + 10 * math.sqrt(counts["places"])
+            chosen = F.broadcast(chosen) if many <= BROADCAST_ROWS else chosen.hint("merge")
+            picked = chosen.join(edges, (F.col("node") == F.col("src")) & (F.col("pos") == F.col("place")))
+            picked = picked.select(*KEEP, "dst", "deg_in", F.col("theta").alias("inc"), none.alias("is_full"), F.lit(1).cast("long").alias("n_draws"))
+            paid = paid.union(picked) if counts["light"] < counts["nodes"] else picked
+    return paid.groupBy(*KEEP, F.col("dst").alias("node"), F.col("deg_in").alias("deg")).agg(
         F.sum("inc").alias("r"), F.count("*").alias("n_in"), F.sum("is_full").alias("n_exact"), F.sum("n_draws").alias("n_draws")
     )
+
+
+def totals(residue: DataFrame, p: Params, n: int, sampler: str | None = None) -> DataFrame:
+    """A row for each query and replica, node null: its PageRank in r, its increments and draws up to this hop.
+
+    With a sampler the draws of the hop to come that choose nothing are added: every coin ("edge"), or one a node that
+    samples ("skip": the gap beyond the list's end, "binomial": the number); places were counted where they were chosen.
+    """
+    part = F.when(F.col("node").isNull(), F.col("r")).otherwise(p.alpha * F.col("t_deg") * F.col("r") / (n * F.col("deg")))
+    drawn = F.lit(0) if sampler is None else F.when(share(p) < F.col("theta"), F.col("deg") if sampler == "edge" else F.lit(1)).otherwise(0)
     empty = F.lit(None).cast("long")
-    return got.unionByName(coins.select(*keep, empty.alias("node"), empty.alias("deg"), F.lit(0.0).alias("r"), none.alias("n_in"), none.alias("n_exact"), "n_draws"))
+    sums = residue.groupBy(*KEEP).agg(
+        F.sum(part).alias("r"), F.sum("n_in").alias("n_in"), F.sum("n_exact").alias("n_exact"), F.sum(F.col("n_draws") + drawn).alias("n_draws")
+    )
+    return sums.select(*KEEP, empty.alias("node"), empty.alias("deg"), "r", "n_in", "n_exact", "n_draws")
 
 
 def adaptive_push(
@@ -161,45 +187,33 @@ def adaptive_push(
     coin: str = "fast",
     keep_vector: bool = False,
 ) -> Estimates:
-    """PageRank of each target (qid, t). A hop's contribution is folded into one number a query, then the hop is dropped.
+    """PageRank of each target (qid, t). A hop's contribution is folded into one row a query, then the hop is dropped.
 
-    A target without edges has PageRank 1 / n; a target that is not in the graph gives no row.
+    A hop is one job: its table holds the residue and the queries' totals so far, and is counted while it is written, so the
+    driver sees three numbers a hop, however many queries there are. A target without edges has PageRank 1 / n; a target
+    that is not in the graph gives no row.
     """
     n = g.stats.n
     hops = hop_cap(n, p) if hops is None else hops
     plan = cut(plan_targets(g, targets, p, theta, mode, reps), "push-plan")
-    residue = plan.filter("deg > 0").select(
+    start = plan.filter("deg > 0").select(
         "qid", "rep", "theta", F.col("deg").alias("t_deg"), F.col("t").alias("node"), "deg", F.lit(1.0).alias("r"),
         *[F.lit(0).cast("long").alias(c) for c in ("n_in", "n_exact", "n_draws")],
     )
-    residue = cut(residue, "push-hop")
-    folds, vectors = [], []
+    residue, counts = cut_counted(start, "push-hop", tally(p))
+    vectors = []
     for hop in range(hops + 1):
-        folds.append(
-            residue.groupBy("qid", "rep").agg(
-                F.sum(p.alpha * F.col("t_deg") * F.col("r") / (n * F.col("deg"))).alias("part"),
-                F.sum("n_in").alias("increments"), F.sum("n_exact").alias("exact_increments"),
-                F.sum("n_draws").alias("draws"), F.count("node").alias("nodes"),
-            ).collect()
-        )
         if keep_vector:
             vectors.append(residue.filter("node is not null").select("qid", "rep", "node", (p.alpha * F.col("r")).alias("value")))
-        if hop == hops or not any(r.nodes for r in folds[-1]):
+        if hop == hops or not counts["nodes"]:
             break
-        after = cut(next_residue(g, residue.filter("node is not null"), p, hop, seed, sampler, coin), "push-hop")
+        paid = next_residue(g, residue.filter("node is not null"), p, hop, seed, sampler, coin, counts)
+        after, counts = cut_counted(paid.unionByName(totals(residue, p, n, sampler)), "push-hop", tally(p))
         if not keep_vector:
             discard(residue)
         residue = after
-    # one row for each hop, query and replica
-    parts = g.spark.createDataFrame(
-        [(r.qid, r.rep, r.part, r.increments, r.exact_increments, r.draws) for f in folds for r in f],
-        "qid int, rep int, part double, increments long, exact_increments long, draws long",
-    )
-    sums = parts.groupBy("qid", "rep").agg(
-        F.sum("part").alias("pagerank"), F.sum("increments").alias("increments"), F.sum("exact_increments").alias("exact_increments"),
-        F.sum("draws").alias("draws"),
-    )
-    df = plan.join(F.broadcast(sums), ["qid", "rep"], "left").select(
+    sums = totals(residue, p, n).select("qid", "rep", F.col("r").alias("pagerank"), F.col("n_in").alias("increments"), F.col("n_exact").alias("exact_increments"), F.col("n_draws").alias("draws"))
+    df = plan.join(sums, ["qid", "rep"], "left").select(
         "qid", "rep", "t",
         F.when(F.col("deg") == 0, 1.0 / n).otherwise(F.col("pagerank")).alias("pagerank"),
         "theta", F.lit(hops).alias("hops"),

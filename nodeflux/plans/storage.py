@@ -8,7 +8,7 @@ from __future__ import annotations
 
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -31,6 +31,16 @@ def cut(df: DataFrame, name: str = "cut") -> DataFrame:
     return back
 
 
+def cut_counted(df: DataFrame, name: str, metrics: list[Column]) -> tuple[DataFrame, dict]:
+    """`cut`, and aggregates of the table that are gathered while it is written, without a job of their own.
+
+    The rows are observed in the tasks that write, of which each one counts once, retries or not.
+    """
+    seen = Observation()
+    held = cut(df.observe(seen, *metrics), name)
+    return held, seen.get or held.agg(*metrics).first().asDict()
+
+
 def discard(df: DataFrame) -> None:
     """Delete a table that `cut` wrote, once nothing reads it any more."""
     path = getattr(df, "_shared_path", None)
