@@ -197,6 +197,25 @@ def test_samplers_equal_a_plain_version(spark, sf, sampler):
         assert math.isclose(r.pagerank, want[0], rel_tol=1e-9) and (r.increments, r.exact_increments, r.draws) == want[1:]
 
 
+@pytest.mark.parametrize("sampler", ["edge", "skip", "binomial"])
+def test_wide_frontiers_give_the_same_answers(spark, tree, monkeypatch, sampler):
+    """Beyond the broadcast bound hops shuffle: same estimates, increments and draws."""
+    t, runs = uniform_targets(tree, 3), []
+    for bound in (push.BROADCAST_ROWS, 0):
+        monkeypatch.setattr(push, "BROADCAST_ROWS", bound)
+        got = push.adaptive_push(tree, t, P, theta=0.02, hops=4, sampler=sampler, seed=5, reps=2).df
+        runs.append(sorted((r.qid, r.rep, round(r.pagerank, 12), r.increments, r.exact_increments, r.draws) for r in got.collect()))
+    assert runs[0] == runs[1] and any(r[5] for r in runs[0])
+
+
+def test_table_is_counted_while_it_is_written(spark):
+    from nodeflux.plans.storage import cut_counted
+
+    for rows in (1000, 0):
+        held, seen = cut_counted(spark.range(rows).repartition(4), "counted", [F.count("id").alias("rows"), F.coalesce(F.max("id"), F.lit(-1)).alias("last")])
+        assert (held.count(), held.count(), rows - 1) == (rows, seen["rows"], seen["last"])
+
+
 def test_no_hops_is_not_the_cap(spark, purchase):
     t = uniform_targets(purchase, 2)
     rows = resident.resident(purchase, workloads.jobs(t, ("adaptive_push",)), P, hops=0).collect()
