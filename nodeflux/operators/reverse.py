@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from nodeflux.functions.params import Params, hop_cap, push_eps, shared_theta
-from nodeflux.plans.storage import cut, discard
+from nodeflux.plans.storage import cut, cut_counted, discard
 
 from .graph import Graph
 from .push import edge_coin, sized
@@ -93,28 +93,33 @@ def randomized_reverse_push(
 ) -> DataFrame:
     """(qid, rep, t, pagerank, increments, method): increments below theta are paid as theta or not at all.
 
-    "shared" decides all neighbours of a push by one draw, "edge" each by its own.
+    "shared" decides all neighbours of a push by one draw, "edge" each by its own. A hop is one job; rows without a node
+    hold the queries' sums up to it.
     """
     n = g.stats.n
     hops = hop_cap(n, p) if hops is None else hops
     theta = shared_theta(n, p, pi_hint) if theta is None else theta
+    nodes = [F.count("node").alias("nodes")]
+
+    def sums(residue: DataFrame) -> DataFrame:
+        part = F.when(F.col("node").isNull(), F.col("r")).otherwise(F.col("r") * p.alpha / n)
+        return residue.groupBy("qid", "rep").agg(F.sum(part).alias("r"), F.sum("n_in").alias("n_in")).withColumn("node", F.lit(None).cast("long"))
+
     start = start_state(g, targets).select("qid", F.explode(F.sequence(F.lit(0), F.lit(reps - 1))).alias("rep"), "node", "r", F.lit(0).cast("long").alias("n_in"))
-    residue, folds = cut(start, "shared-hop"), []
-    for hop in range(hops + 1):
-        folds.append(residue.groupBy("qid", "rep").agg((F.sum("r") * p.alpha / n).alias("part"), F.sum("n_in").alias("n_in")).collect())
-        if hop == hops or not folds[-1]:
+    residue, counts = cut_counted(start, "shared-hop", nodes)
+    for hop in range(hops):
+        if not counts["nodes"]:
             break
+        front = residue.filter("node is not null")
         inc = (1 - p.alpha) * F.col("r") / F.col("dst_deg")
         key = [F.lit(seed), F.col("qid"), F.col("rep"), F.lit(hop), F.col("src")] + ([F.col("dst")] if draw == "edge" else [])
         paid = (
-            sized(residue).join(g.around(residue).select("src", "dst", "dst_deg"), F.col("node") == F.col("src"))
+            sized(front, counts["nodes"]).join(g.around(front).select("src", "dst", "dst_deg"), F.col("node") == F.col("src"))
             .withColumn("inc", inc).filter((F.col("inc") >= theta) | (F.col("inc") >= edge_coin(coin, *key) * theta))
+            .groupBy("qid", "rep", F.col("dst").alias("node")).agg(F.sum(F.greatest("inc", F.lit(theta))).alias("r"), F.count("*").alias("n_in"))
         )
-        after = cut(
-            paid.groupBy("qid", "rep", F.col("dst").alias("node")).agg(F.sum(F.greatest("inc", F.lit(theta))).alias("r"), F.count("*").alias("n_in")), "shared-hop"
-        )
+        after, counts = cut_counted(paid.unionByName(sums(residue)), "shared-hop", nodes)
         discard(residue)
         residue = after
-    parts = g.spark.createDataFrame([tuple(r) for f in folds for r in f], "qid int, rep int, part double, n_in long")
-    sums = parts.groupBy("qid", "rep").agg(F.sum("part").alias("pagerank"), F.sum("n_in").alias("increments"))
-    return targets.select("qid", "t").join(sums, "qid").withColumn("method", F.lit(f"randomized_reverse_push_{draw}"))
+    found = sums(residue).select("qid", "rep", F.col("r").alias("pagerank"), F.col("n_in").alias("increments"))
+    return targets.select("qid", "t").join(found, "qid").withColumn("method", F.lit(f"randomized_reverse_push_{draw}"))
