@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from nodeflux.functions.params import Params, hop_cap, push_eps, shared_theta
-from nodeflux.plans.storage import cut, cut_counted, discard
+from nodeflux.plans.storage import cut_counted, discard
 
 from .graph import Graph
 from .push import edge_coin, sized
@@ -47,29 +47,24 @@ def reverse_push(
     """state(qid, node, p, r, touched) once no residue reaches eps (a number, or a column of targets).
 
     order "sync" pushes every active node in a round, "priority" the `batch` largest residues
-    of each query; any order keeps the invariant.
+    of each query; any order keeps the invariant. A round is one job: what is still active is
+    counted while the state is written, and eps rides in its rows.
     """
-    state = start_state(g, targets)
     limit: Column = F.lit(push_eps(g.stats.n, p)) if eps is None else eps if isinstance(eps, Column) else F.lit(float(eps))
     limits = g.nodes.select(F.col("node").alias("t"), "deg").join(sized(targets), "t").select("qid", limit.alias("eps"))
-    limits = sized(cut(limits, "reverse-eps"))
-    state = cut(state, "reverse")
-    done = 0
-    while rounds is None or done < rounds:
-        with_eps = state.join(limits, "qid")
-        active = F.col("r") >= F.col("eps")
+    active, keys, done = F.col("r") >= F.col("eps"), ["qid", "eps"], 0
+    live = [F.count_if(active).alias("live")]
+    state, seen = cut_counted(start_state(g, targets).join(limits, "qid").select(*keys, "node", "p", "r", "touched"), "reverse", live)
+    while seen["live"] and (rounds is None or done < rounds):
+        marked, go = state, active
         if order == "priority":
             first = Window.partitionBy("qid").orderBy(F.desc("r"), "node")
-            heads = with_eps.filter(active).withColumn("nth", F.row_number().over(first)).filter(F.col("nth") <= batch).select("qid", "node", F.lit(True).alias("first"))
-            with_eps = with_eps.join(heads, ["qid", "node"], "left")
-            active = F.coalesce("first", F.lit(False))
-        if rounds is None and with_eps.filter(F.col("r") >= F.col("eps")).isEmpty():
-            break
-        after = cut(push_round(g, with_eps, active, p, ["qid"]), "reverse")
+            heads = state.filter(active).withColumn("nth", F.row_number().over(first)).filter(F.col("nth") <= batch).select("qid", "node", F.lit(True).alias("first"))
+            marked, go = state.join(heads, ["qid", "node"], "left"), F.coalesce("first", F.lit(False))
+        after, seen = cut_counted(push_round(g, marked, go, p, keys), "reverse", live)
         discard(state)
-        state = after
-        done += 1
-    return state
+        state, done = after, done + 1
+    return state.drop("eps")
 
 
 def mean_reserve(g: Graph, targets: DataFrame, state: DataFrame, method: str) -> DataFrame:
