@@ -2,12 +2,17 @@
 
 from __future__ import annotations
 
+import threading
 import uuid
 from collections.abc import Callable
 from dataclasses import dataclass
 
+from py4j.protocol import Py4JJavaError
 from pyspark.sql import DataFrame, SparkSession
 
+#: Finished stages are noted so often.
+POLL_SECONDS = 0.2
+
 
 @dataclass(frozen=True)
 class SparkCost:
@@ -23,12 +28,38 @@ class SparkCost:
 def spark_cost(spark: SparkSession, run: Callable[[], object]) -> SparkCost:
     """Cost of all jobs that `run` starts from this thread; a DataFrame that it returns is computed too and its rows thrown away.
 
-    Figures come from the driver's own status store, which keeps the last 1000 stages: a longer run is counted short.
+    Figures come from the driver's own status store. It keeps the last 1000 stages and drops skipped ones first, so finished
+    stages are noted while the run goes on, and a stage that was dropped unnoted is one that never ran.
     """
     sc = spark.sparkContext
     group = f"cost-{uuid.uuid4().hex}"
     before = {key: sc.getLocalProperty(key) for key in ("spark.jobGroup.id", "spark.job.description")}
     sc.setJobGroup(group, "measured")
+    jobs, stages, data, over = set(), set(), {}, threading.Event()
+    store, tracker = sc._jsc.sc().statusStore(), sc.statusTracker()
+
+    def note() -> None:
+        for job in set(tracker.getJobIdsForGroup(group)) - jobs:
+            info = tracker.getJobInfo(job)
+            if info is not None:
+                jobs.add(job)
+                stages.update(info.stageIds)
+        for i in stages - set(data):
+            try:
+                seen = store.lastStageAttempt(i)
+            except Py4JJavaError as e:
+                if "NoSuchElementException" not in str(e.java_exception):
+                    raise
+                continue
+            if seen.status().toString() == "COMPLETE":
+                data[i] = seen
+
+    def watch() -> None:
+        while not over.wait(POLL_SECONDS):
+            note()
+
+    watcher = threading.Thread(target=watch, daemon=True)
+    watcher.start()
     try:
         out = run()
         if isinstance(out, DataFrame):
@@ -36,12 +67,12 @@ def spark_cost(spark: SparkSession, run: Callable[[], object]) -> SparkCost:
     finally:
         for key, value in before.items():
             sc.setLocalProperty(key, value)
+        over.set()
+        watcher.join()
     sc._jsc.sc().listenerBus().waitUntilEmpty(10_000)
-    store, ids = sc._jsc.sc().statusStore(), sc.statusTracker().getJobIdsForGroup(group)
-    stages = {i for job in ids for i in sc.statusTracker().getJobInfo(job).stageIds}
-    data = [d for d in map(store.lastStageAttempt, stages) if d.status().toString() == "COMPLETE"]
-    total = lambda *names: sum(getattr(d, n)() for d in data for n in names)
+    note()
+    total = lambda *names: sum(getattr(d, n)() for d in data.values() for n in names)
     return SparkCost(
-        len(ids), len(data), total("inputRecords"), total("inputBytes"), total("shuffleWriteBytes"),
+        len(jobs), len(data), total("inputRecords"), total("inputBytes"), total("shuffleWriteBytes"),
         total("memoryBytesSpilled", "diskBytesSpilled"), total("executorCpuTime") / 1e9,
     )
