@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -59,11 +60,23 @@ def degrees(events: DataFrame) -> DataFrame:
 
 
 def collect_stream(stream: DataFrame, mode: str, name: str) -> DataFrame:
-    """Run over all that is there and return what the sink holds."""
+    """Run over all that is there and return the result, which is written to the shared folder: the driver holds no row.
+
+    In complete mode each batch holds the whole result and the last one counts; else the batches together. A batch that is
+    run again overwrites itself. A stream without batches gives an empty table.
+    """
     spark = stream.sparkSession
-    query = stream.writeStream.outputMode(mode).format("memory").queryName(name).trigger(availableNow=True).start()
-    query.awaitTermination()
-    return spark.table(name)
+    base, schema, done = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}", stream.schema, []
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{base}/batch={number}")
+        done.append(number)
+
+    stream.writeStream.outputMode(mode).foreachBatch(keep).queryName(name).trigger(availableNow=True).start().awaitTermination()
+    if not done:
+        return spark.createDataFrame([], schema)
+    wanted = [max(done)] if mode == "complete" else sorted(set(done))
+    return spark.read.schema(schema).parquet(*[f"{base}/batch={number}" for number in wanted])
 
 
 def watch(events: DataFrame, targets: DataFrame, p: Params, out: Callable[[DataFrame, int], None], theta: float | None = None, store: str | None = None, **options) -> StreamingQuery:
